@@ -5,10 +5,16 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from proxembed.llm.common import store
+from proxembed.llm.line_dedup import line_dedup_stage
 from proxembed.llm.packing import packing_stage
+from proxembed.llm.parity_join import near_duplicate_stage
 from proxembed.llm.secret_scan import secret_stage
+from proxembed.llm.toxicity import toxicity_stage
 
 STAGES = [
+    ("toxicity", toxicity_stage),
+    ("line dedup", line_dedup_stage),
+    ("n-gram Jaccard join", near_duplicate_stage),
     ("secret scans", secret_stage),
     ("best-fit packing", packing_stage),
 ]

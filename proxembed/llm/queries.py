@@ -6,8 +6,11 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from proxembed.llm.line_dedup import op9_line_dedup
 from proxembed.llm.packing import op3_best_fit_packing
+from proxembed.llm.parity_join import op4_parity_join
 from proxembed.llm.secret_scan import op2_secret_ledger
+from proxembed.llm.toxicity import op8_ordinal_toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,6 +19,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_secret_ledger": op2_secret_ledger,
         "op3_best_fit_packing": op3_best_fit_packing,
+        "op4_parity_join": op4_parity_join,
+        "op8_ordinal_toxicity": op8_ordinal_toxicity,
+        "op9_line_dedup": op9_line_dedup,
         "pipeline": corpus_pipeline.run,
     }
 
