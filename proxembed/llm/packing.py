@@ -203,7 +203,7 @@ def _slots(plan: list[tuple[tuple[int, ...], int]], capacity: int) -> dict[str,
     return {"start": total, "sequence": x[:, 2], "offset": x[:, 3], "base": base[first]}
 
 
-def pack(found: DataFrame, capacity: int = CAPACITY, rows_per_bucket: int = 50_000) -> DataFrame:
+def pack(found: DataFrame, capacity: int = CAPACITY, rows_per_bucket: int = 2_000) -> DataFrame:
     """Adds sequence_id and offset to stored (doc_id, piece, length, ...) rows; `found` must be stored, it is read twice."""
     histogram = {int(r["length"]): int(r["n"]) for r in found.groupBy("length").agg(F.count("*").alias("n")).collect()}  # capacity rows at most
     slots = _slots(plan_sequences(histogram, capacity), capacity)
