@@ -6,14 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from proxembed.plans import exact, runs
+
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """Local sampling and training on the geography graph: (vid, part, u, c)."""
+    return runs.train_blocked(spark, sf_dir)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return exact.QUERIES | runs.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(exact.SQL)
