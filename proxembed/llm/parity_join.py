@@ -12,7 +12,7 @@ Steps, all exact:
    class's same part. Unique keys are found with a partial min/max aggregate, so frequent shingles shrink before the shuffle.
 3. Classes left emit their sketch blocks for their own band, and for the next one if a partner may lie there. Blocks that
    no other class has are counted; of the rest, only as many of the rarest as pigeonhole still needs join.
-4. Each block's members are held against its smallest class, verified on whole sets, and joined to components.
+4. Each block's members are held against the one with the most shared blocks, verified on whole sets, and joined to components.
 5. Blocks whose members lie in several components are compared in chunk pairs inside a kernel, by size and sketch
    distance, and only survivors leave it, to be verified. No group is expanded into rows for all its pairs.
 
@@ -97,8 +97,8 @@ def _batch(names: list[str], *arrays: np.ndarray) -> pa.RecordBatch:
 
 
 def sketch_bits(n: int) -> int:
-    """Bits of a set's stored sketch: a power of two of at least twice its size."""
-    return max(256, 1 << (2 * n - 1).bit_length())
+    """Bits of a set's stored sketch: a power of two of at least eight times its size, so few flips cancel."""
+    return max(256, 1 << (8 * n - 1).bit_length())
 
 
 def parity_sketch(tokens: np.ndarray) -> bytes:
@@ -247,19 +247,23 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     shared = blocks.join(counts, "key")
     side = Window.partitionBy("node", "side")
     kept = shared.withColumn("have", F.count("*").over(side)).withColumn("rank", F.row_number().over(side.orderBy("c", "key")))
-    kept = store(kept.where("rank <= need - (made - have)").select("key", "node", "n"), "blocks")
+    kept = store(kept.where("rank <= need - (made - have)").select("key", "node", "n", "have"), "blocks")
     fits = lambda x, y: (4 * F.least(x, y) >= 3 * F.greatest(x, y))
-    centers = kept.groupBy("key").agg(F.min(F.struct("node", "n")).alias("c")).select("key", F.col("c.node").alias("a"), F.col("c.n").alias("na"))
+    # The member with the most shared blocks: the least edited of near copies, and the same one for most of their blocks.
+    centers = kept.groupBy("key").agg(F.max(F.struct("have", "node", "n")).alias("c")).select("key", F.col("c.node").alias("a"), F.col("c.n").alias("na"))
     stars = kept.join(centers, "key").where((F.col("node") != F.col("a")) & fits(F.col("n"), F.col("na"))).select("a", F.col("node").alias("b")).distinct()
     links = store(verified(stars, sets), "links")
     labels = components(links)
     labelled = kept.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    mixed = labelled.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("g")).where("lo <> hi").select("key", "g")
+    # Blocks with the same members count once: a fingerprint of the members names them.
+    members = (F.bit_xor(F.xxhash64("node")).alias("x"), F.sum(F.pmod(F.xxhash64("node", F.lit(1)), F.lit(1 << 31))).alias("y"))
+    mixed = labelled.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("g"), *members).where("lo <> hi")
+    mixed = mixed.groupBy("g", "x", "y").agg(F.min("key").alias("key")).select("key", "g")
     rest = store(labelled.join(mixed, "key").join(sets.select("node", "sketch"), "node").select("key", "g", "node", "n", "label", "sketch"), "mixed-blocks")
     if not rest.isEmpty():
         more = verified(compared(rest), sets)
         joined = more.join(labels.select(F.col("node").alias("a"), F.col("label").alias("la")), "a", "left").join(labels.select(F.col("node").alias("b"), F.col("label").alias("lb")), "b", "left")
-        merges = joined.select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b")).distinct()
+        merges = store(joined.select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b")).distinct(), "merges")
         roots = components(merges)
         known = labels.unionByName(merges.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(labels, "node", "left_anti").withColumn("label", F.col("node")))
         labels = known.join(roots.select(F.col("node").alias("label"), F.col("label").alias("root")), "label", "left").select("node", F.coalesce("root", "label").alias("label"))
