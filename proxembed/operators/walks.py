@@ -148,6 +148,7 @@ def walk_pairs(steps: DataFrame, window: int = 2, unit: str = "nodes") -> DataFr
     ends = [F.struct(F.lit(k + 1).alias("hop"), (F.col("dst") if k == 0 else F.lead("dst", k).over(order)).alias("v"), (F.col("dst_part") if k == 0 else F.lead("dst_part", k).over(order)).alias("v_part")) for k in range(hops)]
     if not ends:
         return steps.limit(0).select("walk_id", "step", F.lit(1).alias("hop"), F.col("src_part").alias("part"), F.col("src").alias("u"), F.col("dst").alias("v"), F.col("dst_part").alias("v_part"))
-    return steps.select("walk_id", "step", F.col("src_part").alias("part"), F.col("src").alias("u"), F.explode(F.array(*ends)).alias("e")).where("e.v is not null").select("walk_id", "step", "e.hop", "part", "u", "e.v", "e.v_part")
+    spread = steps.select("walk_id", "step", F.col("src_part").alias("part"), F.col("src").alias("u"), F.array(*ends).alias("ends"))
+    return spread.select("walk_id", "step", "part", "u", F.explode("ends").alias("e")).where("e.v is not null").select("walk_id", "step", "e.hop", "part", "u", "e.v", "e.v_part")
 
 

@@ -108,7 +108,7 @@ _FIT = f"fit AS (SELECT vid, deg, least({P - 1}, ((sum(deg) OVER (ORDER BY vid)
 
 @query(f"{base('part_supplier')}, {_FIT} SELECT vid, deg, part FROM fit")
 def cut_by_edges(spark: SparkSession, d: str) -> DataFrame:
-    return longs(partition.first_fit(graph(spark, d, "part_supplier"), P))
+    return longs(partition.first_fit(graph(spark, d, "part_supplier"), P).select("vid", "deg", "part"))
 
 
 @query(f"{base('geography')}, {_FIT}, loads AS (SELECT part, sum(deg) AS load FROM fit GROUP BY part) SELECT 'geography' AS graph, (count(*) = {P} AND max(load) <= 1.1 * sum(load) / {P}) AS balanced FROM loads")
@@ -284,7 +284,7 @@ def rounds_all(spark: SparkSession, d: str) -> DataFrame:
 def _fold_sql(rule: str, keep: str, size: int, batches: int) -> str:
     """The fold as recursion over batches with lists of starts."""
     some = {"any": "list_max", "all": "list_min"}[rule]
-    first = "f.at" if keep == "ever" else "f.at + 1"
+    first = "f.upto" if keep == "ever" else "f.upto + 1"
     after = "f.start[i] + least(c.b[i] - f.start[i], {0})".format(size)
     if keep == "once":
         after = f"greatest({after}, f.b[i])"
@@ -294,10 +294,10 @@ def _fold_sql(rule: str, keep: str, size: int, batches: int) -> str:
     left = "0" if keep == "none" else left
     return f"""WITH RECURSIVE {YIELDS}, calls AS (SELECT batch * 8 + round AS call, part, pairs FROM yields),
 grid AS (SELECT c.range AS call, p.range AS part FROM range(24) c, range(4) p),
-cum AS (SELECT call + 1 AS at, list(total ORDER BY part) AS b FROM (SELECT g.call, g.part, sum(coalesce(pairs, 0)) OVER (PARTITION BY g.part ORDER BY g.call)::BIGINT AS total FROM grid g LEFT JOIN calls USING (call, part)) GROUP BY call UNION ALL SELECT 0, [0, 0, 0, 0]::BIGINT[]),
-fold AS (SELECT -1::BIGINT AS batch, 0::BIGINT AS at, 0::BIGINT AS calls, [0, 0, 0, 0]::BIGINT[] AS start, [0, 0, 0, 0]::BIGINT[] AS b, [0, 0, 0, 0]::BIGINT[] AS began, [0, 0, 0, 0]::BIGINT[] AS kept, [0, 0, 0, 0]::BIGINT[] AS spill
-UNION ALL SELECT f.batch + 1, c.at, c.at - f.at, list_transform([1, 2, 3, 4], lambda i: {after}), c.b, f.start, list_transform([1, 2, 3, 4], lambda i: least(c.b[i] - f.start[i], {size})), list_transform([1, 2, 3, 4], lambda i: {left})
-FROM fold f JOIN cum c ON c.at >= {first} AND {some}(list_transform([1, 2, 3, 4], lambda i: c.b[i] - f.start[i])) >= {size} WHERE f.batch + 1 < {batches} QUALIFY row_number() OVER (PARTITION BY f.batch ORDER BY c.at) = 1)
+cum AS (SELECT call + 1 AS upto, list(total ORDER BY part) AS b FROM (SELECT g.call, g.part, sum(coalesce(pairs, 0)) OVER (PARTITION BY g.part ORDER BY g.call)::BIGINT AS total FROM grid g LEFT JOIN calls USING (call, part)) GROUP BY call UNION ALL SELECT 0, [0, 0, 0, 0]::BIGINT[]),
+fold AS (SELECT -1::BIGINT AS batch, 0::BIGINT AS upto, 0::BIGINT AS calls, [0, 0, 0, 0]::BIGINT[] AS start, [0, 0, 0, 0]::BIGINT[] AS b, [0, 0, 0, 0]::BIGINT[] AS began, [0, 0, 0, 0]::BIGINT[] AS kept, [0, 0, 0, 0]::BIGINT[] AS spill
+UNION ALL SELECT f.batch + 1, c.upto, c.upto - f.upto, list_transform([1, 2, 3, 4], lambda i: {after}), c.b, f.start, list_transform([1, 2, 3, 4], lambda i: least(c.b[i] - f.start[i], {size})), list_transform([1, 2, 3, 4], lambda i: {left})
+FROM fold f JOIN cum c ON c.upto >= {first} AND {some}(list_transform([1, 2, 3, 4], lambda i: c.b[i] - f.start[i])) >= {size} WHERE f.batch + 1 < {batches} QUALIFY row_number() OVER (PARTITION BY f.batch ORDER BY c.upto) = 1)
 SELECT batch, i - 1 AS part, calls, began[i] AS start, kept[i] AS kept, spill[i] AS spill FROM fold, (SELECT unnest([1, 2, 3, 4]) AS i) WHERE batch >= 0"""
 
 
@@ -322,9 +322,9 @@ def reuse_all_closed_form(spark: SparkSession, d: str) -> DataFrame:
     return quota.reuse_all_closed_form(calls, 900, 5)
 
 
-def _sample_sql(local: bool, reach: str, size: int, rounds: int) -> str:
+def _sample_sql(local: bool, reach: str, size: int, rounds: int, name: str = "customer_part") -> str:
     d = draw_sql(SEED, PRUNE, "batch", "part", "seq")
-    return f"""{base('customer_part', recursive=True)}, {roots_cte(2, rounds)}, {walk_cte(5, local)},
+    return f"""{base(name, recursive=True)}, {roots_cte(2, rounds)}, {walk_cte(5, local)},
 drawn AS (SELECT (walk_id // {P}) // 1048576 AS batch, (walk_id // {P}) % 1048576 AS round, src_part AS part, walk_id, step, src AS u, dst AS v, dst_part AS v_part FROM steps),
 grid AS (SELECT b.range AS batch, r.range AS round, p.range AS part FROM range(2) b, range({rounds}) r, range({P}) p),
 yields AS (SELECT g.batch, g.round, g.part, count(walk_id) AS pairs FROM grid g LEFT JOIN drawn USING (batch, round, part) GROUP BY ALL),
@@ -335,14 +335,14 @@ pruned AS (SELECT *, row_number() OVER (PARTITION BY batch, part ORDER BY {d}, s
 SELECT batch, part, place AS seq, u, v, v_part FROM pruned WHERE place < {size}"""
 
 
-def _sample(spark: SparkSession, d: str, rule: str, kind: str) -> variants.Sample:
+def _sample(spark: SparkSession, d: str, rule: str, kind: str, name: str = "customer_part") -> variants.Sample:
     c = variants.SampleConfig(batch_size=12, batches=2, length=5, seed=SEED, backend="md5", rounds=32)
-    return variants.sample(graph(spark, d, "customer_part"), variants.Variant(rule, kind), c)
+    return variants.sample(graph(spark, d, name), variants.Variant(rule, kind), c)
 
 
-@query(_sample_sql(True, "max", 12, 32))
+@query(_sample_sql(True, "max", 12, 32, "copurchase"))
 def sample_local(spark: SparkSession, d: str) -> DataFrame:
-    return longs(_sample(spark, d, "any", "local").pairs.drop("age"))
+    return longs(_sample(spark, d, "any", "local", "copurchase").pairs.drop("age"))
 
 
 @query(_sample_sql(False, "min", 12, 32))

@@ -24,7 +24,7 @@ def run(f: Callable[[SparkSession, str], DataFrame]) -> Callable[[SparkSession,
 
 def _drawn(spark: SparkSession, d: str, variant: Variant, batch_size: int = 64, batches: int = 2):
     g = graph(spark, d, "geography")
-    s = sample(g, variant, SampleConfig(batch_size=batch_size, batches=batches, length=20, rounds=8, max_levels=200))
+    s = sample(g, variant, SampleConfig(batch_size=batch_size, batches=batches, length=20, rounds=8, max_levels=40))
     return g, s
 
 

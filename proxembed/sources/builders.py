@@ -74,7 +74,8 @@ def word_pair(spark: SparkSession, d: str, reach: int = 2) -> DataFrame:
     """Words within `reach` places of each other in benchmark items; `documents` takes the same path."""
     words = table(spark, d, "benchmark").select("item_id", F.posexplode(F.filter(F.split(F.lower("text"), r"[^\p{L}]+"), lambda x: F.length(x) >= 2)).alias("at", "word"))
     w = Window.partitionBy("item_id").orderBy("at")
-    near = words.select("word", F.explode(F.array(*[F.lead("word", k).over(w) for k in range(1, reach + 1)])).alias("other")).where("other is not null")
+    after = words.select("word", F.array(*[F.lead("word", k).over(w) for k in range(1, reach + 1)]).alias("after"))
+    near = after.select("word", F.explode("after").alias("other")).where("other is not null")
     pairs = near.select(F.least("word", "other").alias("x"), F.greatest("word", "other").alias("y")).where("x <> y")
     return pairs.groupBy("x", "y").agg(F.count("*").alias("w")).select(_key("t", "x").alias("a"), _key("t", "y").alias("b"), "w")
 
@@ -154,13 +155,13 @@ SQL = {
     "web": "SELECT 'g:' || page_id AS a, 'h:' || href AS b, count(*) AS w FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS href FROM pages) GROUP BY page_id, href",
     "user_key": "SELECT 'u:' || user_id AS a, 'k:' || k AS b, count(*) AS w FROM (SELECT user_id, props::JSON ->> '$.k' AS k FROM events) WHERE k IS NOT NULL GROUP BY user_id, k",
     "dialogue": f"SELECT 'x:' || x AS a, 'x:' || y AS b, 1 AS w FROM (SELECT conv_id || '-' || turn AS x, lead(conv_id || '-' || turn) OVER (PARTITION BY conv_id ORDER BY turn) AS y FROM conversations) WHERE y IS NOT NULL UNION ALL SELECT 'x:' || x, 't:' || word, count(*) FROM (SELECT conv_id || '-' || turn AS x, {_WORDS.format('text')} AS word FROM conversations) WHERE length(word) >= 2 GROUP BY x, word",
-    "word_pair": "SELECT 't:' || least(x, y) AS a, 't:' || greatest(x, y) AS b, count(*) AS w FROM (SELECT p.word AS x, q.word AS y FROM words p JOIN words q ON p.item_id = q.item_id AND q.at BETWEEN p.at + 1 AND p.at + 2 WHERE p.word <> q.word) GROUP BY least(x, y), greatest(x, y)",
+    "word_pair": "SELECT 't:' || least(x, y) AS a, 't:' || greatest(x, y) AS b, count(*) AS w FROM (SELECT p.word AS x, q.word AS y FROM words p JOIN words q ON p.item_id = q.item_id AND q.pos BETWEEN p.pos + 1 AND p.pos + 2 WHERE p.word <> q.word) GROUP BY least(x, y), greatest(x, y)",
     "vector_knn": "SELECT 'v:' || x AS a, 'v:' || y AS b, max(w) AS w FROM (SELECT least(i, o) AS x, greatest(i, o) AS y, greatest(1, round(s * 1000))::BIGINT AS w FROM (SELECT i, o, s, row_number() OVER (PARTITION BY i ORDER BY s DESC, o) AS r FROM (SELECT p.vec_id AS i, q.vec_id AS o, round(list_dot_product(p.embedding::DOUBLE[], q.embedding::DOUBLE[]) / (sqrt(list_dot_product(p.embedding::DOUBLE[], p.embedding::DOUBLE[])) * sqrt(list_dot_product(q.embedding::DOUBLE[], q.embedding::DOUBLE[]))), 6) AS s FROM embeddings p JOIN embeddings q ON p.vec_id <> q.vec_id)) WHERE r <= 10 AND s > 0) GROUP BY x, y",
     "near_doc": f"SELECT 'd:' || i AS a, 'd:' || o AS b, round(1000 * c / (n + m - c))::BIGINT AS w FROM (SELECT p.doc_id AS i, q.doc_id AS o, count(*) AS c, any_value(p.n) AS n, any_value(q.n) AS m FROM sized p JOIN sized q ON p.word = q.word AND p.doc_id < q.doc_id GROUP BY p.doc_id, q.doc_id) WHERE c / (n + m - c) >= 0.5",
 }
 #: Common table expressions that some of the texts name.
 WITH = {
-    "word_pair": "words AS (SELECT item_id, word, row_number() OVER (PARTITION BY item_id ORDER BY at) AS at FROM (SELECT item_id, unnest(l) AS word, generate_subscripts(l, 1) AS at FROM (SELECT item_id, regexp_split_to_array(lower(text), '[^\\p{L}]+') AS l FROM benchmark)) WHERE length(word) >= 2)",
+    "word_pair": "words AS (SELECT item_id, word, row_number() OVER (PARTITION BY item_id ORDER BY pos) AS pos FROM (SELECT item_id, unnest(l) AS word, generate_subscripts(l, 1) AS pos FROM (SELECT item_id, regexp_split_to_array(lower(text), '[^\\p{L}]+') AS l FROM benchmark)) WHERE length(word) >= 2)",
     "near_doc": f"sized AS (SELECT doc_id, word, count(*) OVER (PARTITION BY doc_id) AS n FROM (SELECT DISTINCT doc_id, word FROM (SELECT doc_id, {_WORDS.format('text')} AS word FROM documents) WHERE length(word) >= 2))",
 }
 
