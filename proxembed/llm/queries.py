@@ -13,6 +13,7 @@ from proxembed.llm.multi_index import op10_multi_index
 from proxembed.llm.packing import op3_best_fit_packing
 from proxembed.llm.parity_join import op4_parity_join
 from proxembed.llm.secret_scan import op2_secret_ledger
+from proxembed.llm.subword import op7_streaming_viterbi
 from proxembed.llm.toxicity import op8_ordinal_toxicity
 from proxembed.llm.warc import op1_warc_segments
 
@@ -27,6 +28,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_parity_join": op4_parity_join,
         "op5_tree_scoring": op5_tree_scoring,
         "op6_audio_features": op6_audio_features,
+        "op7_streaming_viterbi": op7_streaming_viterbi,
         "op8_ordinal_toxicity": op8_ordinal_toxicity,
         "op9_line_dedup": op9_line_dedup,
         "op10_multi_index": op10_multi_index,
