@@ -92,3 +92,17 @@ def comm_volume(spark: SparkSession, d: str) -> DataFrame:
     return measure.comm_volume(signed(s.pairs, sampling.negatives(s.pairs, g, 1)).withColumn("part", F.col("part").cast("int")), CONFIG.dim)
 
 
+
+
+def _experiment(name: str) -> None:
+    def f(spark: SparkSession, d: str) -> DataFrame:
+        from proxembed.plans import workloads
+
+        return workloads.EXPERIMENTS[name](spark, d)
+
+    QUERIES[name] = f
+
+
+#: The quicker experiments also run as queries; the others by `python -m proxembed.plans.workloads`.
+for _name in ("x02_edge_buckets", "x08_positives", "x16_cuts"):
+    _experiment(_name)
