@@ -26,9 +26,9 @@ from pyspark.sql import functions as F
 
 from proxembed.llm.common import store, table
 
-CENTROIDS = 32
+CENTROIDS = 64
 FIT_ROWS = 20_000
-SHARE, LEAST = 0.35, 6_000
+SHARE, LEAST = 0.5, 6_000
 SHARD_ROWS, BLOCK_QUERIES = 16_384, 1_024
 
 
@@ -132,7 +132,9 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 20, centroids: int =
             for a in range(0, len(q), 128):
                 scores = q[a : a + 128] @ v.T
                 for n, (query, walked) in enumerate(zip(left["query_id"].iloc[a : a + 128], left["cells"].iloc[a : a + 128], strict=True)):
-                    pick = np.flatnonzero(np.isin(cell, walked) & (ids != query))
+                    known = np.zeros(cells, dtype=bool)
+                    known[walked] = True
+                    pick = np.flatnonzero(known[cell] & (ids != query))
                     if len(pick) > k:
                         s = scores[n, pick]
                         pick = pick[s >= np.partition(s, len(s) - k)[len(s) - k] - 1e-9]
