@@ -78,11 +78,14 @@ def string_chunks(column: pa.Array | pa.ChunkedArray, limit: int = CHUNK_BYTES)
         first = last
 
 
-def word_hashes(data: np.ndarray, offsets: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """All words' 64-bit hashes in order, and for each row the index of its first word (one entry more at the end)."""
+def word_hashes(data: np.ndarray, offsets: np.ndarray, table: np.ndarray, prefix: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """All words' 64-bit hashes in order, and for each row the index of its first word (one entry more at the end).
+
+    With `prefix`, a second row of hashes stands for the words' first bytes; words no longer than that hash to 0 there.
+    """
     rows = len(offsets) - 1
     if len(data) == 0:
-        return np.zeros(0, dtype=np.uint64), np.zeros(rows + 1, dtype=np.int64)
+        return np.zeros((2, 0) if prefix else 0, dtype=np.uint64), np.zeros(rows + 1, dtype=np.int64)
     folded = table[data]
     inside = folded != 0
     start = inside.copy()
@@ -101,6 +104,10 @@ def word_hashes(data: np.ndarray, offsets: np.ndarray, table: np.ndarray) -> tup
         sums = np.zeros(len(data) + 1, dtype=np.uint64)
         np.cumsum(folded * up[: len(data)], dtype=np.uint64, out=sums[1:])
         hashes = mix((sums[ends] - sums[starts]) * down[starts] + (ends - starts).astype(np.uint64))
+        if prefix:
+            long = ends - starts > prefix
+            head = (sums[np.where(long, starts + prefix, starts)] - sums[starts]) * down[starts]
+            hashes = np.stack([hashes, np.where(long, mix(head + np.uint64(0x5851F42D4C957F2D)), np.uint64(0))])
     return hashes, np.searchsorted(starts, offsets)
 
 

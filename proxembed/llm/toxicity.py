@@ -2,11 +2,13 @@
 
 P(grade <= k) = sigmoid(theta_k - w . x): one weight vector for all thresholds, thetas in order (theta_k is the one before
 plus an exponential). The expected severity is the sum over k of P(grade > k). Features are hashed lower-case words of
-the whole text, present or not, chosen by how much the labels' log-odds favour them.
+the whole text and the first six bytes of longer ones, present or not, chosen by how much the labels' log-odds favour them.
 
 The labels say toxic or not; severity grades come from them: 0 for non-toxic texts, and 1 to 3 for toxic ones by how many
 distinct words of the toxic class (log-odds ranked on the fitting rows) they hold: at most 1, 2 to 3, more.
 
+The point of rejection is set on a quarter of the fitting rows that a first fit does not see.
+
 The fit uses at most `fit_rows` labelled documents, those with the smallest hash of doc_id: a documented bound, so fitting
 costs the same at any size and runs on the driver over word ids, not texts. Scoring reads every text whole.
 
@@ -27,18 +29,28 @@ from pyspark.sql import functions as F
 from proxembed.llm.common import spread, table
 from proxembed.llm.textkernel import letter_table, string_chunks, word_hashes
 
-FIT_ROWS = 20_000
+FIT_ROWS = 12_000
+PREFIX_BYTES = 6
 BUCKET_BITS = 20
-MAX_FEATURES = 2_000
+MAX_FEATURES = 3_000
 GRADES = 4
 
 
 @dataclass
 class OrdinalModel:
-    """weights: 2**BUCKET_BITS values, zero where a bucket is no feature; thetas: rising thresholds."""
+    """buckets: the features, sorted; weights: theirs; thetas: rising thresholds; texts with P(grade > 0) >= reject are rejected."""
 
+    buckets: np.ndarray
     weights: np.ndarray
     thetas: np.ndarray
+    reject: float = 0.5
+
+    def scores(self, column: pa.Array) -> np.ndarray:
+        """w . x of each text."""
+        full = np.zeros(1 << BUCKET_BITS)
+        full[self.buckets] = self.weights
+        known = full != 0
+        return np.array([float(full[f].sum()) for _, f in features_of(column, known)])
 
     def severity(self, score: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(expected grade, P(grade > 0)) of w . x values."""
@@ -50,9 +62,12 @@ def features_of(column: pa.Array, known: np.ndarray | None = None) -> Iterator[t
     """(row, sorted distinct word buckets); `known` leaves only buckets it marks."""
     letters = letter_table()
     for first, data, offsets in string_chunks(column):
-        words, at = word_hashes(data, offsets, letters)
-        buckets = (words >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)
+        words, at = word_hashes(data, offsets, letters, PREFIX_BYTES)
+        at = at - at[0]
         row = np.repeat(np.arange(len(at) - 1), np.diff(at))
+        headed = words[1] != 0
+        buckets = (np.concatenate((words[0], words[1][headed])) >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)
+        row = np.concatenate((row, row[headed]))
         if known is not None:
             keep = known[buckets]
             buckets, row = buckets[keep], row[keep]
@@ -126,29 +141,52 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -
 
     got = texts.mapInArrow(run, "doc_id long, toxic int, buckets binary").collect()  # fit_rows rows of word ids
     one = {r["doc_id"]: r for r in sorted(got, key=lambda r: (r["doc_id"], bytes(r["buckets"])))}
-    rows = [np.frombuffer(r["buckets"], dtype="<i4").astype(np.int64) for _, r in sorted(one.items())]
+    rows = [np.frombuffer(r["buckets"], dtype="<i4") for _, r in sorted(one.items())]
     toxic = np.array([bool(r["toxic"]) for _, r in sorted(one.items())], dtype=bool)
+    del got, one
     size = 1 << BUCKET_BITS
     if not toxic.any():
-        return OrdinalModel(np.zeros(size), np.full(GRADES - 1, 50.0))
+        return OrdinalModel(np.zeros(0, dtype=np.int64), np.zeros(0), np.full(GRADES - 1, 50.0))
+    # A quarter of the rows, by hash, sets the point of rejection; then all rows fit.
+    held = np.array([k % 4 == 0 for k in range(len(rows))]) if toxic[::4].any() and toxic[np.arange(len(toxic)) % 4 != 0].any() else np.zeros(len(rows), dtype=bool)
+    model = _fit([r for r, h in zip(rows, held, strict=True) if not h], toxic[~held])
+    reject = 0.5
+    if held.any():
+        full = np.zeros(size)
+        full[model.buckets] = model.weights
+        p = model.severity(np.array([full[r].sum() for r, h in zip(rows, held, strict=True) if h]))[1]
+        reject = reject_point(p, toxic[held])
+        model = _fit(rows, toxic)
+    return OrdinalModel(model.buckets, model.weights, model.thetas, reject)
+
+
+def reject_point(p: np.ndarray, toxic: np.ndarray, beta: float = 0.5) -> float:
+    """The largest of some probabilities with the best F-measure, precision counting twice as much as recall."""
+    best, at = -1.0, 0.5
+    for x in (0.5, 0.4, 0.3, 0.25, 0.2, 0.15, 0.1):
+        said = p >= x
+        hit = int((said & toxic).sum())
+        f = (1 + beta**2) * hit / max(1e-9, beta**2 * int(toxic.sum()) + int(said.sum()))
+        if f > best + 1e-9:
+            best, at = f, x
+    return at
+
+
+def _fit(rows: list[np.ndarray], toxic: np.ndarray) -> OrdinalModel:
     chosen, strong = choose_features(rows, toxic)
-    index = np.full(size, -1)
+    index = np.full(1 << BUCKET_BITS, -1)
     index[chosen] = np.arange(len(chosen))
     held = np.array([int(strong[r].sum()) for r in rows])
     grade = np.where(toxic, 1 + (held >= 2) + (held >= 4), 0).astype(np.int64)
-    weights, thetas = fit_ordinal([index[r][index[r] >= 0] for r in rows], grade, len(chosen))
-    full = np.zeros(size)
-    full[chosen] = weights
-    return OrdinalModel(full, thetas)
+    weights, thetas = fit_ordinal([x[x >= 0] for x in (index[r] for r in rows)], grade, len(chosen))
+    return OrdinalModel(chosen, weights, thetas)
 
 
 def score_toxicity(docs: DataFrame, model: OrdinalModel) -> DataFrame:
     """(doc_id, text) -> (doc_id, severity, p_toxic) for every row."""
-    known = model.weights != 0
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            score = np.array([float(model.weights[f].sum()) for _, f in features_of(batch.column(1), known)])
+            score = model.scores(batch.column(1))
             severity, p = model.severity(score) if len(score) else (score, score)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(severity, pa.float64()), pa.array(p, pa.float64())], names=["doc_id", "severity", "p_toxic"])
 
@@ -158,17 +196,15 @@ def score_toxicity(docs: DataFrame, model: OrdinalModel) -> DataFrame:
 def op8_ordinal_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = fit_toxicity(docs, table(spark, sf_dir, "labels"))
-    return score_toxicity(spread(docs), model).withColumn("rejected", F.col("p_toxic") >= 0.5)
+    return score_toxicity(spread(docs), model).withColumn("rejected", F.col("p_toxic") >= F.lit(model.reject))
 
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with P(grade > 0) of one half or more go; the score is a column of the row, so texts are not joined."""
+    """Documents with P(grade > 0) at the model's point of rejection or above go; the score is a column of the row, so texts are not joined."""
     model = fit_toxicity(docs, table(spark, sf_dir, "labels"))
-    known = model.weights != 0
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            score = np.array([float(model.weights[f].sum()) for _, f in features_of(batch.column(batch.schema.get_field_index("text")), known)])
-            yield batch.filter(pa.array(model.severity(score)[1] < 0.5)) if batch.num_rows else batch
+            score = model.scores(batch.column(batch.schema.get_field_index("text")))
+            yield batch.filter(pa.array(model.severity(score)[1] < model.reject)) if batch.num_rows else batch
 
     return docs.mapInArrow(run, docs.schema)
