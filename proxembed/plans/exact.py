@@ -549,3 +549,56 @@ def event_interval_edges(spark: SparkSession, d: str) -> DataFrame:
 
     e = streams.read_events(spark, d)
     return streams.co_events(e, e)
+
+
+# Reports that users of a graph ask for
+
+
+@query(f"{base('customer_part')} SELECT vid, place, dst, w FROM (SELECT src AS vid, dst, w, row_number() OVER (PARTITION BY src ORDER BY w DESC, dst) AS place FROM edges) WHERE place <= 3")
+def top_neighbors(spark: SparkSession, d: str) -> DataFrame:
+    """The three heaviest neighbours of each vertex; Spark limits groups before the shuffle."""
+    w = Window.partitionBy("src").orderBy(F.desc("w"), "dst")
+    e = graph(spark, d, "customer_part").edges.withColumn("place", F.row_number().over(w)).where("place <= 3")
+    return longs(e.select(F.col("src").alias("vid"), "place", "dst", "w"))
+
+
+@query(f"{base('part_supplier')} SELECT deg, count(*) AS n, sum(count(*)) OVER (ORDER BY deg DESC)::BIGINT AS at_least FROM vertices GROUP BY deg")
+def degree_histogram(spark: SparkSession, d: str) -> DataFrame:
+    counts = graph(spark, d, "part_supplier").vertices.groupBy("deg").agg(F.count("*").alias("n"))
+    return counts.withColumn("at_least", F.sum("n").over(Window.orderBy(F.desc("deg")).rowsBetween(Window.unboundedPreceding, 0)))  # a row for each degree
+
+
+@query(f"{base('part_supplier')} SELECT v.vid, v.deg, count(*) AS hub_links FROM vertices v JOIN edges e ON e.src = v.vid WHERE v.deg > 5 * (SELECT avg(deg) FROM vertices) AND e.dst IN (SELECT vid FROM vertices WHERE deg < (SELECT avg(deg) FROM vertices)) GROUP BY v.vid, v.deg")
+def hubs(spark: SparkSession, d: str) -> DataFrame:
+    """Vertices of over five times the mean degree, and how many of their neighbours lie below it."""
+    g = graph(spark, d, "part_supplier")
+    mean = F.broadcast(g.vertices.agg(F.avg("deg").alias("mean")))  # one row
+    v = g.vertices.crossJoin(mean)
+    low = v.where("deg < mean").select(F.col("vid").alias("dst"))
+    big = v.where("deg > 5 * mean").select("vid", "deg")
+    return g.edges.select(F.col("src").alias("vid"), "dst").join(low, "dst", "left_semi").join(big, "vid").groupBy("vid", "deg").agg(F.count("*").alias("hub_links"))
+
+
+@query(f"{base('customer_part')}, {roots_cte(3, 40)}, {_NEG} SELECT part, count(*) FILTER (v_part = 0) AS to_0, count(*) FILTER (v_part = 1) AS to_1, count(*) FILTER (v_part = 2) AS to_2, count(*) FILTER (v_part = 3) AS to_3 FROM neg GROUP BY part")
+def negative_flow(spark: SparkSession, d: str) -> DataFrame:
+    """Negatives by owner and target part, pivoted."""
+    n = sampling.negatives(_pairs(spark, d), graph(spark, d, "customer_part"), 2, seed=SEED, backend="md5")
+    wide = n.groupBy("part").pivot("v_part", list(range(P))).count().na.fill(0)
+    return longs(wide.select("part", *[F.col(str(k)).alias(f"to_{k}") for k in range(P)]))
+
+
+@query("WITH one AS (SELECT l_suppkey % 7 AS part, count(*) AS n FROM lineitem WHERE l_suppkey % 7 < 5 GROUP BY 1), two AS (SELECT l_partkey % 7 AS part, count(*) AS m FROM lineitem WHERE l_partkey % 7 > 1 GROUP BY 1) SELECT part, coalesce(n, 0) AS n, coalesce(m, 0) AS m FROM one FULL JOIN two USING (part)")
+def compare_loads(spark: SparkSession, d: str) -> DataFrame:
+    """Loads of two cuts side by side; parts that only one has are kept."""
+    li = builders.table(spark, d, "lineitem")
+    one = li.where("l_suppkey % 7 < 5").groupBy((F.col("l_suppkey") % 7).alias("part")).agg(F.count("*").alias("n"))
+    two = li.where("l_partkey % 7 > 1").groupBy((F.col("l_partkey") % 7).alias("part")).agg(F.count("*").alias("m"))
+    return one.join(two, "part", "full").na.fill(0)
+
+
+@query("SELECT user_id, epoch_us(s.slide) AS start_us, count(*) AS w FROM events, (SELECT unnest([0, 30]) AS o), LATERAL (SELECT time_bucket(INTERVAL 30 MINUTE, ts) - o * INTERVAL 1 MINUTE AS slide) s GROUP BY 1, 2")
+def event_sliding(spark: SparkSession, d: str) -> DataFrame:
+    from proxembed.streaming import streams
+
+    ev = streams.read_events(spark, d).withColumn("k", F.lit("x"))
+    return streams.edge_windows(ev, "1 hour", "30 minutes").select("user_id", F.unix_micros("start").alias("start_us"), "w")

@@ -85,3 +85,15 @@ def test_vector_sql(spark):
     vectors.register_sql(spark)
     r = spark.sql("SELECT vec_dot(array(1D, 2D), array(3D, 4D)) d, vec_cosine(array(1D, 0D), array(0D, 2D)) c, proximity(array(0D), array(1D)) p").first()
     assert (r["d"], r["c"], r["p"]) == (11.0, 0.0, 0.5)
+
+
+def test_table_functions(spark, five):
+    from proxembed.functions.tables import register_alias, register_walk
+
+    register_walk(spark, five)
+    steps = spark.sql("SELECT * FROM walk_from(0, 6)").orderBy("step").collect()
+    edges = {(r["src"], r["dst"]) for r in five.edges.collect()}
+    assert len(steps) == 6 and all((r["src"], r["dst"]) in edges for r in steps)
+    assert all(a["dst"] == b["src"] for a, b in zip(steps, steps[1:], strict=False))
+    register_alias(spark)
+    assert spark.sql("SELECT * FROM alias_rows(array(1D, 1D, 2D))").count() == 3
