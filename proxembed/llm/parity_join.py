@@ -31,6 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from proxembed.functions.rng import draw, draw_numpy
 from proxembed.llm.common import spread, store, table
 from proxembed.llm.components import components
 from proxembed.llm.textkernel import mix, shingle_sets, space_table, string_chunks, word_hashes
@@ -38,6 +39,7 @@ from proxembed.llm.textkernel import mix, shingle_sets, space_table, string_chun
 SINGLE_BELOW = 256
 CHUNK = 512
 BLOCKS_PER_TOP = 0.36
+FILTER_BITS, BITMAP_BITS, FILTER_STREAM = 1 << 26, 32_768, 101
 
 
 def fingerprint(tokens: np.ndarray) -> int:
@@ -227,6 +229,31 @@ def compared(rows: DataFrame) -> DataFrame:
     return dealt.select("bucket", "key", "ci", "cj", "chunk", "node", "n", "label", "sketch").groupBy("bucket").applyInPandas(run, "a long, b long").distinct()
 
 
+def id_filter(ids: DataFrame, column: str) -> np.ndarray:
+    """A bit table of FILTER_BITS bits that holds every id: 8 MB whatever the number of ids, so it may travel.
+
+    Ids outside may pass, for bits are shared; what passes is joined on the id anyway.
+    """
+    bit = ids.select((draw(1, FILTER_STREAM, column) % FILTER_BITS).alias("bit"))
+    rows = bit.groupBy(F.expr(f"bit div {BITMAP_BITS}").alias("bucket")).agg(F.bitmap_construct_agg(F.expr(f"bit % {BITMAP_BITS}")).alias("bits")).collect()  # FILTER_BITS in all
+    out = np.zeros(FILTER_BITS // 8, dtype=np.uint8)
+    for r in rows:
+        part = np.frombuffer(bytes(r["bits"]), dtype=np.uint8)
+        out[r["bucket"] * BITMAP_BITS // 8 : r["bucket"] * BITMAP_BITS // 8 + len(part)] = part
+    return out
+
+
+def passing(texts: DataFrame, bits: np.ndarray) -> DataFrame:
+    """(doc_id, text) rows whose id the filter may hold."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = draw_numpy(1, FILTER_STREAM, batch.column(0).to_numpy(zero_copy_only=False)) % FILTER_BITS
+            yield batch.filter(pa.array((bits[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1))
+
+    return texts.mapInArrow(run, "doc_id long, text string")
+
+
 def jaccard_components(docs: DataFrame) -> DataFrame:
     """(doc_id, text) -> (doc_id, n_shingles, component_id), a row for each input row."""
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
@@ -239,8 +266,9 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     prefix = F.least(n, F.floor(n / 4) + 1 + F.floor(n / 16))
     least = 1 + F.floor(F.ceil(n * 3 / 4) / 16)
     live = classes.where("n >= 3").join(unique, "node", "left").where(prefix - F.coalesce("unique", F.lit(0)) >= F.least(prefix, least)).select("node", "rep")
+    live = store(live, "live")
     # Rows that repeat an id and text count once; the join's partitioning serves that too.
-    fetched = texts.join(live, F.col("doc_id") == F.col("rep")).withColumn("_h", F.xxhash64("text")).dropDuplicates(["doc_id", "node", "_h"])
+    fetched = passing(texts.where("doc_id is not null"), id_filter(live, "rep")).join(live, F.col("doc_id") == F.col("rep")).withColumn("_h", F.xxhash64("text")).dropDuplicates(["doc_id", "node", "_h"])
     sets = store(live_sets(fetched.select("node", "text")), "live-sets")
     blocks = block_keys(sets)
     counts = blocks.groupBy("key").agg(F.count("*").alias("c")).where("c > 1")
