@@ -28,14 +28,14 @@ def sample_spread(pairs: DataFrame, parts: int, batches: int) -> DataFrame:
     n = F.coalesce("n", F.lit(0))
     per = grid.join(pairs.groupBy("batch", "part").agg(F.count("*").alias("n")), ["batch", "part"], "left").select(n.alias("n"))
     return per.agg(F.min("n").alias("least"), F.max("n").alias("most"), F.round(F.avg("n"), 6).alias("mean"), F.round(F.stddev_pop("n"), 6).alias("sigma"),
-                   F.round(F.try_divide(F.max("n"), F.min("n")), 6).alias("ratio"), F.round(100 * (F.max("n") - F.min("n")) / F.avg("n"), 6).alias("spread_percent"), F.sum((F.col("n") == 0).cast("long")).alias("zero_parts"))
+                   F.round(F.try_divide(F.max("n"), F.min("n")), 6).alias("ratio"), F.round(F.try_divide(100 * (F.max("n") - F.min("n")), F.avg("n")), 6).alias("spread_percent"), F.sum((F.col("n") == 0).cast("long")).alias("zero_parts"))
 
 
 def false_positive_share(pairs: DataFrame, g: Graph) -> DataFrame:
     """Share of positive pairs that are no edges."""
     edges = g.edges.select(F.col("src").alias("u"), F.col("dst").alias("v"))
     wrong = pairs.join(edges, ["u", "v"], "left_anti").agg(F.count("*").alias("wrong"))
-    return pairs.agg(F.count("*").alias("n")).crossJoin(wrong).select("n", "wrong", F.round(F.col("wrong") / F.col("n"), 6).alias("share"))  # two rows of one
+    return pairs.agg(F.count("*").alias("n")).crossJoin(wrong).select("n", "wrong", F.round(F.try_divide("wrong", "n"), 6).alias("share"))  # two rows of one
 
 
 def staleness(pairs: DataFrame) -> DataFrame:

@@ -159,6 +159,8 @@ def sample(g: Graph, variant: Variant, c: SampleConfig) -> Sample:
         calls = plan.groupBy("batch").agg(F.max("calls").alias("c")).agg(F.sum("c")).first()[0] or 0
         used = pairs.where(F.col("round") < calls)
     else:
+        # A batch that max_rounds didn't fill keeps what it has; `met` says so.
+        plan = spark_range(g, c.batches).join(plan, "batch", "left").select("batch", F.coalesce("rounds", F.lit(rounds)).cast("int").alias("rounds"))
         in_time = pairs.join(plan, "batch").where("round < rounds")
         seq = numbered(in_time, ["batch", "part"], ["round", "walk_id", "step", "hop"])
         out = prune(seq.select("batch", "part", "seq", "u", "v", "v_part", F.lit(0).alias("age")), c.batch_size, c.seed, c.backend)
@@ -168,6 +170,10 @@ def sample(g: Graph, variant: Variant, c: SampleConfig) -> Sample:
     return Sample(store(out.select("batch", "part", "seq", "u", "v", "v_part", "age"), "pairs"), int(calls), handed, met, idle)
 
 
+def spark_range(g: Graph, batches: int) -> DataFrame:
+    return g.edges.sparkSession.range(batches).select(F.col("id").cast("int").alias("batch"))
+
+
 def _single(g: Graph, c: SampleConfig, idle: list[int]) -> Sample:
     """One long walk from one root, until every part holds the pairs of all batches or `max_levels` steps are made."""
     want, length = c.batch_size * c.batches, min(c.max_levels, c.batch_size * c.batches * max(1, g.parts))
