@@ -8,7 +8,7 @@ shortest run of whole lines with at least `min_words` words is looked up this wa
 same run, every line of the later run goes. Unions of such runs are the maximal repeated runs of that many words, so
 nothing is lost by not going on to longer ones, and the number of doublings depends on `min_words`, not on the corpus.
 
-The sort numbers distinct repeated pairs, not positions, so a line that a third of all rows hold is one row there.
+Joins are merges by hint: small tables would be broadcast through the driver, level after level. The sort numbers distinct repeated pairs, not positions, so a line that a third of all rows hold is one row there.
 
 Defined cases: null text stays null, empty text stays empty; the first copy in order of (doc_id, nulls first, hash of
 the text, line) stays; rows equal in id and text are one document and are treated alike; lines are split at \\n and
@@ -55,7 +55,7 @@ def lines_of(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 
 def _repeated(rows: DataFrame, key: list[str]) -> DataFrame:
     """Rows whose key occurs more than once; counts are partial before their shuffle."""
-    return rows.join(rows.groupBy(*key).agg(F.count("*").alias("_c")).where("_c > 1").drop("_c"), key)
+    return rows.join(rows.groupBy(*key).agg(F.count("*").alias("_c")).where("_c > 1").drop("_c").hint("merge"), key)
 
 
 def _numbered(pairs: DataFrame) -> DataFrame:
@@ -74,19 +74,19 @@ def repeated_spans(lines: DataFrame) -> DataFrame:
     while width <= longest:
         # Runs of width .. 2 * width - 1 lines: the ranks at their first and last `width` lines.
         here = starts.where(f"span >= {width} and span < {2 * width}")
-        named = here.join(ranks.withColumnRenamed("rank", "r1"), ["doc", "at"])
+        named = here.join(ranks.withColumnRenamed("rank", "r1").hint("merge"), ["doc", "at"])
         tail = ranks.select("doc", F.col("at").alias("tail"), F.col("rank").alias("r2"))
-        named = named.withColumn("tail", F.col("at") + F.col("span") - width).join(tail, ["doc", "tail"])
+        named = named.withColumn("tail", F.col("at") + F.col("span") - width).join(tail.hint("merge"), ["doc", "tail"])
         position = F.struct("doc", "at")
         first = named.groupBy("span", "r1", "r2").agg(F.min(position).alias("first"), F.count("*").alias("_c")).where("_c > 1").drop("_c")
-        later = named.join(first, ["span", "r1", "r2"]).where(F.col("first") < position).select("doc", "at", "span")
+        later = named.join(first.hint("merge"), ["span", "r1", "r2"]).where(F.col("first") < position).select("doc", "at", "span")
         found = later if found is None else found.unionByName(later)
         if 2 * width > longest:
             break
         second = ranks.select("doc", (F.col("at") - width).alias("at"), F.col("rank").alias("second"))
-        pairs = ranks.withColumnRenamed("rank", "first").join(second, ["doc", "at"])
+        pairs = ranks.withColumnRenamed("rank", "first").join(second.hint("merge"), ["doc", "at"])
         numbers = _numbered(pairs.groupBy("first", "second").agg(F.count("*").alias("_c")).where("_c > 1").drop("_c"))
-        ranks = store(pairs.join(numbers, ["first", "second"]).select("doc", "at", "rank"), "doubled")
+        ranks = store(pairs.join(numbers.hint("merge"), ["first", "second"]).select("doc", "at", "rank"), "doubled")
         width *= 2
     return starts.limit(0) if found is None else found
 
