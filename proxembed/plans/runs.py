@@ -90,19 +90,3 @@ def classify_nodes(spark: SparkSession, d: str) -> DataFrame:
 def comm_volume(spark: SparkSession, d: str) -> DataFrame:
     g, s = _drawn(spark, d, Variant("all", "fresh"))
     return measure.comm_volume(signed(s.pairs, sampling.negatives(s.pairs, g, 1)).withColumn("part", F.col("part").cast("int")), CONFIG.dim)
-
-
-
-
-def _experiment(name: str) -> None:
-    def f(spark: SparkSession, d: str) -> DataFrame:
-        from proxembed.plans import workloads
-
-        return workloads.EXPERIMENTS[name](spark, d)
-
-    QUERIES[name] = f
-
-
-#: A quick experiment also runs as a query; the others by `python -m proxembed.plans.workloads`.
-for _name in ("x16_cuts",):
-    _experiment(_name)
