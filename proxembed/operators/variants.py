@@ -9,12 +9,12 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from proxembed.functions.rng import AUGMENT, draw
-from proxembed.operators.graph import Graph
+from proxembed.operators.graph import Graph, components
 from proxembed.operators.pairs import numbered, prune
 from proxembed.operators.quota import idle_parts, spill_slices
 from proxembed.operators.sampling import neighbor_index, root_ranges, roots
 from proxembed.operators.storage import store
-from proxembed.operators.walks import walk_block, walk_join, walk_pairs
+from proxembed.operators.walks import LongWalk, walk_block, walk_join, walk_pairs
 
 KINDS = ("local", "fresh", "reuse", "refresh", "single", "pair")
 _NAMES = {"Local": "local", "Remote (Fresh-Only)": "fresh", "Remote (Reuse-Spill)": "reuse", "Remote (Refresh-Spill)": "refresh", "Remote (Augmented-Single)": "single", "Remote (Augmented-Pair)": "pair"}
@@ -60,7 +60,7 @@ class SampleConfig:
     engine: str = "block"
     rounds: int = 4
     max_rounds: int = 512
-    max_levels: int = 2000
+    max_levels: int = 2000  # steps of the long walk's first stretch; it doubles until every part is full
     keep_boundary: bool = False
     index_chunk: int = 4096
     extra: dict = field(default_factory=dict)
@@ -70,6 +70,10 @@ class SampleConfig:
             raise ValueError("batch_size, batches, length and rounds must be 1 or more")
         if self.engine not in ("block", "join") or self.backend not in ("xx", "md5") or self.unit not in ("nodes", "hops"):
             raise ValueError("unknown engine, back end or unit")
+        if self.window < (2 if self.unit == "nodes" else 1):
+            raise ValueError("a window of one vertex holds no pair")
+        if self.max_levels < 1:
+            raise ValueError("max_levels must be 1 or more")
 
 
 @dataclass
@@ -120,6 +124,8 @@ def sample(g: Graph, variant: Variant, c: SampleConfig) -> Sample:
     # A part without edges, or for Local without inner edges, can never fill: its quota is waived and reported.
     inner = Graph(g.vertices, g.edges.where("src_part = dst_part"), g.n, g.parts) if variant.kind == "local" else g
     idle = [r["part"] for r in idle_parts(inner, g.parts).collect()]
+    if len(idle) == g.parts:
+        raise ValueError(f"{variant}: no part has edges to walk, so no batch can fill")
     if variant.kind == "single":
         return _single(g, c, idle)
     if variant.kind == "pair":
@@ -175,14 +181,33 @@ def spark_range(g: Graph, batches: int) -> DataFrame:
 
 
 def _single(g: Graph, c: SampleConfig, idle: list[int]) -> Sample:
-    """One long walk from one root, until every part holds the pairs of all batches or `max_levels` steps are made."""
-    want, length = c.batch_size * c.batches, min(c.max_levels, c.batch_size * c.batches * max(1, g.parts))
-    one = roots(g, 1, 1, c.seed, c.backend).where(F.col("part") == min(set(range(g.parts)) - set(idle), default=0))
-    pairs = store(walk_pairs(_steps(g, one, c, "length", length), c.window, c.unit), "drawn")
-    ordered = numbered(pairs, ["part"], ["walk_id", "step", "hop"]).where(F.col("seq") < want)
-    out = ordered.select((F.col("seq") / c.batch_size).cast("int").alias("batch"), "part", (F.col("seq") % c.batch_size).alias("seq"), "u", "v", "v_part", F.lit(0).alias("age"))
-    full = pairs.groupBy("part").count().where(F.col("count") >= want).count()
-    return Sample(store(out, "pairs"), 1, pairs.where("v_part <> part and hop = 1").count(), full >= g.parts - len(idle), idle)
+    """One long walk from one root, until every part that has edges holds the pairs of all batches.
+
+    The walk goes on in stretches, each as long as all before it; what the last one draws beyond the rule is trimmed. A part
+    that no path joins to the root can't fill: an error.
+    """
+    want, active = c.batch_size * c.batches, sorted(set(range(g.parts)) - set(idle))
+    one = roots(g, 1, 1, c.seed, c.backend).where(F.col("part") == active[0])
+    walk = LongWalk(g, one, c.seed, c.backend)
+    length, joined = c.max_levels, False
+    while True:
+        steps = walk.until(length)
+        ordered = store(numbered(walk_pairs(steps, c.window, c.unit), ["part"], ["walk_id", "step", "hop"]), "drawn")
+        held = {r["part"]: r["count"] for r in ordered.groupBy("part").count().collect()}  # p rows
+        if all(held.get(p, 0) >= want for p in active):
+            break
+        if not joined and len(held) < len(active):
+            labels = components(g)
+            near = g.vertices.where("deg > 0").join(labels.join(labels.join(one.select(F.col("u").alias("vid")), "vid").select("label"), "label"), "vid")
+            lost = set(active) - {r["part"] for r in near.select("part").distinct().collect()}
+            if lost:
+                raise ValueError(f"no path joins the long walk's root to parts {sorted(lost)}: they can't fill")
+            joined = True
+        length *= 2
+    kept = ordered.where(F.col("seq") < want)
+    last = kept.where(F.col("seq") == want - 1).agg(F.max("step")).first()[0]
+    out = kept.select((F.col("seq") / c.batch_size).cast("int").alias("batch"), "part", (F.col("seq") % c.batch_size).alias("seq"), "u", "v", "v_part", F.lit(0).alias("age"))
+    return Sample(store(out, "pairs"), 1, ordered.where("v_part <> part and hop = 1").where(F.col("step") <= last).count(), True, idle)
 
 
 def _pair(g: Graph, c: SampleConfig, idle: list[int]) -> Sample:

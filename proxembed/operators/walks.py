@@ -114,6 +114,52 @@ def walk_block(g: Graph, roots: DataFrame, length: int = 100, stop: str = "lengt
     return out
 
 
+class LongWalk:
+    """The steps of one walk of walk_block, taken up again where it stopped.
+
+    Its walker sits in one task at a time, so adjacency is held in blocks of up to `block_edges` edges, over owners' borders:
+    a graph of one block is walked in one task, a larger one in as many supersteps as the walk crosses blocks.
+    """
+
+    def __init__(self, g: Graph, root: DataFrame, seed: int = 7, backend: str = "xx", block_edges: int = 1 << 20):
+        self.seed, self.backend = seed, backend
+        blocks = max(1, -(-g.edges.count() // block_edges))
+        block = lambda c: F.lit(0) if blocks == 1 else F.expr(f"cast({c} * {blocks} div {max(1, g.n)} as int)")
+        self.block = block
+        ranges = prefix(g.edges, ["src"], ["dst"], "w").select(block("src").alias("part"), "src", "hi", "dst", block("dst").cast("long").alias("dst_part"))
+        self.held = store(ranges.repartition("part"), "adjacency")
+        self.owner = g.vertices.select("vid", "part")
+        self.levels = [store(_first_steps(root), "steps")]
+        self.front = self.levels[0].select("walk_id", "part0", F.lit(1).alias("step"), F.col("dst").alias("at"), block("dst").alias("part"))
+
+    def until(self, length: int) -> DataFrame:
+        """All steps (STEPS) of the walk, `length` of them."""
+        seed, backend = self.seed, self.backend
+
+        def run(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+            return _walk_part(a, b, length, "length", seed, backend)
+
+        taken = []
+        while not self.front.where(F.col("step") < length).isEmpty():
+            took = store(self.held.groupBy("part").cogroup(self.front.groupBy("part")).applyInPandas(run, STEPS), "steps")
+            taken.append(took)
+            last = took.orderBy(F.desc("step")).limit(1)
+            self.front = store(last.select("walk_id", "part0", (F.col("step") + 1).alias("step"), F.col("dst").alias("at"), self.block("dst").alias("part")), "front")
+        if taken:
+            # Blocks aren't owners: the vertices visited get theirs.
+            walked = taken[0]
+            for x in taken[1:]:
+                walked = walked.unionByName(x)
+            walked = walked.drop("src_part", "dst_part")
+            for end in ("src", "dst"):
+                walked = walked.join(self.owner.select(F.col("vid").alias(end), F.col("part").alias(f"{end}_part")), end)
+            self.levels.append(store(walked.select([c.split()[0] for c in STEPS.split(", ")]), "steps"))
+        out = self.levels[0]
+        for x in self.levels[1:]:
+            out = out.unionByName(x)
+        return out
+
+
 def biased_walk(g: Graph, starts: DataFrame, length: int, ret: float = 1.0, inout: float = 1.0, seed: int = 7, backend: str = "xx", scale: int = 1000) -> DataFrame:
     """Second-order walks: the weight of a candidate x after (t, v) is w / ret if x = t, w if x neighbours t, else w / inout.
 
