@@ -17,6 +17,8 @@ from proxembed.operators.storage import store
 from proxembed.operators.walks import LongWalk, walk_block, walk_join, walk_pairs
 
 KINDS = ("local", "fresh", "reuse", "refresh", "single", "pair")
+#: A walk's id holds its round in 20 bits.
+MOST_ROUNDS = 1 << 20
 _NAMES = {"Local": "local", "Remote (Fresh-Only)": "fresh", "Remote (Reuse-Spill)": "reuse", "Remote (Refresh-Spill)": "refresh", "Remote (Augmented-Single)": "single", "Remote (Augmented-Pair)": "pair"}
 
 
@@ -59,7 +61,7 @@ class SampleConfig:
     backend: str = "xx"
     engine: str = "block"
     rounds: int = 4
-    max_rounds: int = 512
+    max_rounds: int = MOST_ROUNDS  # calls of a batch (shared kinds: of all batches) after which a rule unmet is an error
     max_levels: int = 2000  # steps of the long walk's first stretch; it doubles until every part is full
     keep_boundary: bool = False
     index_chunk: int = 4096
@@ -72,8 +74,8 @@ class SampleConfig:
             raise ValueError("unknown engine, back end or unit")
         if self.window < (2 if self.unit == "nodes" else 1):
             raise ValueError("a window of one vertex holds no pair")
-        if self.max_levels < 1:
-            raise ValueError("max_levels must be 1 or more")
+        if self.max_levels < 1 or not 1 <= self.max_rounds <= MOST_ROUNDS:
+            raise ValueError(f"max_levels must be 1 or more and max_rounds from 1 to {MOST_ROUNDS}")
 
 
 @dataclass
@@ -118,8 +120,9 @@ def _calls(g: Graph, c: SampleConfig, batches: int, rounds: int, stop: str, rang
 def sample(g: Graph, variant: Variant, c: SampleConfig) -> Sample:
     """Pairs for all batches in one dataflow: sampling depends on the graph and the seed only.
 
-    Calls are drawn ahead (`rounds`, then twice as many until the rule is met everywhere) and trimmed by the rule on counts;
-    draws are keyed by call, so drawing ahead gives what calling one by one would.
+    Calls are drawn ahead (`rounds`, then two to sixteen times as many, as yields tell, until the rule is met everywhere) and
+    trimmed by the rule on counts; draws are keyed by call, so drawing ahead gives what calling one by one would. A rule that
+    max_rounds calls don't meet is an error: no batch comes back short.
     """
     # A part without edges, or for Local without inner edges, can never fill: its quota is waived and reported.
     inner = Graph(g.vertices, g.edges.where("src_part = dst_part"), g.n, g.parts) if variant.kind == "local" else g
@@ -133,7 +136,7 @@ def sample(g: Graph, variant: Variant, c: SampleConfig) -> Sample:
     ranges = store(root_ranges(g), "root-ranges")
     stop = "boundary" if variant.kind == "local" else "length"
     shared = variant.kind in ("reuse", "refresh")
-    rounds = c.rounds * (c.batches if shared else 1)
+    rounds = min(c.max_rounds, c.rounds * (c.batches if shared else 1))
     while True:
         pairs, yields, handed = _calls(g, c, 1 if shared else c.batches, rounds, stop, ranges)
         if shared:
@@ -146,10 +149,16 @@ def sample(g: Graph, variant: Variant, c: SampleConfig) -> Sample:
             reached = F.max("total") if variant.rule == "any" else F.min("total")
             per_round = needed.withColumn("total", F.sum("pairs").over(w)).groupBy("batch", "round").agg(reached.alias("x"))
             plan = store(per_round.where(F.col("x") >= c.batch_size).groupBy("batch").agg((F.min("round") + 1).alias("rounds")), "rounds")
-        met = plan.select("batch").distinct().count() == c.batches
-        if met or rounds >= c.max_rounds:
+        filled = plan.select("batch").distinct().count()
+        if filled == c.batches:
             break
-        rounds *= 2
+        if rounds >= c.max_rounds:
+            raise ValueError(f"{variant}: {rounds} calls fill {filled} of {c.batches} batches of {c.batch_size} pairs")
+        totals = yields.where(~F.col("part").isin(idle)).groupBy("batch", "part").agg(F.sum("pairs").alias("pairs"))
+        reached = F.max("pairs") if variant.rule == "any" else F.min("pairs")
+        low = totals.groupBy("batch").agg(reached.alias("x")).agg(F.min("x")).first()[0]
+        short = c.batch_size * (c.batches if shared else 1) / max(1, low)
+        rounds = min(c.max_rounds, math.ceil(rounds * min(16.0, max(2.0, 1.2 * short))))
     if shared:
         order = numbered(pairs, ["part"], ["round", "walk_id", "step", "hop"]).withColumnRenamed("seq", "pos")
         first_call = plan.groupBy("batch").agg(F.max("calls").alias("calls"))
@@ -165,19 +174,13 @@ def sample(g: Graph, variant: Variant, c: SampleConfig) -> Sample:
         calls = plan.groupBy("batch").agg(F.max("calls").alias("c")).agg(F.sum("c")).first()[0] or 0
         used = pairs.where(F.col("round") < calls)
     else:
-        # A batch that max_rounds didn't fill keeps what it has; `met` says so.
-        plan = spark_range(g, c.batches).join(plan, "batch", "left").select("batch", F.coalesce("rounds", F.lit(rounds)).cast("int").alias("rounds"))
         in_time = pairs.join(plan, "batch").where("round < rounds")
         seq = numbered(in_time, ["batch", "part"], ["round", "walk_id", "step", "hop"])
         out = prune(seq.select("batch", "part", "seq", "u", "v", "v_part", F.lit(0).alias("age")), c.batch_size, c.seed, c.backend)
         calls = plan.agg(F.sum("rounds")).first()[0] or 0
         used = in_time
     handed = used.where("v_part <> part and hop = 1").count() if stop == "length" else 0
-    return Sample(store(out.select("batch", "part", "seq", "u", "v", "v_part", "age"), "pairs"), int(calls), handed, met, idle)
-
-
-def spark_range(g: Graph, batches: int) -> DataFrame:
-    return g.edges.sparkSession.range(batches).select(F.col("id").cast("int").alias("batch"))
+    return Sample(store(out.select("batch", "part", "seq", "u", "v", "v_part", "age"), "pairs"), int(calls), handed, True, idle)
 
 
 def _single(g: Graph, c: SampleConfig, idle: list[int]) -> Sample:

@@ -1,6 +1,7 @@
 """Samples are whole: every part that can fill is full."""
 
 import pytest
+from pyspark.sql import functions as F
 
 from proxembed.operators import graph, partition
 from proxembed.operators.sampling import roots
@@ -27,3 +28,21 @@ def test_parts_out_of_reach_are_an_error(spark):
     raw = spark.createDataFrame([("a", "b", 1), ("c", "d", 1)], "a string, b string, w long")
     with pytest.raises(ValueError, match="no path"):
         sample(partition.stored(partition.cut_by_vertex(graph.build(raw), 2)), Variant("all", "single"), SampleConfig(batch_size=3, batches=1, max_levels=2))
+
+
+def test_local_draws_on_where_few_edges_are_inner(spark):
+    """One inner edge among forty: 512 calls, the cap of old, gave some 13 of 40 pairs."""
+    raw = spark.createDataFrame([("a00", "a01", 1)] + [("a00", f"b{i:02}", 1) for i in range(39)] + [("b00", "b01", 1)], "a string, b string, w long")
+    built = graph.build(raw)
+    owned = built.vertices.withColumn("part", (F.substring("key", 1, 1) == "b").cast("int")).select("vid", "part")
+    edges = built.edges.drop("src_part", "dst_part").join(owned.toDF("src", "src_part"), "src").join(owned.toDF("dst", "dst_part"), "dst").select(built.edges.columns)
+    g = partition.stored(graph.Graph(built.vertices.drop("part").join(owned, "vid"), edges, built.n, 2))
+    s = sample(g, Variant("all", "local"), SampleConfig(batch_size=40, batches=1, length=1, rounds=256))
+    assert s.met and s.calls > 512
+    assert [r["count"] for r in s.pairs.groupBy("part").count().collect()] == [40, 40]
+
+
+@pytest.mark.parametrize("kind", ["local", "reuse", "refresh"])
+def test_short_batches_are_an_error(five, kind):
+    with pytest.raises(ValueError, match="batches of 1000 pairs"):
+        sample(five, Variant("all", kind), SampleConfig(batch_size=1000, batches=2, length=2, rounds=1, max_rounds=2))
