@@ -1,7 +1,8 @@
 """Main text of web pages by tree scoring.
 
 A page becomes a tree of elements with text blocks. Boilerplate subtrees (menus, forms, scripts, adverts, notices,
-comments, by element name and by the words of class, id and role) are cut off. Each paragraph passes points for its
+comments, by element name and by the words of a container's class, id, role and label) and hidden ones are cut off; a section
+of an article that only its id or label speaks against stays if it is prose. Each paragraph passes points for its
 length and its commas to its parent and half of them to the grandparent; a container's points are discounted by the
 share of its text that lies in links. The best container is kept, with siblings that score near it or hold plain prose.
 
@@ -13,6 +14,7 @@ from __future__ import annotations
 
 import html
 import re
+from collections import Counter
 from collections.abc import Iterator
 
 import pandas as pd
@@ -29,8 +31,8 @@ TOKEN = re.compile(
     r"|</?[a-zA-Z][^>]*\Z",
     re.S | re.I,
 )
-ATTRIBUTE = re.compile(r"\b(?:class|id|role|aria-label)\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s\"'>]+)", re.I)
-HIDDEN = re.compile(r"\bhidden\b|aria-hidden\s*=\s*[\"']?true|display\s*:\s*none", re.I)
+ATTRIBUTE = re.compile(r"([^\s\"'>/=]+)(?:\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s\"'>]+))?")
+NO_DISPLAY = re.compile(r"(?:^|;)\s*display\s*:\s*none\b", re.I)
 # Element names by role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th thead tr ul".split())
@@ -41,15 +43,17 @@ UNLIKELY = re.compile(
     re.I,
 )
 LIKELY = re.compile(r"(?:^|[\s_-])(?:article|body|content|entry|main|page|post|story|text|blog)(?:$|[\s_-])", re.I)
+# Only these are boilerplate by their words.
+CONTAINERS = frozenset("div section aside nav header footer form ul ol dl table figure center details".split())
 PARAGRAPHS = frozenset("p pre td blockquote li dd h1 h2 h3 h4 h5 h6".split())
 
 
 class _Node:
-    __slots__ = ("name", "parent", "bias", "score", "text", "linked", "order")
+    __slots__ = ("name", "parent", "bias", "score", "text", "linked", "order", "doubt")
 
     def __init__(self, name: str, parent: _Node | None, bias: float, order: int):
         self.name, self.parent, self.bias, self.order = name, parent, bias, order
-        self.score, self.text, self.linked = 0.0, 0, 0
+        self.score, self.text, self.linked, self.doubt = 0.0, 0, 0, False
 
 
 def _clean(parts: list[str]) -> str:
@@ -57,6 +61,20 @@ def _clean(parts: list[str]) -> str:
     return " ".join((html.unescape(text) if "&" in text else text).split())
 
 
+def _attributes(source: str) -> dict[str, str]:
+    """Values by name in small letters; of repeated names the first holds, a bare one is empty."""
+    out: dict[str, str] = {}
+    for name, value in ATTRIBUTE.findall(source):
+        if value[:1] in ("'", '"'):
+            value = value[1:-1]
+        out.setdefault(name.lower(), html.unescape(value) if "&" in value else value)
+    return out
+
+
+def _hidden(a: dict[str, str]) -> bool:
+    return "hidden" in a or a.get("aria-hidden", "").strip().lower() == "true" or NO_DISPLAY.search(a.get("style", "")) is not None
+
+
 def _read(source: str) -> tuple[list[_Node], list[tuple[_Node, str, int]]]:
     """Elements kept, and (element, text, linked characters) of each block in page order."""
     root = _Node("html", None, 0.0, 0)
@@ -128,18 +146,22 @@ def _read(source: str) -> tuple[list[_Node], list[tuple[_Node, str, int]]]:
                     break
         if name in VOID:
             continue
-        attributes = m["attributes"] or ""
-        said = " ".join(x.strip("\"'") for x in ATTRIBUTE.findall(attributes)) if attributes else ""
-        bias = 0.0
+        attributes = _attributes(m["attributes"]) if m["attributes"] else {}
+        said = " ".join(attributes[k] for k in ("class", "id", "role", "aria-label") if k in attributes)
+        bias, doubt = 0.0, False
         if name not in ("html", "body", "article", "main"):
             inside = any(n.name in ("article", "main") for n in stack)
-            if name in CUT and not (name == "header" and inside) or said and UNLIKELY.search(said) and not (LIKELY.search(said) and name in ("div", "section")) or attributes and HIDDEN.search(attributes):
+            unlikely = said and name in CONTAINERS and UNLIKELY.search(said) and not (LIKELY.search(said) and name in ("div", "section"))
+            if unlikely and inside and name == "section" and not UNLIKELY.search(" ".join(attributes.get(k, "") for k in ("class", "role"))):
+                doubt, unlikely = True, False
+            if name in CUT and not (name == "header" and inside) or unlikely or _hidden(attributes):
                 bias = -1.0
         elif name in ("article", "main"):
             bias = 25.0
         if said and bias >= 0 and LIKELY.search(said):
             bias += 10.0
         node = _Node(name, stack[-1], bias, len(nodes))
+        node.doubt = doubt
         stack.append(node)
         if bias == -1.0:
             flush()
@@ -150,7 +172,24 @@ def _read(source: str) -> tuple[list[_Node], list[tuple[_Node, str, int]]]:
             link_depth += 1
     words(source[at:])
     flush()
-    return nodes, blocks
+    return nodes, _sure(blocks) if any(n.doubt for n in nodes) else blocks
+
+
+def _above(n: _Node | None) -> Iterator[_Node]:
+    while n is not None:
+        yield n
+        n = n.parent
+
+
+def _sure(blocks: list[tuple[_Node, str, int]]) -> list[tuple[_Node, str, int]]:
+    """Without the sections in doubt that aren't prose: short, or a quarter in links."""
+    text, links = Counter(), Counter()
+    for owner, t, linked in blocks:
+        for n in _above(owner):
+            if n.doubt:
+                text[id(n)] += len(t)
+                links[id(n)] += linked
+    return [b for b in blocks if not any(n.doubt and (text[id(n)] < 80 or links[id(n)] >= text[id(n)] / 4) for n in _above(b[0]))]
 
 
 def _container(n: _Node) -> _Node:
