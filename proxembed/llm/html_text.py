@@ -199,10 +199,10 @@ def _container(n: _Node) -> _Node:
     return n
 
 
-def extract(source: str | None) -> str:
-    """The main text: blocks joined by newlines."""
+def main_blocks(source: str | None) -> list[str]:
+    """The text blocks of the main part, in page order."""
     if not source:
-        return ""
+        return []
     nodes, blocks = _read(source)
     candidates: dict[int, _Node] = {}
     for owner, text, linked in blocks:
@@ -226,7 +226,7 @@ def extract(source: str | None) -> str:
             if n.text and (n.name in ("article", "main") or n.bias > 0):
                 candidates[id(n)] = n
         if not candidates:
-            return "\n".join(t for _, t, linked in blocks if linked < len(t) / 2)
+            return [t for _, t, linked in blocks if linked < len(t) / 2]
     best = max(candidates.values(), key=lambda n: (value(n), -n.order))
     kept, bar = {id(best)}, max(10.0, 0.2 * value(best))
     if best.parent is not None:
@@ -242,15 +242,20 @@ def extract(source: str | None) -> str:
             n = n.parent
         return False
 
-    return "\n".join(t for owner, t, _ in blocks if inside(owner))
+    return [t for owner, t, _ in blocks if inside(owner)]
+
+
+def extract(source: str | None) -> str:
+    """The main blocks, one a line."""
+    return "\n".join(main_blocks(source))
 
 
 def main_text(pages: DataFrame) -> DataFrame:
-    """(page_id, url, html) -> (page_id, url, text, n_chars)."""
+    """(page_id, url, html) -> (page_id, url, text, n_chars): blocks joined by two newlines."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            text = [extract(x) for x in b["html"]]
+            text = ["\n\n".join(main_blocks(x)) for x in b["html"]]
             yield pd.DataFrame({"page_id": b["page_id"].astype("Int64"), "url": b["url"], "text": text, "n_chars": [len(t) for t in text]})
 
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))

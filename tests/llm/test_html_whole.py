@@ -31,3 +31,9 @@ def test_words_cut_containers_only():
 @pytest.mark.parametrize("part", ['<div class="related"><p>{}</p></div>', '<section class="comments" id="x"><p>{}</p></section>', '<section id="related"><p><a href="x">{}</a></p></section>', '<section id="share"><p>Share this</p></section>'])
 def test_boilerplate_in_articles_still_goes(part):
     assert html_text.extract(f"<article><p>{PROSE}</p>{part.format(OTHER)}</article>") == PROSE
+
+
+def test_blocks_of_a_page_are_two_newlines_apart(spark):
+    rows = spark.createDataFrame([(1, "u", f"<article><p>{PROSE}</p><p>{OTHER}</p></article>"), (2, "u", "one<hr>two"), (3, "u", None)], "page_id long, url string, html string")
+    got = {r["page_id"]: (r["text"], r["n_chars"]) for r in html_text.main_text(rows).collect()}
+    assert got == {1: (f"{PROSE}\n\n{OTHER}", len(PROSE) + len(OTHER) + 2), 2: ("one\n\ntwo", 8), 3: ("", 0)}
