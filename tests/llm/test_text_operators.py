@@ -208,33 +208,55 @@ def test_one_of_each_group_stays(spark, odd):
 
 
 def brute_lines(rows, least=50):
-    seen, out = {}, {}
-    for i, t in sorted(rows):
-        lines = (t or "").split("\n")
-        cover = [False] * len(lines)
-        for s in range(len(lines)):
-            n = 0
-            for e in range(s, len(lines)):
-                n += len(lines[e].split())
-                if n >= least:
-                    key = tuple(lines[s : e + 1])
-                    if key in seen:
-                        cover[s : e + 1] = [True] * (e + 1 - s)
-                    seen.setdefault(key, True)
-                    break
-        out[i] = "\n".join(x for x, c in zip(lines, cover, strict=True) if not c) if t else t
-    return out
+    """Every run of `least` words or more that an earlier position starts too goes, found by comparing all positions."""
+    texts = sorted((i, t) for i, t in rows if t)
+    split = {i: t.split("\n") for i, t in texts}
+    places = [(i, s) for i, _ in texts for s in range(len(split[i]))]
+    cover = {i: [False] * len(split[i]) for i in split}
+    at = {}
+    for n, (i, s) in enumerate(places):
+        a = split[i]
+        for j, r in at.get(a[s], []):
+            b, k = split[j], 0
+            while s + k < len(a) and r + k < len(b) and a[s + k] == b[r + k]:
+                k += 1
+            if sum(len(x.split()) for x in a[s : s + k]) >= least:
+                cover[i][s : s + k] = [True] * k
+        at.setdefault(a[s], []).append((i, s))
+    return {i: t if not t else "\n".join(x for x, c in zip(split[i], cover[i], strict=True) if not c) for i, t in rows}
 
 
 def test_repeated_runs(spark):
     passage = "\n".join(prose(k, 9) for k in range(8))
     rows = [(1, prose(20) + "\n" + passage + "\n" + prose(21)), (2, prose(22) + "\n" + passage), (3, passage), (4, "\n".join(["same line here"] * 60)), (5, prose(20)), (6, None), (7, ""), (8, prose(23, 40)), (9, prose(23, 40)), (10, passage.replace("\n", "\n\n"))]
     out = line_dedup.dedup_lines(frame(spark, rows))
-    got = {r["doc_id"]: r for r in out.collect()}
+    got = {r["row"]["doc_id"]: r["row"] for r in out.collect()}
     want = brute_lines(rows)
     assert {k: r["text"] for k, r in got.items()} == want
     assert want[3] == "" and got[8]["text"] == got[9]["text"] and got[3]["n_chars"] == 0
-    assert out.columns == [*frame(spark, rows).columns, "_removed"]
+    assert out.select("row.*").columns == frame(spark, rows).columns
+
+
+def test_short_ends_of_runs_go_too(spark):
+    """A run's last lines start no run of enough words themselves; they go with the run."""
+    passage = "\n".join([prose(1, 49), "one", "two", "", "three"])
+    rows = [(1, passage), (2, "own words\n" + passage + "\nmore of its own"), (3, passage + "\nend"), (4, "two\n\nthree")]
+    got = {r["doc_id"]: r["text"] for r in line_dedup.line_dedup_stage(spark, frame(spark, rows), SF).collect()}
+    assert got == brute_lines(rows) == {1: passage, 2: "own words\nmore of its own", 3: "end", 4: "two\n\nthree"}
+
+
+@pytest.mark.parametrize("least", [1, 3, 8])
+def test_random_lines_against_all_pairs_of_positions(spark, least):
+    g = random.Random(least)
+    rows = [(k, "\n".join(g.choice(["a", "b", "", "c d", "e f g"]) if g.random() < 0.9 else prose(g.randint(0, 99), 4) for _ in range(g.randint(1, 30)))) for k in range(25)]
+    out = line_dedup.dedup_lines(frame(spark, rows), least).select("row.doc_id", "row.text", "removed").collect()
+    assert {r["doc_id"]: r["text"] for r in out} == brute_lines(rows, least)
+
+
+def test_line_dedup_keeps_columns_of_any_name(spark):
+    docs = frame(spark, [(1, prose(1)), (2, prose(1))]).withColumn("row", F.lit(1)).withColumn("runs", F.lit("r")).withColumn("_doc", F.lit(2)).withColumn("removed", F.lit(3)).withColumn("a.b", F.lit(4))
+    out = line_dedup.line_dedup_stage(spark, docs, SF)
+    assert out.columns == docs.columns and sorted((r["doc_id"], r["text"], r["runs"], r["removed"], r["a.b"]) for r in out.collect()) == [(1, prose(1), "r", 3, 4), (2, "", "r", 3, 4)]
 
 
 def test_line_dedup_of_odd_rows(spark, odd):
