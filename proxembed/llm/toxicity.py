@@ -2,18 +2,23 @@
 
 P(grade <= k) = sigmoid(theta_k - w . x): one weight vector for all thresholds, thetas in order (theta_k is the one before
 plus an exponential). The expected severity is the sum over k of P(grade > k). Features are hashed lower-case words of
-the whole text and the first six bytes of longer ones, present or not, chosen by how much the labels' log-odds favour them.
+the whole text and the first six bytes of longer ones, present or not; those whose log-odds of the labels are more than two
+standard errors from zero, over five rows or more, are used.
 
-The labels say toxic or not; severity grades come from them: 0 for non-toxic texts, and 1 to 3 for toxic ones by how many
-distinct words of the toxic class (log-odds ranked on the fitting rows) they hold: at most 1, 2 to 3, more.
+The labels say toxic or not; severity grades come from them by cross-fitting: 0 for non-toxic texts, and 1 to 3 for toxic
+ones by the third of the toxic texts' log-odds that a two-grade model gives them which was fitted on the other half of the
+rows. No row's grade thus rests on a model that saw its label.
 
 The point of rejection is set on a quarter of the fitting rows that a first fit does not see.
 
 The fit uses at most `fit_rows` labelled documents, those with the smallest hash of doc_id: a documented bound, so fitting
-costs the same at any size and runs on the driver over word ids, not texts. Scoring reads every text whole.
+costs the same at any size. Words are hashed and counted by class in the executors; the driver sees the features chosen and,
+for each fitting row, which of them it holds. Scoring reads every text whole.
 
 Defined cases: null and empty texts have no features and get the base rate; rows without doc_id are scored, never used to
-fit; null labels are not used; repeated rows are scored alike; with no labelled toxic rows every severity is 0.
+fit; null labels are not used, of several labels of a document the largest counts, and of several texts of one id that with
+the largest features; repeated rows are scored alike; with no labelled toxic rows every severity is 0; an empty table gives an
+empty result.
 """
 
 from __future__ import annotations
@@ -23,16 +28,15 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from proxembed.llm.common import spread, table
+from proxembed.llm.common import forget, spread, store, table
 from proxembed.llm.textkernel import letter_table, string_chunks, word_hashes
 
 FIT_ROWS = 12_000
 PREFIX_BYTES = 6
 BUCKET_BITS = 20
-MAX_FEATURES = 3_000
 GRADES = 4
 
 
@@ -45,13 +49,22 @@ class OrdinalModel:
     thetas: np.ndarray
     reject: float = 0.5
 
-    def scores(self, column: pa.Array) -> np.ndarray:
-        """w . x of each text."""
+    def _table(self) -> np.ndarray:
         full = np.zeros(1 << BUCKET_BITS)
         full[self.buckets] = self.weights
+        return full
+
+    def scores(self, column: pa.Array) -> np.ndarray:
+        """w . x of each text."""
+        full = self._table()
         known = full != 0
         return np.array([float(full[f].sum()) for _, f in features_of(column, known)])
 
+    def sums(self, rows: list[np.ndarray], buckets: np.ndarray) -> np.ndarray:
+        """w . x of rows given as places in `buckets`."""
+        full = self._table()[buckets]
+        return np.array([full[r].sum() for r in rows])
+
     def severity(self, score: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(expected grade, P(grade > 0)) of w . x values."""
         above = 1 / (1 + np.exp(np.clip(self.thetas[None, :] - score[:, None], -50, 50)))
@@ -111,26 +124,13 @@ def fit_ordinal(rows: list[np.ndarray], grade: np.ndarray, columns: int, rounds:
     return p[:columns], np.cumsum(np.concatenate((r[:1], np.exp(r[1:]))))
 
 
-def choose_features(rows: list[np.ndarray], toxic: np.ndarray, most: int = MAX_FEATURES, least_rows: int = 5) -> tuple[np.ndarray, np.ndarray]:
-    """Buckets by z-score of their log-odds for the toxic class, and which of them count as words of that class."""
-    size = 1 << BUCKET_BITS
-    counts = [np.zeros(size), np.zeros(size)]
-    for r, t in zip(rows, toxic, strict=True):
-        counts[int(t)][r] += 1
-    n0, n1 = max(1, int((~toxic).sum())), max(1, int(toxic.sum()))
-    a, b = counts[1] + 0.5, counts[0] + 0.5
-    odds = np.log(a / (n1 + 1 - a).clip(0.5)) - np.log(b / (n0 + 1 - b).clip(0.5))
-    z = odds / np.sqrt(1 / a + 1 / b)
-    seen = counts[0] + counts[1] >= least_rows
-    order = np.argsort(-np.where(seen, np.abs(z), -1), kind="stable")[:most]
-    chosen = np.sort(order[seen[order] & (np.abs(z[order]) > 2)])
-    strong = (z > 6) & (odds > 3) & seen
-    return chosen, strong
+#: Counts of a feature: rows that hold it, by label and by whether the row is held back.
+COUNTS = "bucket long, clean long, toxic long, clean_held long, toxic_held long"
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -> OrdinalModel:
-    """Fit on at most `fit_rows` labelled documents; only their word ids reach the driver."""
-    picked = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+def labelled_words(docs: DataFrame, labels: DataFrame, fit_rows: int) -> DataFrame:
+    """(doc_id, toxic, buckets) of at most `fit_rows` labelled documents; buckets are packed 32-bit word ids."""
+    picked = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     picked = picked.orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_rows)
     texts = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("doc_id", "toxic", "text")
 
@@ -139,27 +139,83 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -
             found = [f.astype("<i4").tobytes() for _, f in features_of(batch.column(2))]
             yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), batch.column(1).cast(pa.int32()), pa.array(found, pa.binary())], names=["doc_id", "toxic", "buckets"])
 
-    got = texts.mapInArrow(run, "doc_id long, toxic int, buckets binary").collect()  # fit_rows rows of word ids
-    one = {r["doc_id"]: r for r in sorted(got, key=lambda r: (r["doc_id"], bytes(r["buckets"])))}
-    rows = [np.frombuffer(r["buckets"], dtype="<i4") for _, r in sorted(one.items())]
-    toxic = np.array([bool(r["toxic"]) for _, r in sorted(one.items())], dtype=bool)
-    del got, one
-    size = 1 << BUCKET_BITS
-    if not toxic.any():
+    words = texts.mapInArrow(run, "doc_id long, toxic int, buckets binary")
+    return words.groupBy("doc_id").agg(F.max(F.struct("toxic", "buckets")).alias("w")).select("doc_id", "w.*")
+
+
+def feature_counts(rows: DataFrame) -> DataFrame:
+    """(toxic, held, buckets) -> COUNTS, summed inside a task before they are shuffled."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        counts = np.zeros((4, 1 << BUCKET_BITS), dtype=np.int64)
+        for batch in batches:
+            for toxic, held, buckets in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
+                counts[(toxic != 0) + 2 * held, np.frombuffer(buckets, dtype="<i4")] += 1
+        seen = np.flatnonzero(counts.any(axis=0))
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in (seen, *counts[:, seen])], names=[c.split()[0] for c in COUNTS.split(", ")])
+
+    found = rows.select("toxic", "held", "buckets").mapInArrow(run, COUNTS)
+    return found.groupBy("bucket").agg(*[F.sum(c).alias(c) for c in ("clean", "toxic", "clean_held", "toxic_held")])
+
+
+def _stands_out(toxic: Column, clean: Column, toxics: int, cleans: int, least_rows: int = 5) -> Column:
+    """Whether the log-odds of a feature are more than two standard errors from zero."""
+    a, b = toxic + F.lit(0.5), clean + F.lit(0.5)
+    odds = F.log(a / F.greatest(F.lit(0.5), F.lit(toxics + 1) - a)) - F.log(b / F.greatest(F.lit(0.5), F.lit(cleans + 1) - b))
+    return (toxic + clean >= least_rows) & (F.abs(odds) > 2 * F.sqrt(1 / a + 1 / b))
+
+
+def fit_toxicity(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -> OrdinalModel:
+    """Fit on at most `fit_rows` labelled documents."""
+    held = F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(4)) == 0
+    words = store(labelled_words(docs, labels, fit_rows).withColumn("held", held), "labelled-words")
+    n = {(bool(r["toxic"]), r["held"]): r["count"] for r in words.select((F.col("toxic") != 0).alias("toxic"), "held").groupBy("toxic", "held").count().collect()}  # 4 rows
+    count = lambda toxic, *holds: sum(n.get((toxic, h), 0) for h in holds)
+    if not count(True, True, False):
+        forget(words)
         return OrdinalModel(np.zeros(0, dtype=np.int64), np.zeros(0), np.full(GRADES - 1, 50.0))
-    # A quarter of the rows, by hash, sets the point of rejection; then all rows fit.
-    held = np.array([k % 4 == 0 for k in range(len(rows))]) if toxic[::4].any() and toxic[np.arange(len(toxic)) % 4 != 0].any() else np.zeros(len(rows), dtype=bool)
-    model = _fit([r for r, h in zip(rows, held, strict=True) if not h], toxic[~held])
+    # With no toxic row on one side of the split, all rows fit and the point of rejection is even odds.
+    split = bool(count(True, True) and count(True, False))
+    first = _stands_out(F.col("toxic"), F.col("clean"), count(True, False), count(False, False))
+    whole = _stands_out(F.col("toxic") + F.col("toxic_held"), F.col("clean") + F.col("clean_held"), count(True, True, False), count(False, True, False))
+    chosen = feature_counts(words).select("bucket", first.alias("first"), whole.alias("whole")).where("first or whole").orderBy("bucket").toPandas()
+    buckets, in_first, in_whole = (chosen[c].to_numpy() for c in ("bucket", "first", "whole"))
+    def narrow(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        place = np.full(1 << BUCKET_BITS, -1, dtype=np.int32)
+        place[buckets] = np.arange(len(buckets))
+        for batch in batches:
+            found = [(x[x >= 0]).astype("<i4").tobytes() for x in (place[np.frombuffer(b, dtype="<i4")] for b in batch.column(3).to_pylist())]
+            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(3)), pa.array(found, pa.binary())], names=["doc_id", "toxic", "held", "features"])
+
+    got = words.select("doc_id", "toxic", "held", "buckets").mapInArrow(narrow, "doc_id long, toxic int, held boolean, features binary").orderBy("doc_id").toPandas()  # fit_rows rows of chosen features
+    forget(words)
+    rows = [np.frombuffer(f, dtype="<i4") for f in got["features"]]
+    toxic, held_back = got["toxic"].to_numpy() != 0, got["held"].to_numpy()
+    grade = severity_grades(rows, toxic, len(buckets))
     reject = 0.5
-    if held.any():
-        full = np.zeros(size)
-        full[model.buckets] = model.weights
-        p = model.severity(np.array([full[r].sum() for r, h in zip(rows, held, strict=True) if h]))[1]
-        reject = reject_point(p, toxic[held])
-        model = _fit(rows, toxic)
+    if split:
+        model = _fit(rows, grade, ~held_back, buckets, in_first)
+        p = model.severity(model.sums([r for r, h in zip(rows, held_back, strict=True) if h], buckets))[1]
+        reject = reject_point(p, toxic[held_back])
+    model = _fit(rows, grade, np.ones(len(rows), dtype=bool), buckets, in_whole)
     return OrdinalModel(model.buckets, model.weights, model.thetas, reject)
 
 
+def severity_grades(rows: list[np.ndarray], toxic: np.ndarray, columns: int) -> np.ndarray:
+    """0 for clean rows; 1 to 3 for toxic ones by thirds of the log-odds that the model of the other half of the rows gives them."""
+    half = np.arange(len(rows)) % 2
+    odds = np.zeros(len(rows))
+    for k in (0, 1):
+        fit, seen = np.flatnonzero(half != k), np.flatnonzero(half == k)
+        if toxic[fit].any() and not toxic[fit].all():
+            weights, _ = fit_ordinal([rows[i] for i in fit], toxic[fit].astype(np.int64), columns, rounds=100)
+            odds[seen] = [weights[rows[i]].sum() for i in seen]
+    order = np.argsort(np.argsort(odds[toxic], kind="stable"), kind="stable")
+    grade = np.zeros(len(rows), dtype=np.int64)
+    grade[toxic] = 1 + order * (GRADES - 1) // max(1, int(toxic.sum()))
+    return grade
+
+
 def reject_point(p: np.ndarray, toxic: np.ndarray, beta: float = 0.5) -> float:
     """The largest of some probabilities with the best F-measure, precision counting twice as much as recall."""
     best, at = -1.0, 0.5
@@ -172,14 +228,12 @@ def reject_point(p: np.ndarray, toxic: np.ndarray, beta: float = 0.5) -> float:
     return at
 
 
-def _fit(rows: list[np.ndarray], toxic: np.ndarray) -> OrdinalModel:
-    chosen, strong = choose_features(rows, toxic)
-    index = np.full(1 << BUCKET_BITS, -1)
-    index[chosen] = np.arange(len(chosen))
-    held = np.array([int(strong[r].sum()) for r in rows])
-    grade = np.where(toxic, 1 + (held >= 2) + (held >= 4), 0).astype(np.int64)
-    weights, thetas = fit_ordinal([x[x >= 0] for x in (index[r] for r in rows)], grade, len(chosen))
-    return OrdinalModel(chosen, weights, thetas)
+def _fit(rows: list[np.ndarray], grade: np.ndarray, use: np.ndarray, buckets: np.ndarray, chosen: np.ndarray) -> OrdinalModel:
+    """The model of the rows and features used."""
+    index = np.where(chosen, np.cumsum(chosen) - 1, -1)
+    own = [x[x >= 0] for x in (index[r] for r, u in zip(rows, use, strict=True) if u)]
+    weights, thetas = fit_ordinal(own, grade[use], int(chosen.sum()))
+    return OrdinalModel(buckets[chosen], weights, thetas)
 
 
 def score_toxicity(docs: DataFrame, model: OrdinalModel) -> DataFrame:
@@ -202,6 +256,7 @@ def op8_ordinal_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with P(grade > 0) at the model's point of rejection or above go; the score is a column of the row, so texts are not joined."""
     model = fit_toxicity(docs, table(spark, sf_dir, "labels"))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             score = model.scores(batch.column(batch.schema.get_field_index("text")))
