@@ -4,7 +4,13 @@ A document's set holds its distinct 5-word shingles. XOR-hashing a set into bits
 sketch whose Hamming distance to another never exceeds the size of the sets' symmetric difference. Two sets of sizes
 a and b with Jaccard 0.75 or more differ in at most (a + b) / 7 tokens. So, in a band of sizes, sketches are cut into
 more blocks than that: at least one block must agree (pigeonhole). A block here is the XOR of 64-bit token codes, that is
-a long run of parity bits folded linearly; sets under 256 tokens take one block per token.
+a long run of parity bits folded linearly; bands are powers of two from 4 on.
+
+Blocks stand in one order for all sets, rare ones before frequent ones. If at most D blocks of a set differ from a
+partner's, the first of the common blocks is among the first D + 1 of both, so those are all that need to meet. Blocks of a
+set that no other set has are certain to differ and use up places. Empty blocks name nothing: where the tokens of a set
+fall into D blocks or fewer, all of them may differ, and then the partner's are as few. Such sets meet again in sketches
+of further seeds, until their tokens fall into enough blocks.
 
 Steps, all exact:
 1. One pass hashes texts: (doc_id, n_shingles, fingerprint of the set). Documents with equal sets are one class.
@@ -36,8 +42,8 @@ from proxembed.llm.common import spread, store, table
 from proxembed.llm.components import components
 from proxembed.llm.textkernel import mix, shingle_sets, space_table, string_chunks, word_hashes
 
-SINGLE_BELOW = 256
-CHUNK = 512
+LEAST_TOP = 4
+CHUNK = 2048
 BLOCKS_PER_TOP = 0.36
 FILTER_BITS, BITMAP_BITS, FILTER_STREAM = 1 << 26, 32_768, 101
 
@@ -122,12 +128,16 @@ def live_sets(texts: DataFrame) -> DataFrame:
     return texts.mapInArrow(run, "node long, n long, tokens binary, sketch binary")
 
 
-def _blocks(tokens: np.ndarray, top: int) -> np.ndarray:
-    """Keys of the non-empty blocks of a sketch in the band of sizes below `top`."""
-    count = np.uint64(int(BLOCKS_PER_TOP * top))
+def block_count(top: int) -> int:
+    """Blocks of a sketch in the band of sizes below `top`: more than two sets of the band can differ in."""
+    return max(int(BLOCKS_PER_TOP * top), 2 * (top - 1) // 7 + 1)
+
+
+def _blocks(tokens: np.ndarray, top: int, seed: int) -> np.ndarray:
+    """Keys of the blocks that hold tokens, in the sketch of a seed for the band of sizes below `top`."""
     with np.errstate(over="ignore"):
-        code = mix(tokens ^ np.uint64(top))
-        block = (code >> np.uint64(20)) % count
+        code = mix(tokens ^ np.uint64(top + (seed << 40)))
+        block = (code >> np.uint64(20)) % np.uint64(block_count(top))
         order = np.argsort(block, kind="stable")
         block, code = block[order], mix(code[order])
         first = np.flatnonzero(np.concatenate(([True], block[1:] != block[:-1])))
@@ -135,33 +145,40 @@ def _blocks(tokens: np.ndarray, top: int) -> np.ndarray:
         return mix(folded ^ mix(block[first] + np.uint64(top << 32)))
 
 
+BLOCK_ROW = "node long, side long, need long, made long, n long, key long"
+
+
 def block_keys(sets: DataFrame) -> DataFrame:
-    """(node, side, need, made, n, key): `need` agreeing-or-unique blocks settle a side, `made` is how many blocks it has."""
+    """BLOCK_ROW: `need` agreeing-or-unique blocks settle a side (a band and a seed), `made` is how many blocks it has."""
+    names = [c.split()[0] for c in BLOCK_ROW.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out: list[list[np.ndarray]] = [[] for _ in range(6)]
+            out: list[list[np.ndarray]] = [[] for _ in names]
             held = 0
             for node, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 tokens = np.frombuffer(data.as_py(), dtype=np.uint64)
                 n = len(tokens)
-                top = max(SINGLE_BELOW, 1 << n.bit_length())
-                sides = [(0, tokens if n < SINGLE_BELOW else _blocks(tokens, top), (n + min(4 * n // 3, top - 1)) // 7 + 1)]
+                top = max(LEAST_TOP, 1 << n.bit_length())
+                bands = [(0, top, (n + min(4 * n // 3, top - 1)) // 7 + 1)]
                 if 4 * n >= 3 * top:
-                    sides.append((1, _blocks(tokens, 2 * top), (n + 4 * n // 3) // 7 + 1))
-                for side, keys, need in sides:
-                    m = len(keys)
-                    for column, value in zip(out, (node, side, need, m, n), strict=False):
-                        column.append(np.full(m, value, dtype=np.int64))
-                    out[5].append(keys.view(np.int64))
-                    held += m
+                    bands.append((1, 2 * top, (n + 4 * n // 3) // 7 + 1))
+                for side, band, need in bands:
+                    m, seed = 0, 0
+                    while m < need:
+                        keys = _blocks(tokens, band, seed)
+                        m = len(keys)
+                        for column, value in zip(out, (node, side + 2 * seed, need, m, n), strict=False):
+                            column.append(np.full(m, value, dtype=np.int64))
+                        out[5].append(keys.view(np.int64))
+                        held, seed = held + m, seed + 1
                 if held > 200_000:
-                    yield _batch(["node", "side", "need", "made", "n", "key"], *(np.concatenate(c) for c in out))
-                    out, held = [[] for _ in range(6)], 0
+                    yield _batch(names, *(np.concatenate(c) for c in out))
+                    out, held = [[] for _ in names], 0
             if held:
-                yield _batch(["node", "side", "need", "made", "n", "key"], *(np.concatenate(c) for c in out))
+                yield _batch(names, *(np.concatenate(c) for c in out))
 
-    return sets.select("node", "tokens").mapInArrow(run, "node long, side long, need long, made long, n long, key long")
+    return sets.select("node", "tokens").mapInArrow(run, BLOCK_ROW)
 
 
 def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:

@@ -181,6 +181,31 @@ def test_sketch_distance_is_a_lower_bound():
     assert int(np.bitwise_count(x ^ y).sum()) <= len(np.setxor1d(a, b))
 
 
+@pytest.mark.parametrize("n", [3, 4, 5, 7, 8, 12, 30, 100, 255, 600])
+def test_partners_share_one_of_the_first_blocks(spark, n):
+    """Pigeonhole on sets at the threshold: what each side needs of its blocks, rare ones first, meets its partner's."""
+    g = np.random.default_rng(n)
+    sets = []
+    for _ in range(120 if n < 100 else 25):
+        a = np.unique(g.integers(0, 2**63, n).astype(np.uint64))
+        d = (len(a) * 2) // 7
+        drop = g.integers(0, min(d, len(a) // 4) + 1)
+        b = np.unique(np.concatenate((g.permutation(a)[drop:], g.integers(0, 2**63, max(0, min(d - drop, (len(a) - drop) // 3 if drop == 0 else len(a) // 7)) ).astype(np.uint64))))
+        sets.append((a, b) if 100 * len(np.intersect1d(a, b)) >= 75 * len(np.union1d(a, b)) else (a, a))
+    rows = [(2 * k + s, bytearray(np.sort(x).tobytes())) for k, p in enumerate(sets) for s, x in enumerate(p)]
+    blocks = parity_join.block_keys(spark.createDataFrame(rows, "node long, tokens binary")).collect()
+    of, count = {}, {}
+    for r in blocks:
+        of.setdefault((r["node"], r["side"]), []).append(r)
+        count[r["key"]] = count.get(r["key"], 0) + 1
+    kept = {}
+    for (node, _), rs in of.items():
+        shared = sorted((count[r["key"]], r["key"]) for r in rs if count[r["key"]] > 1)
+        kept.setdefault(node, set()).update(k for _, k in shared[: rs[0]["need"] - (len(rs) - len(shared))])
+    for k in range(len(sets)):
+        assert kept.get(2 * k, set()) & kept.get(2 * k + 1, set()), len(sets[k][0])
+
+
 def test_chunk_pairs_meet_across_chunks(spark, monkeypatch):
     monkeypatch.setattr(parity_join, "CHUNK", 8)
     tokens = np.arange(40, dtype=np.uint64)
@@ -282,6 +307,39 @@ def test_held_out_accuracy(spark):
     assert all(0 <= s <= 3 for _, _, s in said)
 
 
+def test_fit_is_a_maximum_of_the_likelihood():
+    g = np.random.default_rng(3)
+    rows = [np.flatnonzero(g.random(6) < 0.4) for _ in range(3000)]
+    true = np.array([2.0, -1.5, 1.0, 0.0, 0.5, -0.5])
+    latent = np.array([true[r].sum() for r in rows]) + g.logistic(size=len(rows))
+    grade = np.searchsorted([-0.5, 1.0, 2.5], latent)
+
+    def likelihood(w, t):
+        cum = 1 / (1 + np.exp(-(t[None, :] - np.array([w[r].sum() for r in rows])[:, None])))
+        full = np.concatenate((np.zeros((len(rows), 1)), cum, np.ones((len(rows), 1))), axis=1)
+        return np.log(full[np.arange(len(rows)), grade + 1] - full[np.arange(len(rows)), grade]).mean() - 1e-3 / 2 * (w**2).sum()
+
+    w, t = toxicity.fit_ordinal(rows, grade.astype(np.int64), 6, rounds=600)
+    assert np.abs(w - true).max() < 0.25 and np.abs(t - [-0.5, 1.0, 2.5]).max() < 0.25
+    best = likelihood(w, t)
+    for k in range(6):
+        for d in (-0.05, 0.05):
+            assert likelihood(w + d * (np.arange(6) == k), t) < best + 1e-6
+    for k in range(3):
+        for d in (-0.05, 0.05):
+            assert likelihood(w, t + d * (np.arange(3) == k)) < best + 1e-6
+
+
+def test_grades_rise_with_what_the_other_half_finds():
+    g = np.random.default_rng(0)
+    toxic = g.random(900) < 0.4
+    strong = g.integers(0, 5, 900)
+    rows = [np.concatenate((np.flatnonzero(g.random(4) < 0.5), 4 + g.permutation(6)[: s if x else 0])) for s, x in zip(strong, toxic, strict=True)]
+    grade = toxicity.severity_grades(rows, toxic, 10)
+    assert set(grade[~toxic]) == {0} and set(grade[toxic]) == {1, 2, 3}
+    assert np.corrcoef(grade[toxic], strong[toxic])[0, 1] > 0.8
+
+
 def test_toxicity_of_odd_rows(spark, odd):
     docs = frame(spark, odd)
     none = toxicity.fit_toxicity(docs, spark.createDataFrame([(4, 0, None), (None, 1, 1)], "doc_id long, quality int, toxic int"))
