@@ -115,11 +115,10 @@ def scan_versions(versions: DataFrame, ledger: BlobLedger, rules: tuple[Rule, ..
     fetched = todo.join(texts, F.col("rep").eqNullSafe(F.col("path")) & (F.col("blob") == F.col("of")))
     fetched = fetched.select("blob", "text", "kinds").withColumn("text", F.coalesce("text", F.lit("")))
     ledger.append(find_spans(fetched, rules))
-    seen = ledger.read()
-    versions_now = [r.version for r in rules]
-    merged = seen.where(F.col("rule_version").isin(versions_now)).dropDuplicates(["blob", "rule_version"]).groupBy("blob").agg(
-        F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"))
-    return merged
+    seen = ledger.read().where(F.col("rule_version").isin([r.version for r in rules]))
+    if known is not None:
+        seen = seen.join(blobs.select("blob"), "blob", "left_semi")
+    return seen.dropDuplicates(["blob", "rule_version"]).groupBy("blob").agg(F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"))
 
 
 def _joined(spans: Column) -> Column:
@@ -139,26 +138,33 @@ def op2_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def redact(docs: DataFrame, found: DataFrame, mask: str = "[secret]") -> DataFrame:
-    """Put `mask` in place of each span (overlapping ones as one) in `text`; texts that no rule matches are not moved."""
+    """Put `mask` in place of each span (overlapping ones as one) in `text`.
+
+    Texts that no rule matches are not moved: rows and whether a rule matches are stored once, and only matches join.
+    """
     any_rule = F.lit(False)
     clean = F.translate(F.coalesce("text", F.lit("")), _MARK, "\u0002")
     for r in RULES:
         any_rule = any_rule | clean.rlike(r.pattern)
     names = docs.columns
-    flagged = docs.withColumn("_hit", any_rule)
-    hit = flagged.where("_hit").withColumn("_blob", blob_of(F.col("text"))).join(found.select(F.col("blob").alias("_blob"), F.col("spans").alias("_spans")), "_blob", "left")
+    row = F.struct(*[F.col(f"`{c}`") for c in names]).alias("row")
+    flagged = store(docs.select(row, any_rule.alias("hit"), F.when(any_rule, blob_of(F.col("text"))).alias("blob")), "flagged")
+    hit = flagged.where("hit").join(found.select("blob", "spans"), "blob", "left").select("row", "spans")
+    text = F.col("row.text")
 
     def put(acc: Column, s: Column) -> Column:
         fresh = s["start"] >= acc["at"]
-        out = F.when(s["end"] <= acc["at"], acc["out"]).when(fresh, F.concat(acc["out"], F.substring(F.col("text"), (acc["at"] + 1).cast("int"), (s["start"] - acc["at"]).cast("int")), F.lit(mask))).otherwise(acc["out"])
+        out = F.when(s["end"] <= acc["at"], acc["out"]).when(fresh, F.concat(acc["out"], F.substring(text, (acc["at"] + 1).cast("int"), (s["start"] - acc["at"]).cast("int")), F.lit(mask))).otherwise(acc["out"])
         return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), out.alias("out"))
 
-    done = F.aggregate("_spans", F.struct(F.lit(0).cast("bigint").alias("at"), F.lit("").alias("out")), put,
-                       lambda a: F.concat(a["out"], F.substring(F.col("text"), (a["at"] + 1).cast("int"), F.length("text"))))
-    hit = hit.withColumn("text", F.when(F.size(F.coalesce("_spans", F.array().cast(FINDING))) > 0, done).otherwise(F.col("text")))
+    done = F.aggregate("spans", F.struct(F.lit(0).cast("bigint").alias("at"), F.lit("").alias("out")), put,
+                       lambda a: F.concat(a["out"], F.substring(text, (a["at"] + 1).cast("int"), F.length(text))))
+    masked = hit.withColumn("masked", F.when(F.size(F.coalesce("spans", F.array().cast(FINDING))) > 0, done).otherwise(text))
+    new = {"text": F.col("masked")}
     if "n_chars" in names:
-        hit = hit.withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text")).cast(docs.schema["n_chars"].dataType))
-    return flagged.where("not _hit").select(names).unionByName(hit.select(names))
+        new["n_chars"] = F.when(text.isNull(), F.col("row.n_chars")).otherwise(F.length("masked")).cast(docs.schema["n_chars"].dataType)
+    masked = masked.select(*[new.get(c, F.col(f"row.`{c}`")).alias(c) for c in names])
+    return flagged.where("not hit").select("row.*").unionByName(masked)
 
 
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -62,7 +62,8 @@ def test_ledger_scans_only_what_it_lacks(spark, tmp_path):
     as_paths = lambda d: d.select(F.col("doc_id").alias("path"), "text")
     secret_scan.scan_versions(as_paths(a), ledger).collect()
     before = ledger.read().count()
-    secret_scan.scan_versions(as_paths(b), ledger).collect()
+    seen = {r["blob"] for r in secret_scan.scan_versions(as_paths(b), ledger).collect()}
+    assert seen == {hashlib.sha256(t.encode()).hexdigest() for t in (SECRETS[0], SECRETS[2])}
     assert before == 2 * len(secret_scan.RULES) and ledger.read().count() == 3 * len(secret_scan.RULES)
     newer = (*secret_scan.RULES[:3], secret_scan.Rule("pem", secret_scan.PEM, 1, 40, False, 2))
     secret_scan.scan_versions(as_paths(b), ledger, newer).collect()
@@ -75,6 +76,10 @@ def test_redaction(spark):
     assert out[1]["text"] == "a [secret] b" and out[2]["text"] == "plain" and out[3]["text"] is None
     assert out[4]["text"] == "[secret]\" end" and out[4]["n_chars"] == len(out[4]["text"])
     assert secret_scan.secret_stage(spark, docs, SF).columns == docs.columns
+    named = docs.withColumn("_hit", F.lit(1)).withColumn("row", F.lit(2)).withColumn("spans", F.lit(3)).withColumn("hit", F.lit("h")).withColumn("a.b", F.lit(4))
+    again = secret_scan.secret_stage(spark, named, SF)
+    assert again.columns == named.columns and sorted((r["doc_id"], r["_hit"], r["row"], r["spans"], r["hit"]) for r in again.collect()) == [(k, 1, 2, 3, "h") for k in range(1, 5)]
+    assert secret_scan.secret_stage(spark, docs.limit(0), SF).count() == 0
 
 
 # Packing
