@@ -1,19 +1,26 @@
 """SentencePiece encoding by a streaming Viterbi, and decoding.
 
-The best segmentation under the model's piece scores is found from left to right. Only the last `longest piece` positions
-can be reached by a later piece, so a window of that size is kept; when the backpointers of all its positions lead
-through one boundary, everything before it is decided and its ids are committed. Memory thus depends on the longest
-piece, not on the text. Characters that no piece covers cost `unknown` and become byte pieces.
+The best segmentation under the model's piece scores is found from left to right. A window holds the positions that a
+surviving path can still start from; as soon as all surviving backpointer paths lead through one boundary, everything before
+it is decided, its ids are committed and the window moves on. No piece is longer than the longest one, so the walk looks that
+far ahead and memory depends on the pieces, not on the text. Characters that no piece covers cost `unknown` and become byte
+pieces.
 
-A piece holds the word mark at its start only (checked on loading; runs of marks are pieces of their own), so paths always
-converge before a mark that follows another character: a memo of such spans saves most of the work on real text.
+The scores are the model's, the segmentation is the best by their sum. A model that was made for merging (such as the
+default one) encodes by merging pairs instead, so its own library gives other ids for the same text; both decode to it.
+
+All text goes through the window. A piece holds the word mark at its start only (checked on loading), and white space such as
+line ends may be in no piece at all; paths always converge at such places, with an empty window. Between them, spans of up to
+MEMO_CHARS characters that the walk has met before are taken from a memo of bounded size.
 
 Defined cases: null and empty texts have no ids and decode to the empty text; repeated rows are encoded alike; extra
-columns are ignored; texts that hold the mark itself decode to spaces there, as the format has it.
+columns are ignored; texts that hold the mark itself decode to spaces there, as the format has it; an empty table gives an
+empty result.
 """
 
 from __future__ import annotations
 
+import re
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
@@ -28,7 +35,7 @@ from proxembed.llm.common import spread, table
 MARK = "▁"
 MODEL = "piece_bpe_32k.model"
 PENALTY = 10.0
-CACHE_ENTRIES = 400_000
+CACHE_ENTRIES, MEMO_CHARS = 400_000, 64
 
 
 def model_path(name: str = MODEL) -> str:
@@ -52,6 +59,8 @@ class Pieces:
         self.unknown = min(s for s, _ in self.score.values()) - PENALTY
         self.prefixes = {n[:k] for n in self.score for k in range(1, len(n) + 1)}
         self.splits = all(MARK not in p.lstrip(MARK) for p in self.score)
+        covered = set().union(*self.score)
+        self.bare = "".join(c for c in "\n\r\t" if c not in covered)
 
 
 @lru_cache(maxsize=2)
@@ -62,8 +71,8 @@ def load(path: str) -> Pieces:
 class StreamingViterbi:
     """Feed characters with push(), end with finish(); both return the ids that have become certain.
 
-    Position k of the window holds the best score of the text up to it and how its last piece began. Equal scores keep the
-    path found first, the one with the longer last piece.
+    Position k of the window holds the best score of the text up to it and how its last piece began. A position is left once
+    the text reaches a longest piece beyond it. Equal scores keep the path found first, the one with the longer last piece.
     """
 
     def __init__(self, pieces: Pieces):
@@ -71,95 +80,82 @@ class StreamingViterbi:
         self.reset()
 
     def reset(self) -> None:
-        self.text = ""
-        self.best = [0.0]
+        self.text, self.at, self.reach, self.held = "", 0, 0, 0
+        self.best: list[float | None] = [0.0]
         self.back: list[tuple[int, int]] = [(-1, -1)]
-        self.held = 0
 
     def push(self, more: str) -> list[int]:
         out: list[int] = []
-        p, score = self.p, self.p.score
-        for ch in more:
-            self.text += ch
-            text, best = self.text, self.best
-            n = len(text)
-            top, back = float("-inf"), (n - 1, -1)
-            for a in range(max(0, n - p.longest), n):
-                found = score.get(text[a:n])
-                if found is not None and best[a] + found[0] > top:
-                    top, back = best[a] + found[0], (a, found[1])
-            if back[1] < 0:
-                top = best[n - 1] + p.unknown
-            best.append(top)
-            self.back.append(back)
-            self.held = max(self.held, n)
-            if n >= 2 * p.longest:
-                out += self._commit()
+        longest = self.p.longest
+        for a in range(0, len(more), longest):
+            self.text += more[a : a + longest]
+            out += self._walk(len(self.text) - longest)
         return out
 
-    def _commit(self) -> list[int]:
-        """Ids up to the last boundary that every path in reach passes."""
-        n, back = len(self.text), self.back
-        alive = set(range(n - self.p.longest + 1, n + 1))
-        while len(alive) > 1:
-            k = max(alive)
-            alive.remove(k)
-            alive.add(back[k][0])
-        at = alive.pop()
-        if at <= 0:
-            return []
-        out = self._trace(at)
-        base = self.best[at]
-        self.text, self.best = self.text[at:], [x - base for x in self.best[at:]]
-        self.back = [(-1, -1), *((a - at, k) for a, k in back[at + 1 :])]
+    def finish(self) -> list[int]:
+        out = self._walk(len(self.text))
+        out += self._trace(self.at)
+        held = self.held
+        self.reset()
+        self.held = held
         return out
 
-    def _trace(self, at: int) -> list[int]:
-        runs: list[list[int]] = []
-        while at > 0:
-            a, k = self.back[at]
-            runs.append([k] if k >= 0 else [self.p.bytes[x] for x in self.text[a:at].encode("utf-8")])
-            at = a
-        return [k for run in reversed(runs) for k in run]
-
-    def whole(self, text: str) -> list[int]:
-        """Ids of a text shorter than two windows, where nothing could be committed early: each start runs while it is a prefix of pieces."""
-        p, get, prefixes, n = self.p, self.p.score.get, self.p.prefixes, len(text)
-        best: list[float | None] = [0.0] + [None] * n
-        back: list[tuple[int, int]] = [(-1, -1)] * (n + 1)
-        for a in range(n):
+    def _walk(self, end: int) -> list[int]:
+        """Leave the positions before `end`, and commit where paths converge."""
+        out: list[int] = []
+        p, text, best, back = self.p, self.text, self.best, self.back
+        get, prefixes, n, longest = p.score.get, p.prefixes, len(text), p.longest
+        best += [None] * (n + 1 - len(best))
+        back += [(-1, -1)] * (n + 1 - len(back))
+        a, reach, begin = self.at, self.reach, 0
+        while a < end:
             here = best[a]
-            if here is None:
-                here = best[a] = best[a - 1] + p.unknown
-                back[a] = (a - 1, -1)
-            for e in range(a + 1, min(n, a + p.longest) + 1):
+            for e in range(a + 1, min(n, a + longest) + 1):
                 part = text[a:e]
                 if part not in prefixes:
                     break
                 found = get(part)
-                if found is not None and (best[e] is None or here + found[0] > best[e]):
-                    best[e], back[e] = here + found[0], (a, found[1])
-        if n and best[n] is None:
-            back[n] = (n - 1, -1)
-        self.text, self.back = text, back
-        return self.finish()
-
-    def finish(self) -> list[int]:
-        out = self._trace(len(self.text))
-        self.reset()
+                if found is not None:
+                    score = here + found[0]
+                    if best[e] is None or score > best[e]:
+                        best[e], back[e] = score, (a, found[1])
+                        if e > reach:
+                            reach = e
+            a += 1
+            if best[a] is None:
+                best[a], back[a] = here + p.unknown, (a - 1, -1)
+            if reach <= a:
+                # No piece leads beyond this boundary: every path passes it.
+                out += self._trace(a, begin)
+                begin = reach = a
+                best[a] = 0.0
+            elif a - begin >= 2 * longest and a % longest == 0:
+                common = self._common(a, reach)
+                if common > begin:
+                    out += self._trace(common, begin)
+                    begin = common
+            if a - begin > self.held:
+                self.held = a - begin
+        self.text, self.best, self.back = text[begin:], best[begin:], [(x - begin, k) for x, k in back[begin:]]
+        self.at, self.reach = a - begin, reach - begin
         return out
 
+    def _common(self, at: int, reach: int) -> int:
+        """The last boundary that the paths of all open positions pass."""
+        alive = {k for k in range(at, reach + 1) if self.best[k] is not None}
+        while len(alive) > 1:
+            k = max(alive)
+            alive.remove(k)
+            alive.add(self.back[k][0])
+        return alive.pop()
 
-def spans(text: str) -> list[str]:
-    """The marked text cut before each mark that follows another character."""
-    parts = text.split(" ")
-    out = [MARK + parts[0]]
-    for x in parts[1:]:
-        if out[-1].endswith(MARK):
-            out[-1] += MARK + x
-        else:
-            out.append(MARK + x)
-    return out
+    def _trace(self, at: int, begin: int = 0) -> list[int]:
+        runs: list[list[int]] = []
+        while at > begin:
+            a, k = self.back[at]
+            runs.append([k] if k >= 0 else [self.p.bytes[x] for x in self.text[a:at].encode("utf-8")])
+            at = a
+        return [k for run in reversed(runs) for k in run]
 
 
 class Encoder:
@@ -168,27 +164,37 @@ class Encoder:
     def __init__(self, path: str):
         self.p = load(path)
         self.memo: dict[str, bytes] = {}
+        bare = re.escape(self.p.bare)
+        #: Spans between places where the window is always empty.
+        self.spans = re.compile((f"[{bare}]+|" if bare else "") + f"{MARK}+[^{MARK}{bare}]*|[^{MARK}{bare}]+").findall if self.p.splits else lambda text: [text]
 
     def encode(self, text: str) -> bytes:
         if not text:
             return b""
-        walk, memo, out = StreamingViterbi(self.p), self.memo, []
-        if not self.p.splits or MARK in text:
-            ids = walk.push(MARK + text.replace(" ", MARK))
-            return np.array(ids + walk.finish(), dtype="<u4").tobytes()
+        spans, memo = self.spans(MARK + text.replace(" ", MARK)), self.memo
+        try:
+            return b"".join(map(memo.__getitem__, spans))
+        except KeyError:
+            pass
         if len(memo) > CACHE_ENTRIES:
             memo.clear()
-        get = memo.get
-        for s in spans(text):
+        walk, get, out = StreamingViterbi(self.p), memo.get, []
+        for s in spans:
             v = get(s)
             if v is None:
-                v = np.array(walk.whole(s) if len(s) < 2 * self.p.longest else walk.push(s) + walk.finish(), dtype="<u4").tobytes()
-                if len(s) <= 64:
+                v = np.array(walk.push(s) + walk.finish(), dtype="<u4").tobytes()
+                if len(s) <= MEMO_CHARS:
                     memo[s] = v
             out.append(v)
         return b"".join(out)
 
 
+@lru_cache(maxsize=2)
+def encoder(path: str) -> Encoder:
+    """One encoder a worker process, so its memo outlives a task."""
+    return Encoder(path)
+
+
 class Decoder:
     """Texts of ids: pieces joined, runs of byte pieces read as UTF-8, marks to spaces, the first one dropped."""
 
@@ -197,21 +203,25 @@ class Decoder:
         raw = [b"" if k in p.control else n.replace(MARK, " ").encode("utf-8") for k, n in enumerate(p.names)]
         for value, k in p.bytes.items():
             raw[k] = bytes([value])
-        self.raw = raw
+        self.pool = np.frombuffer(b"".join(raw), dtype=np.uint8)
+        self.size = np.array([len(x) for x in raw], dtype=np.int64)
+        self.start = np.cumsum(self.size) - self.size
 
     def decode(self, data: bytes) -> str:
-        raw = self.raw
-        whole = b"".join([raw[k] for k in np.frombuffer(data, dtype="<u4").tolist()])
-        return whole.decode("utf-8", "replace").removeprefix(" ")
+        ids = np.frombuffer(data, dtype="<u4")
+        size = self.size[ids]
+        ends = np.cumsum(size)
+        at = np.repeat(self.start[ids] - (ends - size), size) + np.arange(int(ends[-1]) if len(ends) else 0)
+        return self.pool[at].tobytes().decode("utf-8", "replace").removeprefix(" ")
 
 
 def encode_texts(docs: DataFrame, path: str) -> DataFrame:
     """(doc_id, text) -> (doc_id, ids) with ids as packed 32-bit words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(path)
+        own = encoder(path)
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([encoder.encode(t.as_py() or "") for t in batch.column(1)], pa.binary())], names=["doc_id", "ids"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([own.encode(t.as_py() or "") for t in batch.column(1)], pa.binary())], names=["doc_id", "ids"])
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, ids binary")
 
@@ -233,12 +243,12 @@ def op7_streaming_viterbi(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = model_path()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, decoder = Encoder(path), Decoder(path)
+        own, decoder = encoder(path), Decoder(path)
         for batch in batches:
             rows = []
             for doc, t in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 text = t.as_py() or ""
-                ids = encoder.encode(text)
+                ids = own.encode(text)
                 back = decoder.decode(ids)
                 rows.append((doc, len(ids) // 4, zlib.crc32(ids), len(back), zlib.crc32(back.encode("utf-8")), back == text.replace(MARK, " ")))
             cols = list(zip(*rows, strict=True)) or [[]] * 6
