@@ -2,8 +2,13 @@
 
 A payload is stored losslessly as an 8-bit PCM WAVE, read back from the stored bytes, and resampled by a windowed-sinc
 polyphase filter (each output phase is one short dot product). Overlapping Hann frames give log-mel vectors; frame energy
-with two thresholds gives segments: one opens above the high threshold and closes below the low one. Tensors are Arrow
-fixed-size lists of `frames_per_block` by `mels`, the last block padded, each with its time span.
+with two thresholds gives segments: one opens above the high threshold and closes below the low one.
+
+A text's features are stored as an Arrow stream: a row for each block of BLOCK frames with its time span, how many of its
+frames count, and the tensor, of the fixed-shape type BLOCK x MELS (the last block is padded with the floor value); and in
+the stream's metadata the segments. Spark has no such type, so the stream is a binary column; `read_tensors` gives it back,
+and `feature_tensors` has a row for each block with the tensor as a list and its shape beside it. The query's `feature` is
+made from the stream as read back: frames, blocks, all segments, the mean log-mel vector and a checksum of the tensors.
 
 Defined cases: null text is the empty payload, padded to one unit of 64 zero bytes; equal texts give equal values, for
 each is computed alone; repeated rows and null ids are rows like others; an empty table gives an empty result.
@@ -144,51 +149,94 @@ def payload_of(text: str | None) -> tuple[int, bytes]:
     return len(data), data + b"\0" * (-len(data) % UNIT if data else UNIT)
 
 
+FLOOR = np.log(np.float32(1e-6))
+TENSOR = pa.fixed_shape_tensor(pa.float32(), (BLOCK, MELS))
+STREAM = pa.schema([("from_ms", pa.int64()), ("to_ms", pa.int64()), ("frames", pa.int32()), ("tensor", TENSOR)])
+
+
+def tensor_stream(mels: np.ndarray, spans: list[tuple[int, int]]) -> bytes:
+    """Frames in blocks of fixed shape with their time spans, and segments, as an Arrow stream."""
+    n = -(-len(mels) // BLOCK)
+    full = np.full((n * BLOCK, MELS), FLOOR, dtype=np.float32)
+    full[: len(mels)] = mels
+    k = np.arange(n)
+    used = np.minimum(BLOCK, len(mels) - k * BLOCK)
+    ms = HOP * 1000 // TARGET_RATE
+    tensors = pa.ExtensionArray.from_storage(TENSOR, pa.FixedSizeListArray.from_arrays(pa.array(full.reshape(-1)), BLOCK * MELS))
+    batch = pa.RecordBatch.from_arrays([pa.array(k * BLOCK * ms), pa.array((k * BLOCK + used - 1) * ms + FRAME * 1000 // TARGET_RATE), pa.array(used, pa.int32()), tensors], names=STREAM.names)
+    batch = batch.replace_schema_metadata({"segments": ",".join(f"{a}-{b}" for a, b in spans)})
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, batch.schema) as writer:
+        writer.write_batch(batch)
+    return sink.getvalue().to_pybytes()
+
+
+def read_tensors(stream: bytes) -> tuple[pa.Table, list[tuple[int, int]]]:
+    """(blocks, segments) of a tensor stream."""
+    blocks = pa.ipc.open_stream(stream).read_all()
+    said = (blocks.schema.metadata or {}).get(b"segments", b"").decode()
+    return blocks, [tuple(map(int, x.split("-"))) for x in said.split(",") if x]
+
+
 #: Tensor blocks of a media column: fixed shape, with the time span each covers.
 TENSOR_SCHEMA = "doc_id long, block int, from_ms long, to_ms long, frames int, shape array<int>, tensor array<float>"
 
 
 def feature_tensors(docs: DataFrame) -> DataFrame:
-    """(doc_id, text) -> BLOCK x MELS tensors, the last of a document padded with the floor value."""
+    """(doc_id, text) -> TENSOR_SCHEMA, a row for each block of each text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                mels, _, _ = analyse(wave_bytes(payload_of(text.as_py())[1]))
-                n = -(-len(mels) // BLOCK)
-                full = np.full((n * BLOCK, MELS), np.log(np.float32(1e-6)), dtype=np.float32)
-                full[: len(mels)] = mels
-                k = np.arange(n)
-                used = np.minimum(BLOCK, len(mels) - k * BLOCK)
-                ms = HOP * 1000 // TARGET_RATE
+                mels, spans, _ = analyse(wave_bytes(payload_of(text.as_py())[1]))
+                blocks, _ = read_tensors(tensor_stream(mels, spans))
+                n, tensors = len(blocks), blocks["tensor"].combine_chunks()
                 yield pa.RecordBatch.from_arrays([
-                    pa.array([doc] * n, pa.int64()), pa.array(k, pa.int32()), pa.array(k * BLOCK * ms, pa.int64()),
-                    pa.array((k * BLOCK + used - 1) * ms + FRAME * 1000 // TARGET_RATE, pa.int64()), pa.array(used, pa.int32()),
-                    pa.array([[BLOCK, MELS]] * n, pa.list_(pa.int32())),
-                    pa.FixedSizeListArray.from_arrays(pa.array(full.reshape(-1)), BLOCK * MELS).cast(pa.list_(pa.float32())),
-                ], names=["doc_id", "block", "from_ms", "to_ms", "frames", "shape", "tensor"])
+                    pa.array([doc] * n, pa.int64()), pa.array(np.arange(n), pa.int32()), *(blocks[c].combine_chunks() for c in ("from_ms", "to_ms", "frames")),
+                    pa.array([list(tensors.type.shape)] * n, pa.list_(pa.int32())), tensors.storage.cast(pa.list_(pa.float32())),
+                ], names=[c.split()[0] for c in TENSOR_SCHEMA.split(", ")])
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, TENSOR_SCHEMA)
 
 
+def describe(stream: bytes) -> str:
+    """frames x mels; blocks; segments in milliseconds; mean log-mel vector; checksum of the tensors."""
+    blocks, spans = read_tensors(stream)
+    used = blocks["frames"].to_numpy()
+    tensors = blocks["tensor"].combine_chunks().to_numpy_ndarray()
+    frames = tensors.reshape(-1, MELS)[: int(used.sum())]
+    mean = frames.mean(axis=0, dtype=np.float64) if len(frames) else np.zeros(MELS)
+    return ";".join([f"{len(frames)}x{MELS}", str(len(blocks)), ",".join(f"{a}-{b}" for a, b in spans), ",".join(f"{v + 0.0:.3f}" for v in mean), f"{zlib.crc32(tensors.tobytes()):08x}"])
+
+
+FEATURES = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, tensors binary"
+
+
 def media_features(docs: DataFrame) -> DataFrame:
-    """A row of digests for each text; `feature` names frames, segments and the mean log-mel vector to three places."""
-    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+    """FEATURES of each text: digests of the payload read back and of the stored form, the features and their tensors."""
+    names = [c.split()[0] for c in FEATURES.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = []
+            rows, size = [], 0
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 n, payload = payload_of(text.as_py())
                 stored = wave_bytes(payload)
                 mels, spans, back = analyse(stored)
-                mean = mels.mean(axis=0, dtype=np.float64)
-                feature = f"{len(mels)}x{MELS};{len(spans)};" + ",".join(f"{a}-{b}" for a, b in spans[:1] + spans[-1:]) + ";" + ",".join(f"{v + 0.0:.3f}" for v in mean)
-                rows.append((doc, n, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-UNIT:]), len(stored), hashlib.sha256(stored).hexdigest(), feature))
+                stream = tensor_stream(mels, spans)
+                rows.append((doc, n, len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-UNIT:]), len(stored), hashlib.sha256(stored).hexdigest(), describe(stream), stream))
+                size += len(stream)
+                if size > 8 << 20:
+                    yield _batch(rows, names)
+                    rows, size = [], 0
             if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c) if k else pa.array(c, pa.int64()) for k, c in enumerate(zip(*rows, strict=True))], names=[c.split()[0] for c in schema.split(", ")])
+                yield _batch(rows, names)
+
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, FEATURES)
+
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, schema)
+def _batch(rows: list[tuple], names: list[str]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c) if k else pa.array(c, pa.int64()) for k, c in enumerate(zip(*rows, strict=True))], names=names)
 
 
 def op6_audio_features(spark: SparkSession, sf_dir: str) -> DataFrame:
