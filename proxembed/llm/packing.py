@@ -1,11 +1,13 @@
 """Best-fit packing by exact-complement hashing.
 
 Token counts are what packing depends on, and a sequence of C tokens admits C different counts at most. The plan is
-made from the histogram of counts (C rows, whatever the corpus holds): sums of one, two and three available counts are
-indexed, the longest open piece takes a combination that fills its gap exactly, as often as availability allows, and
-what has no exact complement is packed best-fit, again by count. Each step uses up at least one count, so the plan has
-a few thousand lines at most. Pieces find their place by their rank among pieces of equal length; ranks come from
-per-bucket counts and a prefix sum, so a length that a third of all rows share is dealt over many tasks.
+made from the histogram of counts (C rows, whatever the corpus holds). An index holds, for each sum up to C, how many
+single counts, pairs and triples of available counts make it; it is brought up to date when a count is used up. The longest
+open piece looks up its gap: one count, else a pair, else a triple that fills it exactly, as often as availability allows
+(a combination that needs a count twice needs two of it). All combinations of an indexed sum are tried before the gap counts as
+having none; what has no exact complement is packed best-fit, again by count. Each step uses up at least one count, so
+the plan has a few thousand lines at most. Pieces find their place by their rank among pieces of equal length; ranks come
+from per-bucket counts and a prefix sum, so a length that a third of all rows share is dealt over many tasks.
 
 Defined cases: null and empty texts are one separator token; repeated rows are packed once each; null ids stay null;
 extra columns are ignored; an empty table gives an empty result.
@@ -14,14 +16,15 @@ extra columns are ignored; an empty table gives an empty result.
 from __future__ import annotations
 
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from proxembed.llm.common import spread, store, table
 
@@ -102,12 +105,18 @@ class SpanEncoder:
         return b"".join(out)
 
 
+@lru_cache(maxsize=2)
+def span_encoder(name: str) -> SpanEncoder:
+    """One encoder a worker process, so its memo outlives a task."""
+    return SpanEncoder(name)
+
+
 def pieces(docs: DataFrame, capacity: int = CAPACITY, name: str = TOKENIZER) -> DataFrame:
     """(doc_id, text) -> (doc_id, piece, start, length, ids_crc32); only documents over `capacity` are cut, the first piece is the short one."""
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, end = SpanEncoder(name), np.array([SEPARATOR], dtype="<u4").tobytes()
+        encoder, end = span_encoder(name), np.array([SEPARATOR], dtype="<u4").tobytes()
         for batch in batches:
             ids, text = batch.column(0).to_pylist(), batch.column(1)
             rows: list[tuple] = []
@@ -124,64 +133,100 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, name: str = TOKENIZER) ->
     return spread(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))).mapInArrow(run, schema)
 
 
+class SumIndex:
+    """How many of the available counts, ordered pairs and ordered triples of them make each sum up to the capacity."""
+
+    def __init__(self, have: np.ndarray):
+        self.have = have
+        self.single = (have > 0).astype(np.int64)
+        n = len(have)
+        self.pair, self.triple = np.zeros(n, dtype=np.int64), np.zeros(n, dtype=np.int64)
+        for x in np.flatnonzero(self.single).tolist():
+            self.pair[x:] += self.single[: n - x]
+        for x in np.flatnonzero(self.single).tolist():
+            self.triple[x:] += self.pair[: n - x]
+
+    def use(self, x: int, k: int) -> None:
+        """Take k of count x; once it is used up, no indexed sum rests on it (inclusion and exclusion of x once, twice, thrice)."""
+        self.have[x] -= k
+        if self.have[x]:
+            return
+        n = len(self.have)
+
+        def minus(table: np.ndarray, other: np.ndarray | None, shift: int, times: int) -> None:
+            if shift < n:
+                if other is None:
+                    table[shift] -= times
+                else:
+                    table[shift:] -= times * other[: n - shift]
+
+        minus(self.triple, self.pair, x, 3)
+        minus(self.triple, self.single, 2 * x, -3)
+        minus(self.triple, None, 3 * x, 1)
+        minus(self.pair, self.single, x, 2)
+        minus(self.pair, None, 2 * x, -1)
+        self.single[x] = 0
+
+    def pair_for(self, total: int, taken: tuple[int, ...]) -> tuple[int, int] | None:
+        """Two counts that make `total`, the most even ones, besides those `taken`."""
+        if total < 2 or not self.pair[total]:
+            return None
+        low = np.arange(1, total // 2 + 1)
+        need_low = 1 + (low * 2 == total) + sum((low == t).astype(np.int64) for t in taken)
+        need_high = 1 + (low * 2 == total) + sum((total - low == t).astype(np.int64) for t in taken)
+        found = np.flatnonzero((self.have[low] >= need_low) & (self.have[total - low] >= need_high))
+        return (total - int(low[found[-1]]), int(low[found[-1]])) if len(found) else None
+
+    def complement(self, length: int, gap: int) -> tuple[int, ...] | None:
+        """Up to three available counts besides one of `length` that fill the gap exactly, largest first; None if there are none."""
+        if not gap:
+            return ()
+        if self.have[gap] > (gap == length):
+            return (gap,)
+        pair = self.pair_for(gap, (length,))
+        if pair or not self.triple[gap]:
+            return pair
+        # The largest member of a triple is a third of the gap at least, and its rest an indexed pair sum.
+        most = np.arange(gap - 2, -(-gap // 3) - 1, -1)
+        for x in most[(self.single[most] > 0) & (self.pair[gap - most] > 0)].tolist():
+            if self.have[x] > (x == length):
+                rest = self.pair_for(gap - x, (length, x))
+                if rest:
+                    return tuple(sorted((x, *rest), reverse=True))
+        return None
+
+
 def plan_sequences(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[tuple[int, ...], int]]:
     """Patterns (lengths, longest first) with multiplicities that use up `counts` exactly."""
     have = np.zeros(capacity + 1, dtype=np.int64)
     for length, n in counts.items():
         have[length] += n
-    plan: list[tuple[tuple[int, ...], int]] = []
+    index, plan = SumIndex(have), []
 
-    def take(pattern: tuple[int, ...], most: int | None = None) -> None:
-        uses: dict[int, int] = {}
-        for x in pattern:
-            uses[x] = uses.get(x, 0) + 1
+    def take(pattern: tuple[int, ...]) -> None:
+        uses = Counter(pattern)
         times = min(int(have[x]) // k for x, k in uses.items())
-        times = times if most is None else min(times, most)
         plan.append((pattern, times))
         for x, k in uses.items():
-            have[x] -= k * times
-
-    def exact(length: int, gap: int) -> tuple[int, ...] | None:
-        own = lambda *xs: all(have[x] >= xs.count(x) + (x == length) for x in xs)
-        if gap == 0:
-            return (length,)
-        if have[gap] and own(gap):
-            return (length, gap)
-        # Pair sums: available a with an available complement in the gap.
-        low = np.arange(1, gap // 2 + 1)
-        for a in low[(have[low] > 0) & (have[gap - low] > 0)][::-1][:4].tolist():
-            if own(a, gap - a):
-                return (length, gap - a, a)
-        # Triple sums: for the largest members first, a pair sum that completes the gap.
-        for a in np.flatnonzero(have[: gap - 1])[::-1].tolist():
-            rest = gap - a
-            if a < rest / 2:
-                break
-            b = np.arange(1, rest // 2 + 1)
-            for x in b[(have[b] > 0) & (have[rest - b] > 0)][::-1][:2].tolist():
-                if own(a, rest - x, x):
-                    return (length, *sorted((a, rest - x, x), reverse=True))
-        return None
+            index.use(x, k * times)
 
     for length in range(capacity, 0, -1):
         while have[length]:
-            pattern = exact(length, capacity - length)
-            if pattern is None:
+            rest = index.complement(length, capacity - length)
+            if rest is None:
                 break
-            take(pattern)
+            take((length, *rest))
     for length in range(capacity, 0, -1):
         while have[length]:
-            have[length] -= 1
-            pattern, gap = [length], capacity - length
+            left, pattern, gap = have.copy(), [length], capacity - length
+            left[length] -= 1
             while gap:
-                fits = np.flatnonzero(have[: gap + 1])
+                fits = np.flatnonzero(left[: gap + 1])
                 if not len(fits):
                     break
                 pattern.append(int(fits[-1]))
-                have[pattern[-1]] -= 1
+                left[pattern[-1]] -= 1
                 gap -= pattern[-1]
-            for x in pattern:
-                have[x] += 1
             take(tuple(pattern))
     return plan
 
@@ -215,15 +260,16 @@ def pack(found: DataFrame, capacity: int = CAPACITY, rows_per_bucket: int = 2_00
     ranked = salted.withColumn("_r", F.row_number().over(order)).join(before.select("length", "_b", "_o"), ["length", "_b"])
     ranked = ranked.withColumn("_r", F.col("_r") + F.col("_o") - 1).drop("_b", "_o")
     names = [c for c in ranked.columns if c != "_r"]
-    schema = ", ".join(f"`{c}` {ranked.schema[c].dataType.simpleString()}" for c in names) + ", sequence_id long, offset long"
+    kind = StructType([*(ranked.schema[c] for c in names), StructField("sequence_id", LongType()), StructField("offset", LongType())])
+    length_at = names.index("length")
 
-    def place(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for x in batches:
-            at = slots["base"][x["length"].to_numpy()] + x["_r"].to_numpy()
+            at = slots["base"][x.column(length_at).to_numpy()] + x.column(len(names)).to_numpy()
             slot = np.searchsorted(slots["start"], at, side="right") - 1
-            yield x[names].assign(sequence_id=slots["sequence"][slot] + at - slots["start"][slot], offset=slots["offset"][slot])
+            yield pa.RecordBatch.from_arrays([*(x.column(k) for k in range(len(names))), pa.array(slots["sequence"][slot] + at - slots["start"][slot]), pa.array(slots["offset"][slot])], names=kind.names)
 
-    return ranked.select(*names, "_r").mapInPandas(place, schema)
+    return ranked.select(*names, "_r").mapInArrow(place, kind)
 
 
 def op3_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
