@@ -113,35 +113,117 @@ def test_tensor_blocks(spark):
     assert len(one) == 3 and one[1]["from_ms"] == audio.BLOCK * 10 and one[0]["to_ms"] > one[1]["from_ms"] - 10
 
 
-def test_recall_and_order(spark):
-    vectors = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
-    got = multi_index.search(vectors, vectors.where("vec_id % 20 = 0"), least=400).collect()
+def _plain_features(payload):
+    """Log-mel frames by an independent reading: direct convolution, one frame at a time, a loop over mel triangles."""
+    x = (np.frombuffer(payload, np.uint8).astype(float) - 128) / 128
+    t = np.arange(-8, 9)
+    taps = 0.5 * np.sinc(0.5 * t) * (0.5 + 0.5 * np.cos(np.pi * t / 9))
+    y = np.convolve(x, (taps / taps.sum())[::-1])[8 : 8 + len(x)][::2]
+    mel = lambda f: 2595 * np.log10(1 + f / 700)
+    edges = [700 * (10 ** (m / 2595) - 1) for m in np.linspace(0, mel(4000), audio.MELS + 2)]
+    frames = []
+    for a in range(0, max(1, len(y) - audio.FRAME + audio.HOP), audio.HOP):
+        part = np.zeros(audio.FRAME)
+        part[: len(y[a : a + audio.FRAME])] = y[a : a + audio.FRAME]
+        power = np.abs(np.fft.rfft(part * np.hanning(audio.FRAME), audio.FFT)) ** 2
+        row = []
+        for lo, mid, hi in zip(edges, edges[1:], edges[2:], strict=False):
+            f = np.arange(audio.FFT // 2 + 1) * 8000 / audio.FFT
+            row.append(np.log((power * np.clip(np.minimum((f - lo) / (mid - lo), (hi - f) / (hi - mid)), 0, None)).sum() + 1e-6))
+        frames.append(row)
+    return np.array(frames)
+
+
+def test_features_against_a_plain_reading():
+    g = np.random.default_rng(2)
+    for n in (64, 128, 448, 640, 64 * 30, 64 * 700):
+        payload = g.integers(0, 256, n).astype(np.uint8).tobytes()
+        mels, spans, back = audio.analyse(audio.wave_bytes(payload))
+        want = _plain_features(payload)
+        assert back == payload and mels.shape == want.shape and np.abs(mels - want).max() < 2e-2
+        blocks, read = audio.read_tensors(audio.tensor_stream(mels, spans))
+        assert read == spans and blocks["tensor"].type.shape == [audio.BLOCK, audio.MELS]
+        held = blocks["tensor"].combine_chunks().to_numpy_ndarray().reshape(-1, audio.MELS)
+        assert np.array_equal(held[: len(mels)], mels) and int(blocks["frames"].to_numpy().sum()) == len(mels)
+        assert all(a < b for a, b in spans) and all(b[0] >= a[0] for a, b in zip(spans, spans[1:], strict=False))
+
+
+def test_media_of_odd_rows(spark):
+    assert audio.media_features(spark.createDataFrame([], "doc_id long, text string, tensors int, n_bytes int")).count() == 0
+    long = "0123456789abcdef" * 200_000
+    r = audio.media_features(spark.createDataFrame([(1, long)], "doc_id long, text string")).first()
+    assert r["n_bytes"] == r["payload_bytes"] == len(long) and r["media_bytes"] == len(long) + 44
+    blocks, spans = audio.read_tensors(bytes(r["tensors"]))
+    assert r["feature"].startswith(f"{int(blocks['frames'].to_numpy().sum())}x{audio.MELS};{len(blocks)};") and blocks["to_ms"][-1].as_py() >= len(long) * 1000 // audio.RATE
+
+
+def _brute(vectors, k=20):
+    """Per query (id divisible by 20) its k best by inner product, ties to the smaller id."""
     x = {r["vec_id"]: np.array(r["embedding"], dtype=float) for r in vectors.collect()}
     ids = np.array(sorted(x))
-    all_rows = np.stack([x[i] for i in ids])
-    hit = total = 0
+    rows = np.stack([x[i] for i in ids])
+    out = {}
+    for q in ids[ids % 20 == 0].tolist():
+        s = rows @ x[q]
+        s[ids == q] = -np.inf
+        out[q] = ids[np.lexsort((ids, -s))[:k]].tolist()
+    return x, out
+
+
+@pytest.mark.parametrize("sf", ["0.001", "0.01", "0.1"])
+def test_recall_and_order(spark, sf):
+    """All queries, with the defaults."""
+    vectors = spark.read.parquet(f"/root/testdata/sf{sf}/embeddings.parquet")
+    got = multi_index.search(vectors, vectors.where("vec_id % 20 = 0")).collect()
+    x, truth = _brute(vectors)
     by = {}
     for r in got:
         by.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
-    assert set(by) == {i for i in ids.tolist() if i % 20 == 0}
+    assert set(by) == set(truth)
+    hit = 0
     for q, rows in by.items():
         rows.sort()
         assert [r[0] for r in rows] == list(range(1, 21))
         assert all(abs(s - x[v] @ x[q]) < 1e-12 and v != q for _, v, s in rows)
         assert [(-s, v) for _, v, s in rows] == sorted((-s, v) for _, v, s in rows)
-        s = all_rows @ x[q]
-        s[ids == q] = -9
-        best = set(ids[np.lexsort((ids, -s))[:20]].tolist())
-        hit, total = hit + len(best & {v for _, v, _ in rows}), total + 20
-    assert hit / total >= 0.9
+        hit += len(set(truth[q]) & {v for _, v, _ in rows})
+    assert hit / (20 * len(truth)) >= 0.9
+
+
+def test_clusters_make_walks_short(spark):
+    g = np.random.default_rng(5)
+    centers = g.normal(size=(60, 16))
+    x = centers[g.integers(0, 60, 6000)] + 0.05 * g.normal(size=(6000, 16))
+    v = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id long, embedding array<double>")
+    rows, index = multi_index.build(multi_index.usable(v))
+    ids = np.arange(0, 6000, 60)
+    want = multi_index.rows_to_walk(index, x[ids], multi_index.exact_top(rows, ids, x[ids], 20), 0.96)
+    assert want < 600 and index.held.sum() == 6000
+    got = multi_index.search(v, v.where("vec_id % 20 = 0")).collect()
+    _, truth = _brute(v)
+    assert sum(r["vec_id"] in truth[r["query_id"]] for r in got) / (20 * len(truth)) >= 0.9
+
+
+def test_blocks_and_shards_change_nothing(spark, monkeypatch):
+    vectors = spark.read.parquet(f"{SF}/embeddings.parquet")
+    take = lambda: sorted((r["query_id"], r["rank"], r["vec_id"]) for r in multi_index.search(vectors, vectors.where("vec_id % 20 = 0"), recall=1.0).collect())
+    one = take()
+    monkeypatch.setattr(multi_index, "SHARD_ROWS", 37)
+    monkeypatch.setattr(multi_index, "BLOCK_QUERIES", 5)
+    assert take() == one
+    _, truth = _brute(vectors)
+    assert sum(v in truth[q] for q, _, v in one) / (20 * len(truth)) >= 0.97
 
 
 def test_cells_are_walked_in_order():
     g = np.random.default_rng(1)
     a, b, q = g.normal(size=(5, 3)), g.normal(size=(6, 3)), g.normal(size=6)
-    cells = multi_index.walk_cells(q, a, b, np.ones(30, dtype=int), 30)
-    s = [a[c // 6] @ q[:3] + b[c % 6] @ q[3:] for c in cells]
-    assert len(set(cells)) == 30 and all(x >= y - 1e-12 for x, y in zip(s, s[1:], strict=False))
+    held = (g.random(30) < 0.8).astype(np.int64)
+    cells = list(multi_index.MultiIndex(a, b, held).walk(q, 30))
+    s = [a[c // 6] @ q[:3] + b[c % 6] @ q[3:] for c, _ in cells]
+    assert sorted(c for c, _ in cells) == np.flatnonzero(held).tolist() and all(x >= y - 1e-12 for x, y in zip(s, s[1:], strict=False))
+    assert all(abs(x - y) < 1e-12 for x, (_, y) in zip(s, cells, strict=True))
+    assert len(list(multi_index.MultiIndex(a, b, held).walk(q, 4))) == 4
 
 
 def test_odd_vectors(spark):

@@ -134,6 +134,77 @@ def test_plan_uses_up_counts():
     assert packing.plan_sequences({}) == []
 
 
+def brute_fill(have, length, gap):
+    """Whether one to three of what is left besides a piece of `length` fill the gap."""
+    from itertools import combinations_with_replacement
+
+    left = dict(have)
+    left[length] -= 1
+    return any(sum(c) == gap and all(left.get(x, 0) >= c.count(x) for x in c) for k in (1, 2, 3) for c in combinations_with_replacement(sorted(left), k))
+
+
+def test_every_exact_complement_is_found():
+    g = random.Random(11)
+    for _ in range(300):
+        have = np.zeros(41, dtype=np.int64)
+        for _ in range(g.randint(1, 9)):
+            have[g.randint(1, 30)] += g.randint(1, 2)
+        index = packing.SumIndex(have)
+        for _ in range(4):
+            if not have.any():
+                break
+            length = int(np.flatnonzero(have)[-1])
+            got = index.complement(length, 40 - length)
+            assert (got is not None) == brute_fill({int(x): int(have[x]) for x in np.flatnonzero(have)}, length, 40 - length)
+            if got is not None:
+                assert sum(got) == 40 - length
+            index.use(length, 1)
+            fresh = packing.SumIndex(have.copy())
+            assert np.array_equal(index.single, fresh.single) and np.array_equal(index.pair, fresh.pair) and np.array_equal(index.triple, fresh.triple)
+
+
+def fewest(lengths, capacity):
+    """The optimum by trying all ways to put pieces into open sequences."""
+    best = [len(lengths)]
+
+    def go(k, bins):
+        if len(bins) >= best[0]:
+            return
+        if k == len(lengths):
+            best[0] = len(bins)
+            return
+        for free in set(bins):
+            if free >= lengths[k]:
+                go(k + 1, _put(bins, free, lengths[k]))
+        go(k + 1, [*bins, capacity - lengths[k]])
+
+    def _put(bins, free, n):
+        out = list(bins)
+        out.remove(free)
+        return [*out, free - n]
+
+    go(0, [])
+    return best[0]
+
+
+def test_plan_is_near_the_optimum_on_small_inputs():
+    g = random.Random(7)
+    exact = 0
+    for _ in range(60):
+        lengths = sorted((g.randint(1, 40) for _ in range(g.randint(1, 9))), reverse=True)
+        counts = {x: lengths.count(x) for x in set(lengths)}
+        used, best = sum(t for _, t in packing.plan_sequences(counts, 40)), fewest(lengths, 40)
+        assert best <= used <= best + 1
+        exact += used == best
+    assert exact >= 55
+
+
+def test_packing_of_an_empty_table_and_wide_ids(spark, odd):
+    assert packing.packing_stage(spark, frame(spark, odd).limit(0), SF).count() == 0
+    rows = packing.packing_stage(spark, frame(spark, [(2**53 + 1, "a b"), (None, "c")]), SF).collect()
+    assert {r["doc_id"] for r in rows} == {2**53 + 1, None}
+
+
 # Near duplicates
 
 
@@ -356,8 +427,8 @@ def test_toxicity_of_odd_rows(spark, odd):
 # Subwords
 
 
-def brute_viterbi(p, text):
-    t = subword.MARK + text.replace(" ", subword.MARK)
+def brute_viterbi(p, text, lead=subword.MARK):
+    t = lead + text.replace(" ", subword.MARK)
     best, back = [0.0], [None]
     for e in range(1, len(t) + 1):
         top, how = float("-inf"), None
@@ -384,11 +455,39 @@ def test_subwords_round_trip():
         assert np.frombuffer(enc.encode(t), "<u4").tolist() == want, repr(t)
         walk = subword.StreamingViterbi(p)
         ids = walk.push(subword.MARK + t.replace(" ", subword.MARK))
-        assert ids + walk.finish() == want and walk.held <= 2 * p.longest + p.longest
+        assert ids + walk.finish() == want and walk.held <= 4 * p.longest
+        walk = subword.StreamingViterbi(p)
+        ids = [k for c in subword.MARK + t.replace(" ", subword.MARK) for k in walk.push(c)]
+        assert ids + walk.finish() == want
         assert dec.decode(enc.encode(t)) == t
     assert enc.encode("") == b"" and dec.decode(b"") == ""
 
 
+def test_a_long_unbroken_text_is_committed_as_it_goes():
+    p = subword.load(subword.model_path())
+    walk, text, given, held = subword.StreamingViterbi(p), "ab" * 20_000 + "x" * 20_000 + "日本語" * 500, 0, 0
+    for a in range(0, len(text), 100):
+        given += len(walk.push(text[a : a + 100]))
+        held = max(held, len(walk.text))
+    assert given > 0 and held <= 8 * p.longest + 100
+
+
+def test_random_pieces_against_the_whole_lattice():
+    """A made-up vocabulary: overlapping pieces, tied scores, characters that no piece covers."""
+    g = random.Random(8)
+    for _ in range(30):
+        p = subword.Pieces.__new__(subword.Pieces)
+        names = {"".join(g.choice("abc") for _ in range(g.randint(1, 6))) for _ in range(12)}
+        p.score = {n: (-float(g.randint(1, 9)), 300 + k) for k, n in enumerate(sorted(names))}
+        p.bytes, p.longest, p.unknown = {k: k for k in range(256)}, max(map(len, names)), -50.0
+        p.prefixes = {n[:k] for n in names for k in range(1, len(n) + 1)}
+        for _ in range(20):
+            t = "".join(g.choice("abcd") for _ in range(g.randint(1, 80)))
+            walk = subword.StreamingViterbi(p)
+            ids = [k for a in range(0, len(t), 7) for k in walk.push(t[a : a + 7])] + walk.finish()
+            assert ids == brute_viterbi(p, t, "")
+
+
 def test_subword_frames(spark, odd):
     docs, path = frame(spark, odd[:8]), subword.model_path()
     ids = subword.encode_texts(docs, path)
