@@ -227,7 +227,8 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 20, recall: float =
     dealt = asked.withColumn("salt", salt).repartition(max(spark.sparkContext.defaultParallelism, blocks), "vec_id")
     routed = store(dealt.select("vec_id", "v", "salt").mapInArrow(route, "query_id long, q array<double>, shard long, block long, until double"), "routes")
     placed = rows.withColumn("salt", salt).mapInArrow(place, "vec_id long, v array<double>, cell long, shard long")
-    met = placed.join(routed.select("shard", "block").distinct(), "shard")
+    pairs = routed.select(F.col("shard").alias("at_shard"), F.col("block").alias("at_block")).distinct()
+    met = placed.join(pairs, F.col("shard") == F.col("at_shard")).select("vec_id", "v", "cell", "at_shard", "at_block")
 
     def best(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         found: list[pd.DataFrame] = []
@@ -249,7 +250,7 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 20, recall: float =
                     found.append(pd.DataFrame({"query_id": query, "vec_id": ids[pick][order], "score": exact[order]}))
         return pd.concat(found) if found else pd.DataFrame({"query_id": [], "vec_id": [], "score": []}).astype({"query_id": "int64", "vec_id": "int64", "score": "float64"})
 
-    lists = routed.groupBy("shard", "block").cogroup(met.groupBy("shard", "block")).applyInPandas(best, "query_id long, vec_id long, score double")
+    lists = routed.groupBy("shard", "block").cogroup(met.groupBy("at_shard", "at_block")).applyInPandas(best, "query_id long, vec_id long, score double")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return lists.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
