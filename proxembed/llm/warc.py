@@ -2,14 +2,18 @@
 
 Records are written as text through Spark's own sink, so archives land on any file system: each record ends with the
 blank lines that WARC asks for, which serve as the sink's line separator. A response's HTTP message is framed in chunked
-transfer coding and cut into segments of bounded size; continuation records carry the origin's identifier and a number.
+transfer coding and cut into segments of SEGMENT_BYTES at most; continuation records carry the origin's identifier and a
+number. A file holds RECORDS_PER_FILE records at most, so RECORDS_PER_FILE * SEGMENT_BYTES bytes and headers, however long
+pages are.
 
 Reading takes archives as binary files, parses records by their lengths, groups continuations by origin, orders them by
 segment number, checks the total length, and decodes the chunks. Of pages with equal payloads the one with the largest
-id is the response; the others are revisits that name it.
+id is the response; the others are revisits that name it. Who is what is settled on ids and digests; payloads are dealt by
+page, so equal ones don't meet in a task. A revisit's size and digest are held against the response that it names.
 
 Defined cases: null html is the empty payload; extra columns are ignored; rows without page_id are written with an empty
-target and read back with a null id; rows that repeat a page are records of their own; an empty table gives an empty result.
+target and read back with a null id, as responses; rows that repeat a page are records of their own; an empty table gives an
+empty result. A segment that lacks, a digest that differs and a revisit without its response are errors.
 """
 
 from __future__ import annotations
@@ -20,12 +24,12 @@ import hashlib
 import re
 from collections.abc import Iterator
 
-import pandas as pd
+import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from proxembed.llm.common import fresh_path, spread, table
+from proxembed.llm.common import forget, fresh_path, spread, store, table
 
 END = "\r\n\r\n"
 SEGMENT_BYTES = 16_384
@@ -33,11 +37,23 @@ CHUNK_CHARS = 4_096
 RECORDS_PER_FILE = 1_000
 
 
+ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
+
+
 def digest32(payload: bytes) -> str:
     """Base32 SHA-1 without a prefix."""
     return base64.b32encode(hashlib.sha1(payload).digest()).decode("ascii")
 
 
+def digest_column(payload: Column) -> Column:
+    """The same of a string column, in DataFrame functions: 20 bits at a time."""
+    hexed, letters = F.sha1(payload), []
+    for k in range(8):
+        bits = F.conv(F.substring(hexed, 5 * k + 1, 5), 16, 10).cast("int")
+        letters += [F.substr(F.lit(ALPHABET), F.shiftright(bits, n).bitwiseAND(F.lit(31)) + 1, F.lit(1)) for n in (15, 10, 5, 0)]
+    return F.concat(*letters)
+
+
 def chunked(body: str) -> str:
     """Chunked transfer framing, cut between characters so that a record stays valid text."""
     out = []
@@ -120,28 +136,25 @@ def parse_records(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
 
 
 def write_archives(pages: DataFrame, path: str) -> None:
-    """(page_id, url, html) -> gzipped files of WARC records under `path`, about RECORDS_PER_FILE each."""
-
-    def digests(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            yield b.assign(digest=[digest32((x or "").encode("utf-8")) for x in b["html"]])
-
-    base = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html"))
-    named = spread(base).mapInPandas(digests, "page_id long, url string, html string, digest string")
-    ids = named.groupBy("digest").agg(F.max("page_id").alias("top"), F.count("*").alias("n")).where("n > 1").select("digest", "top")
-    linked = named.join(ids, "digest", "left")
-
-    def build(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """(page_id, url, html) -> gzipped files of WARC records under `path`, RECORDS_PER_FILE each at most."""
+    html = F.coalesce(F.col("html").cast("string"), F.lit(""))
+    base = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), html.alias("html")).withColumn("digest", digest_column(F.col("html")))
+    ids = base.select("page_id", "digest")
+    tops = store(ids.groupBy("digest").agg(F.max("page_id").alias("top"), F.count("*").alias("n")).where("n > 1").select("digest", "top"), "tops")
+    revisits = ids.join(tops, "digest").where("page_id <> top").distinct()
+    linked = spread(base).join(revisits, ["page_id", "digest"], "left")
+
+    def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, k = TaskContext.get().partitionId(), 0
         for b in batches:
             out: list[str] = []
-            for page, url, html, digest, top in zip(b["page_id"], b["url"], b["html"], b["digest"], b["top"], strict=True):
-                page, top = (None if pd.isna(x) else int(x) for x in (page, top))
+            for page, url, html, digest, top in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 k += 1
-                out += records_of(page, f"{part}-{k}", url, html, digest, top if top is not None and page != top else None)
-            yield pd.DataFrame({"value": out})
+                out += records_of(page, f"{part}-{k}", url, html, digest, top)
+            yield pa.RecordBatch.from_arrays([pa.array(out, pa.string())], names=["value"])
 
-    linked.select("page_id", "url", "html", "digest", "top").mapInPandas(build, "value string").write.option("lineSep", END).option("compression", "gzip").option("maxRecordsPerFile", RECORDS_PER_FILE).text(path)
+    linked.select("page_id", "url", "html", "digest", "top").mapInArrow(build, "value string").write.option("lineSep", END).option("compression", "gzip").option("maxRecordsPerFile", RECORDS_PER_FILE).text(path)
+    forget(tops)
 
 
 RECORD = "name string, page_id long, kind string, digest string, refers_to long, stated long, segment int, total long, block binary"
@@ -150,12 +163,12 @@ RECORD = "name string, page_id long, kind string, digest string, refers_to long,
 def read_records(spark: SparkSession, path: str) -> DataFrame:
     """Every record of the archives under `path`, continuations under their origin's name."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         number = lambda x: None if x in (None, "") else int(x)
         for b in batches:
-            for content in b["content"]:
-                rows = []
-                for h, block in parse_records(gzip.decompress(content)):
+            for content in b.column(0):
+                rows: list[tuple] = []
+                for h, block in parse_records(gzip.decompress(content.as_py())):
                     name = h.get("warc-segment-origin-id") or h["warc-record-id"]
                     refers = h.get("warc-refers-to")
                     rows.append((name, number(name.strip("<>").split(":")[2]), h["warc-type"], h.get("warc-payload-digest", "").removeprefix("sha1:"), refers and number(refers.strip("<>").split(":")[2]),
@@ -163,15 +176,19 @@ def read_records(spark: SparkSession, path: str) -> DataFrame:
                     if len(rows) == 500:
                         yield _frame(rows)
                         rows = []
-                yield _frame(rows)
+                if rows:
+                    yield _frame(rows)
 
     files = spark.read.format("binaryFile").option("pathGlobFilter", "*.txt.gz").load(path).select("content")
-    return files.mapInPandas(run, RECORD)
+    return files.mapInArrow(run, RECORD)
+
+
+_ARROW = {"string": pa.string(), "long": pa.int64(), "int": pa.int32(), "binary": pa.binary()}
 
 
-def _frame(rows: list[tuple]) -> pd.DataFrame:
-    x = pd.DataFrame(rows, columns=[c.split()[0] for c in RECORD.split(", ")])
-    return x.astype({"page_id": "Int64", "refers_to": "Int64", "stated": "Int64", "total": "Int64", "segment": "int32"})
+def _frame(rows: list[tuple]) -> pa.RecordBatch:
+    fields = [c.split() for c in RECORD.split(", ")]
+    return pa.RecordBatch.from_arrays([pa.array(c, _ARROW[kind]) for c, (_, kind) in zip(zip(*rows, strict=True), fields, strict=True)], names=[name for name, _ in fields])
 
 
 def reassemble(records: DataFrame) -> DataFrame:
@@ -189,24 +206,29 @@ def reassemble(records: DataFrame) -> DataFrame:
 def read_pages(spark: SparkSession, path: str) -> DataFrame:
     """(page_id, payload_bytes, payload_digest, record_type, refers_to) from archives; a revisit's payload is its response's."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             sizes, digests = [], []
-            for kind, stated, digest, block in zip(b["kind"], b["stated"], b["digest"], b["block"], strict=True):
+            for kind, stated, digest, block in zip(b.column(1).to_pylist(), b.column(4).to_pylist(), b.column(2).to_pylist(), b.column(5), strict=True):
                 if kind == "revisit":
-                    sizes.append(int(stated))
+                    sizes.append(stated)
                     digests.append(digest)
                     continue
-                head, _, body = bytes(block).partition(b"\r\n\r\n")
+                head, _, body = block.as_py().partition(b"\r\n\r\n")
                 payload = dechunk(body) if b"\r\ntransfer-encoding: chunked" in head.lower() else body
                 sizes.append(len(payload))
                 digests.append(digest32(payload))
                 if digest and digests[-1] != digest:
                     raise ValueError("payload digest differs")
-            yield pd.DataFrame({"page_id": b["page_id"].astype("Int64"), "payload_bytes": sizes, "payload_digest": digests, "record_type": b["kind"], "refers_to": b["refers_to"].astype("Int64")})
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int64()), pa.array(digests, pa.string()), b.column(1), b.column(3)], names=["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"])
 
     whole = reassemble(read_records(spark, path))
-    return whole.select("page_id", "kind", "digest", "refers_to", "stated", "block").mapInPandas(run, "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
+    read = store(whole.select("page_id", "kind", "digest", "refers_to", "stated", "block").mapInArrow(run, "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long"), "warc-pages")
+    named = read.where("record_type <> 'revisit' and page_id is not null").select(F.col("page_id").alias("refers_to"), F.col("payload_bytes").alias("bytes"), F.col("payload_digest").alias("digest")).distinct()
+    held = read.where("record_type = 'revisit'").join(named.withColumn("payload_digest", F.col("digest")), ["refers_to", "payload_digest"], "left")
+    right = F.col("digest").isNotNull() & (F.col("bytes") == F.col("payload_bytes"))
+    size = F.when(right, F.col("bytes")).otherwise(F.raise_error(F.concat(F.lit("no such response for the revisit of page "), F.col("page_id").cast("string"))).cast("long"))
+    return read.where("record_type <> 'revisit'").unionByName(held.select("page_id", size.alias("payload_bytes"), "payload_digest", "record_type", "refers_to"))
 
 
 def op1_warc_segments(spark: SparkSession, sf_dir: str) -> DataFrame:

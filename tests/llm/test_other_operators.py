@@ -46,6 +46,25 @@ def test_archives_read_back(spark):
         warc.reassemble(whole.join(last.select("name", "segment").limit(1), ["name", "segment"], "left_anti")).collect()
 
 
+def test_revisits_are_held_against_their_response(spark):
+    rows = [(1, "u", "same"), (7, "u", "same"), (2**53 + 1, "u", "wide"), (2**53 + 3, "u", "wide"), (None, None, "same")]
+    path = fresh_path(spark, "warc-test")
+    warc.write_archives(spark.createDataFrame(rows, "page_id long, url string, html string"), path)
+    got = {(r["page_id"], r["record_type"], r["refers_to"]) for r in warc.read_pages(spark, path).collect()}
+    assert got == {(1, "revisit", 7), (7, "response", None), (2**53 + 1, "revisit", 2**53 + 3), (2**53 + 3, "response", None), (None, "response", None)}
+    other = fresh_path(spark, "warc-test")
+    lone = warc.records_of(1, "0-1", "u", "same", digest(b"same"), 7) + warc.records_of(7, "0-2", "u", "other", digest(b"other"), None)
+    spark.createDataFrame([(x,) for x in lone], "value string").coalesce(1).write.option("lineSep", warc.END).option("compression", "gzip").text(other)
+    with pytest.raises(Exception, match="no such response"):
+        warc.read_pages(spark, other).collect()
+
+
+def test_digests_in_dataframe_functions(spark):
+    texts = ["", "a", "é漢😀", "x" * 5000]
+    got = spark.createDataFrame([(t,) for t in texts], "t string").select(warc.digest_column(F.col("t"))).collect()
+    assert [r[0] for r in got] == [digest(t.encode()) for t in texts]
+
+
 def test_empty_archive(spark):
     path = fresh_path(spark, "warc-test")
     warc.write_archives(spark.createDataFrame([], "page_id long, url string, html string"), path)
@@ -64,7 +83,7 @@ length enough to score well in any tree.<p>Second paragraph, unclosed, with a <a
 
 
 def test_main_text():
-    assert html_text.extract(PAGE).split("\n") == ["Title & more", "First paragraph, with commas, and length enough to score well in any tree.", "Second paragraph, unclosed, with a link inside, and more text.", "Third é paragraph", "after a break, which is long enough too."]
+    assert html_text.extract(PAGE).split("\n\n") == ["Title & more", "First paragraph, with commas, and length enough to score well in any tree.", "Second paragraph, unclosed, with a link inside, and more text.", "Third é paragraph after a break, which is long enough too."]
     for odd in (None, "", "   ", "plain words only", "<p", "<<>>", "<a href='x", "<div>" * 3000, "&#0; &#xD800; &bogus;"):
         assert isinstance(html_text.extract(odd), str)
     assert html_text.extract("plain words only") == "plain words only"
