@@ -7,7 +7,8 @@ length and its commas to its parent and half of them to the grandparent; a conta
 share of its text that lies in links. The best container is kept, with siblings that score near it or hold plain prose.
 
 Defined cases: null and empty html give the empty text; markup that is cut short is read as far as it goes, and an
-unfinished tag at the end is dropped; repeated rows are extracted alike; extra columns are ignored.
+unfinished tag at the end is dropped; a line break is white space inside its block; repeated rows are extracted alike;
+extra columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -132,7 +133,7 @@ def _read(source: str) -> tuple[list[_Node], list[tuple[_Node, str, int]]]:
                     break
             continue
         if name == "br":
-            flush()
+            words(" ")
             continue
         if name in BLOCK:
             flush()
@@ -246,20 +247,20 @@ def main_blocks(source: str | None) -> list[str]:
 
 
 def extract(source: str | None) -> str:
-    """The main blocks, one a line."""
-    return "\n".join(main_blocks(source))
+    """The main blocks, joined by two newlines."""
+    return "\n\n".join(main_blocks(source))
 
 
 def main_text(pages: DataFrame) -> DataFrame:
     """(page_id, url, html) -> (page_id, url, text, n_chars): blocks joined by two newlines."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            text = ["\n\n".join(main_blocks(x)) for x in b["html"]]
-            yield pd.DataFrame({"page_id": b["page_id"].astype("Int64"), "url": b["url"], "text": text, "n_chars": [len(t) for t in text]})
+            text = [extract(x.as_py()) for x in b.column(2)]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(text, pa.string()), pa.array([len(t) for t in text], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
-    return spread(rows).mapInPandas(run, "page_id long, url string, text string, n_chars long")
+    return spread(rows).mapInArrow(run, "page_id long, url string, text string, n_chars long")
 
 
 def op5_tree_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,4 +1,6 @@
-"""Article text that looks like boilerplate by a word of its attributes only."""
+"""Article text that looks like boilerplate by a word of its attributes only, and whole pages against another reader."""
+
+from html.parser import HTMLParser
 
 import pytest
 
@@ -11,7 +13,7 @@ OTHER = "Another paragraph, of other words, which is long enough as well to be r
 @pytest.mark.parametrize("attributes", ['style="overflow:hidden"', 'class="hidden-gem"', 'title="a hidden place"', 'data-x="display:none"', 'data-aria-hidden="true"', 'aria-hidden="false"'])
 def test_hidden_is_an_attribute_of_its_own(attributes):
     page = f"<body><div {attributes}><p>{PROSE}</p><p>{OTHER}</p></div></body>"
-    assert html_text.extract(page).split() == f"{PROSE} {OTHER}".split()
+    assert html_text.extract(page).split("\n\n") == [PROSE, OTHER]
 
 
 def test_links_to_hidden_places_stay():
@@ -37,3 +39,75 @@ def test_blocks_of_a_page_are_two_newlines_apart(spark):
     rows = spark.createDataFrame([(1, "u", f"<article><p>{PROSE}</p><p>{OTHER}</p></article>"), (2, "u", "one<hr>two"), (3, "u", None)], "page_id long, url string, html string")
     got = {r["page_id"]: (r["text"], r["n_chars"]) for r in html_text.main_text(rows).collect()}
     assert got == {1: (f"{PROSE}\n\n{OTHER}", len(PROSE) + len(OTHER) + 2), 2: ("one\n\ntwo", 8), 3: ("", 0)}
+
+
+class ArticleReader(HTMLParser):
+    """What stands in a page's article, read by the standard library: paragraphs and headings, without what can't be article text."""
+
+    OUT = {"script", "style", "nav", "footer", "form", "aside", "noscript", "button"}
+    ENDS = {"p", "h1", "h2", "h3", "h4", "div", "li", "ul", "ol", "article", "section", "blockquote", "pre", "td", "tr", "table", "figure", "figcaption", "nav", "footer", "aside", "form"}
+
+    def __init__(self):
+        super().__init__(convert_charrefs=True)
+        self.article, self.out, self.blocks, self.parts, self.cut = 0, 0, [], [], []
+
+    def end_block(self):
+        text = " ".join("".join(self.parts).split())
+        if text:
+            self.blocks.append(text)
+        self.parts = []
+
+    def handle_starttag(self, tag, attrs):
+        if tag in self.ENDS:
+            self.end_block()
+        if tag == "br":
+            self.parts.append(" ") if self.article and not self.out and not self.cut else None
+        if tag == "article":
+            self.article += 1
+        elif tag in self.OUT:
+            self.out += 1
+        elif tag in ("div", "section"):
+            self.cut.append(bool(self.cut and self.cut[-1]) or any(w in (dict(attrs).get("class") or "") for w in ("ad", "comment", "cookie", "share", "related")))
+
+    def handle_endtag(self, tag):
+        if tag in self.ENDS:
+            self.end_block()
+        if tag == "article":
+            self.article -= 1
+        elif tag in self.OUT:
+            self.out -= 1
+        elif tag in ("div", "section") and self.cut:
+            self.cut.pop()
+
+    def handle_data(self, data):
+        if self.article and not self.out and not (self.cut and self.cut[-1]):
+            self.parts.append(data)
+
+
+@pytest.mark.parametrize("sf", ["0.001", "0.01"])
+def test_all_pages_against_another_reader(spark, sf):
+    pages = spark.read.parquet(f"/root/testdata/sf{sf}/pages.parquet")
+    got = {r["page_id"]: r["text"] for r in html_text.main_text(pages).collect()}
+    rows, differ, seen = pages.select("page_id", "html").collect(), [], 0
+    for r in rows:
+        if not r["html"] or "<article" not in r["html"]:
+            continue
+        reader = ArticleReader()
+        reader.feed(r["html"])
+        reader.close()
+        reader.end_block()
+        seen += 1
+        if got[r["page_id"]] != "\n\n".join(reader.blocks):
+            differ.append(r["page_id"])
+    assert seen > len(rows) / 2 and not differ
+
+
+def test_line_breaks_are_white_space():
+    assert html_text.extract(f"<article><p>{PROSE}<br>and<br/>more</p><p>{OTHER}</p></article>") == f"{PROSE} and more\n\n{OTHER}"
+
+
+def test_empty_pages_and_wide_ids(spark):
+    schema = "page_id long, url string, html string, text int, n_chars string"
+    assert html_text.main_text(spark.createDataFrame([], schema)).count() == 0
+    rows = spark.createDataFrame([(2**53 + 1, "u", f"<p>{PROSE}</p>", 1, "x"), (None, None, None, None, None), (2**53 + 1, "u", f"<p>{PROSE}</p>", 1, "x")], schema)
+    assert sorted((r["page_id"] or 0, r["text"]) for r in html_text.main_text(rows).collect()) == [(0, ""), (2**53 + 1, PROSE), (2**53 + 1, PROSE)]
