@@ -10,6 +10,7 @@ from proxembed.llm.audio import op6_audio_features
 from proxembed.llm.html_text import op5_tree_scoring
 from proxembed.llm.line_dedup import op9_line_dedup
 from proxembed.llm.multi_index import op10_multi_index
+from proxembed.llm.oracles import oracle_sql
 from proxembed.llm.packing import op3_best_fit_packing
 from proxembed.llm.parity_join import op4_parity_join
 from proxembed.llm.secret_scan import op2_secret_ledger
@@ -18,6 +19,9 @@ from proxembed.llm.toxicity import op8_ordinal_toxicity
 from proxembed.llm.warc import op1_warc_segments
 
 
+__all__ = ["oracle_sql", "queries"]
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     import corpus_pipeline
 
@@ -34,7 +38,3 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op10_multi_index": op10_multi_index,
         "pipeline": corpus_pipeline.run,
     }
-
-
-def oracle_sql() -> dict[str, str]:
-    return {}
