@@ -1,4 +1,4 @@
-"""Pair updates in numpy: exact order, or whole mini-batches."""
+"""Pair updates in numpy: in sample order, or whole mini-batches."""
 
 from __future__ import annotations
 
@@ -16,15 +16,41 @@ def apply_pair(u: np.ndarray, c: np.ndarray, g: float, lr: float, decay: float)
     return u + g * c - lr * decay * u, g * u - lr * decay * c
 
 
+def waves(first: np.ndarray, second: np.ndarray | None = None) -> np.ndarray:
+    """For each item in order, one more than the latest wave of an earlier item that shares its row (of either table).
+
+    Items of a wave touch no row twice, and an item's wave follows those that it must wait for.
+    """
+    seen: dict[int, int] = {}
+    out = np.empty(len(first), dtype=np.int64)
+    if second is None:
+        for k, a in enumerate(first.tolist()):
+            out[k] = seen[a] = seen.get(a, -1) + 1
+        return out
+    other: dict[int, int] = {}
+    for k, (a, b) in enumerate(zip(first.tolist(), second.tolist(), strict=True)):
+        x, y = seen.get(a, -1), other.get(b, -1)
+        out[k] = seen[a] = other[b] = (x if x > y else y) + 1
+    return out
+
+
 def run_exact(U: np.ndarray, C: np.ndarray, iu: np.ndarray, ic: np.ndarray, sign: np.ndarray, lr: float, neg_weight: float, decay: float, frozen: np.ndarray | None = None) -> None:
-    """Pairs one after another; with `frozen`, contexts are read from C and their changes summed there instead."""
-    for a, b, s in zip(iu.tolist(), ic.tolist(), sign.tolist(), strict=True):
-        g = float(step_scalar(float(U[a] @ C[b]), s, lr, neg_weight))
-        U[a], delta = apply_pair(U[a], C[b], g, lr, decay)
+    """Pairs one after another; with `frozen`, contexts are read from C and their changes summed there instead.
+
+    Pairs that share no row don't see each other, so they are taken in waves: the rows end as in sample order.
+    """
+    wave = waves(iu, ic if frozen is None else None)
+    order = np.argsort(wave, kind="stable")
+    fade = np.asarray(lr * decay, U.dtype)
+    for part in np.split(order, np.flatnonzero(np.diff(wave[order])) + 1) if len(order) else []:
+        a, b = iu[part], ic[part]
+        u, c = U[a], C[b]
+        g = step_scalar(np.einsum("ij,ij->i", u, c), sign[part], lr, neg_weight)[:, None].astype(U.dtype)
+        U[a] = u + g * c - fade * u
         if frozen is None:
-            C[b] += delta
+            C[b] = c + (g * u - fade * c)
         else:
-            frozen[b] += delta
+            np.add.at(frozen, b, g * u - fade * c)
 
 
 def run_mini(U: np.ndarray, C: np.ndarray, iu: np.ndarray, ic: np.ndarray, sign: np.ndarray, lr: float, neg_weight: float, decay: float, frozen: np.ndarray | None = None, size: int = 0) -> None:

@@ -4,24 +4,44 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+import weakref
 
 from pyspark.sql import DataFrame, SparkSession
 
 _LOCAL: dict[str, str] = {}
+_PATHS: weakref.WeakKeyDictionary[DataFrame, str] = weakref.WeakKeyDictionary()
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or a local folder where it is unset (tests in local mode)."""
-    given = spark.conf.get("spark.checkpoint.dir", None)
+    """spark.checkpoint.dir; a local folder serves in local mode only, elsewhere its lack is an error."""
+    context = spark.sparkContext
+    given = spark.conf.get("spark.checkpoint.dir", None) or context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
     if given:
         return given.rstrip("/")
+    if context.master != "local" and not context.master.startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     if "dir" not in _LOCAL:
         _LOCAL["dir"] = "file://" + tempfile.mkdtemp(prefix="proxembed-graph-")
     return _LOCAL["dir"]
 
 
-def store(df: DataFrame, label: str) -> DataFrame:
-    """Write once, read back: cuts lineage at supersteps and survives lost executors."""
+def store(df: DataFrame, label: str, by: list[str] | None = None) -> DataFrame:
+    """Write once, read back: cuts lineage at supersteps and survives lost executors. `by` are columns to lay out folders by."""
     path = f"{shared_dir(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    writer = df.write
+    if by:
+        writer = writer.partitionBy(*by)
+    writer.parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    _PATHS[out] = path
+    return out
+
+
+def forget(*stored: DataFrame) -> None:
+    """Remove tables of store() that nothing will read again."""
+    for df in stored:
+        path = _PATHS.pop(df, None)
+        if path is not None:
+            context = df.sparkSession.sparkContext
+            place = context._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(context._jsc.hadoopConfiguration()).delete(place, True)

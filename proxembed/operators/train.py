@@ -37,7 +37,7 @@ class TrainConfig:
     lr: float = 0.025
     neg_weight: float = 1.0
     decay: float = 1e-4
-    kernel: str = "mini"
+    kernel: str = "exact"
     mini_size: int = 64
     defer_all: bool = False
     sync_every: int = 1

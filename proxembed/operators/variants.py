@@ -8,7 +8,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxembed.functions.rng import AUGMENT, draw
+from proxembed.functions.rng import AUGMENT, SPAN, draw
 from proxembed.operators.graph import Graph, components
 from proxembed.operators.pairs import numbered, prune
 from proxembed.operators.quota import idle_parts, spill_slices
@@ -19,6 +19,8 @@ from proxembed.operators.walks import LongWalk, walk_block, walk_join, walk_pair
 KINDS = ("local", "fresh", "reuse", "refresh", "single", "pair")
 #: A walk's id holds its round in 20 bits.
 MOST_ROUNDS = 1 << 20
+#: Tasks that a part's combinations are ranked in.
+DRAW_SLICES = 256
 _NAMES = {"Local": "local", "Remote (Fresh-Only)": "fresh", "Remote (Reuse-Spill)": "reuse", "Remote (Refresh-Spill)": "refresh", "Remote (Augmented-Single)": "single", "Remote (Augmented-Pair)": "pair"}
 
 
@@ -223,7 +225,12 @@ def _pair(g: Graph, c: SampleConfig, idle: list[int]) -> Sample:
     left = kept.select("part", "i", "u").withColumn("_b", F.col("i") % blocks)
     right = kept.select("part", F.col("i").alias("j"), "v", "v_part").withColumn("_b", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))))
     both = left.join(right, ["part", "_b"]).where("i < j").withColumn("_d", draw(c.seed, AUGMENT, "part", "i", "j", backend=c.backend))
-    rank = F.row_number().over(Window.partitionBy("part").orderBy("_d", "i", "j")) - 1
-    out = both.withColumn("_r", rank).where(F.col("_r") < c.batch_size * c.batches)
+    # Draws are uniform, so their leading bits deal a part's combinations over tasks in order: a rank inside the slice and the slices before it.
+    both = store(both.drop("_b").withColumn("_s", F.expr(f"_d div {SPAN // DRAW_SLICES}")), "combinations")
+    counts = both.groupBy("part", "_s").agg(F.count("*").alias("_n"))
+    before = counts.withColumn("_o", F.sum("_n").over(Window.partitionBy("part").orderBy("_s").rowsBetween(Window.unboundedPreceding, 0)) - F.col("_n"))  # DRAW_SLICES rows a part
+    inside = F.row_number().over(Window.partitionBy("part", "_s").orderBy("_d", "i", "j"))
+    wanted = before.where(F.col("_o") < c.batch_size * c.batches).select("part", "_s", "_o")
+    out = both.join(wanted, ["part", "_s"]).withColumn("_r", F.col("_o") + inside - 1).where(F.col("_r") < c.batch_size * c.batches)
     out = out.select(F.expr(f"cast(_r div {c.batch_size} as int)").alias("batch"), "part", (F.col("_r") % c.batch_size).cast("long").alias("seq"), "u", "v", "v_part", F.lit(0).alias("age"))
     return Sample(store(out, "pairs"), short.calls, short.handed, short.met, idle)

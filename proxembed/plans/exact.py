@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from proxembed.functions.rng import NEGATIVE, PRUNE, ROOT, STEP, draw_sql
+from proxembed.functions.rng import AUGMENT, NEGATIVE, PRUNE, ROOT, STEP, draw_sql
 from proxembed.functions.vectors import sigmoid, vec_dot
 from proxembed.operators import evaluate, measure, pairs, partition, quota, sampling, variants, walks
 from proxembed.operators.graph import Graph
@@ -281,24 +281,24 @@ def rounds_all(spark: SparkSession, d: str) -> DataFrame:
     return quota.rounds_needed(_yields(spark, d), 1500, "all")
 
 
-def _fold_sql(rule: str, keep: str, size: int, batches: int) -> str:
-    """The fold as recursion over batches with lists of starts."""
+def _fold_ctes(rule: str, keep: str, size: int, batches: int, n_calls: int) -> str:
+    """`slices` from `calls` (call, part, pairs): the fold as recursion over batches with lists of starts."""
     some = {"any": "list_max", "all": "list_min"}[rule]
     first = "f.upto" if keep == "ever" else "f.upto + 1"
-    after = "f.start[i] + least(c.b[i] - f.start[i], {0})".format(size)
-    if keep == "once":
-        after = f"greatest({after}, f.b[i])"
-    if keep == "none":
-        after = "c.b[i]"
-    left = "(c.b[i] - (f.start[i] + least(c.b[i] - f.start[i], {0})))".format(size) if keep == "none" else f"c.b[i] - ({after})"
-    left = "0" if keep == "none" else left
-    return f"""WITH RECURSIVE {YIELDS}, calls AS (SELECT batch * 8 + round AS call, part, pairs FROM yields),
-grid AS (SELECT c.range AS call, p.range AS part FROM range(24) c, range(4) p),
-cum AS (SELECT call + 1 AS upto, list(total ORDER BY part) AS b FROM (SELECT g.call, g.part, sum(coalesce(pairs, 0)) OVER (PARTITION BY g.part ORDER BY g.call)::BIGINT AS total FROM grid g LEFT JOIN calls USING (call, part)) GROUP BY call UNION ALL SELECT 0, [0, 0, 0, 0]::BIGINT[]),
-fold AS (SELECT -1::BIGINT AS batch, 0::BIGINT AS upto, 0::BIGINT AS calls, [0, 0, 0, 0]::BIGINT[] AS start, [0, 0, 0, 0]::BIGINT[] AS b, [0, 0, 0, 0]::BIGINT[] AS began, [0, 0, 0, 0]::BIGINT[] AS kept, [0, 0, 0, 0]::BIGINT[] AS spill
-UNION ALL SELECT f.batch + 1, c.upto, c.upto - f.upto, list_transform([1, 2, 3, 4], lambda i: {after}), c.b, f.start, list_transform([1, 2, 3, 4], lambda i: least(c.b[i] - f.start[i], {size})), list_transform([1, 2, 3, 4], lambda i: {left})
-FROM fold f JOIN cum c ON c.upto >= {first} AND {some}(list_transform([1, 2, 3, 4], lambda i: c.b[i] - f.start[i])) >= {size} WHERE f.batch + 1 < {batches} QUALIFY row_number() OVER (PARTITION BY f.batch ORDER BY c.upto) = 1)
-SELECT batch, i - 1 AS part, calls, began[i] AS start, kept[i] AS kept, spill[i] AS spill FROM fold, (SELECT unnest([1, 2, 3, 4]) AS i) WHERE batch >= 0"""
+    taken = f"f.start[i] + least(c.b[i] - f.start[i], {size})"
+    after = {"ever": taken, "once": f"greatest({taken}, f.b[i])", "none": "c.b[i]"}[keep]
+    left = "0" if keep == "none" else f"c.b[i] - ({after})"
+    zeros, four = "[0, 0, 0, 0]::BIGINT[]", "[1, 2, 3, 4]"
+    return f"""grid AS (SELECT c.range AS call, p.range AS part FROM range({n_calls}) c, range(4) p),
+cum AS (SELECT call + 1 AS upto, list(total ORDER BY part) AS b FROM (SELECT g.call, g.part, sum(coalesce(pairs, 0)) OVER (PARTITION BY g.part ORDER BY g.call)::BIGINT AS total FROM grid g LEFT JOIN calls USING (call, part)) GROUP BY call UNION ALL SELECT 0, {zeros}),
+fold AS (SELECT -1::BIGINT AS batch, 0::BIGINT AS upto, 0::BIGINT AS calls, {zeros} AS start, {zeros} AS b, {zeros} AS began, {zeros} AS kept, {zeros} AS spill
+UNION ALL SELECT f.batch + 1, c.upto, c.upto - f.upto, list_transform({four}, lambda i: {after}), c.b, f.start, list_transform({four}, lambda i: least(c.b[i] - f.start[i], {size})), list_transform({four}, lambda i: {left})
+FROM fold f JOIN cum c ON c.upto >= {first} AND {some}(list_transform({four}, lambda i: c.b[i] - f.start[i])) >= {size} WHERE f.batch + 1 < {batches} QUALIFY row_number() OVER (PARTITION BY f.batch ORDER BY c.upto) = 1),
+slices AS (SELECT batch, i - 1 AS part, calls, began[i] AS start, kept[i] AS kept, spill[i] AS spill FROM fold, (SELECT unnest({four}) AS i) WHERE batch >= 0)"""
+
+
+def _fold_sql(rule: str, keep: str, size: int, batches: int) -> str:
+    return f"WITH RECURSIVE {YIELDS}, calls AS (SELECT batch * 8 + round AS call, part, pairs FROM yields), {_fold_ctes(rule, keep, size, batches, 24)} SELECT batch, part, calls, start, kept, spill FROM slices"
 
 
 def _fold(spark: SparkSession, d: str, rule: str, keep: str, size: int = 900, batches: int = 5) -> DataFrame:
@@ -322,32 +322,63 @@ def reuse_all_closed_form(spark: SparkSession, d: str) -> DataFrame:
     return quota.reuse_all_closed_form(calls, 900, 5)
 
 
-def _sample_sql(local: bool, reach: str, size: int, rounds: int, name: str = "customer_part") -> str:
+#: The graph, batch size and batches of the variants' queries, and how many calls their SQL draws (Spark draws as many as it needs).
+SAMPLED, SIZE, BATCHES, CALLS = "copurchase", 12, 2, 48
+LONG = 1500
+
+
+def _drawn_ctes(local: bool, batches: int) -> str:
+    return f"""{base(SAMPLED, recursive=True)}, {roots_cte(batches, CALLS)}, {walk_cte(5, local)},
+drawn AS (SELECT (walk_id // {P}) // 1048576 AS batch, (walk_id // {P}) % 1048576 AS round, src_part AS part, walk_id, step, src AS u, dst AS v, dst_part AS v_part FROM steps)"""
+
+
+def _own_ctes(local: bool, reach: str, size: int, batches: int) -> str:
+    """`taken`: pairs of batches that share nothing, by rule and pruned."""
     d = draw_sql(SEED, PRUNE, "batch", "part", "seq")
-    return f"""{base(name, recursive=True)}, {roots_cte(2, rounds)}, {walk_cte(5, local)},
-drawn AS (SELECT (walk_id // {P}) // 1048576 AS batch, (walk_id // {P}) % 1048576 AS round, src_part AS part, walk_id, step, src AS u, dst AS v, dst_part AS v_part FROM steps),
-grid AS (SELECT b.range AS batch, r.range AS round, p.range AS part FROM range(2) b, range({rounds}) r, range({P}) p),
+    return f"""{_drawn_ctes(local, batches)},
+grid AS (SELECT b.range AS batch, r.range AS round, p.range AS part FROM range({batches}) b, range({CALLS}) r, range({P}) p),
 yields AS (SELECT g.batch, g.round, g.part, count(walk_id) AS pairs FROM grid g LEFT JOIN drawn USING (batch, round, part) GROUP BY ALL),
 run AS (SELECT batch, part, round, sum(pairs) OVER (PARTITION BY batch, part ORDER BY round) AS total FROM yields),
 met AS (SELECT batch, min(round) + 1 AS rounds FROM (SELECT batch, round, {reach}(total) AS x FROM run GROUP BY batch, round) WHERE x >= {size} GROUP BY batch),
 kept AS (SELECT d.*, row_number() OVER (PARTITION BY batch, part ORDER BY round, walk_id, step) - 1 AS seq FROM drawn d JOIN met USING (batch) WHERE round < rounds),
-pruned AS (SELECT *, row_number() OVER (PARTITION BY batch, part ORDER BY {d}, seq) - 1 AS place FROM kept)
-SELECT batch, part, place AS seq, u, v, v_part FROM pruned WHERE place < {size}"""
-
-
-def _sample(spark: SparkSession, d: str, rule: str, kind: str, name: str = "customer_part") -> variants.Sample:
-    c = variants.SampleConfig(batch_size=12, batches=2, length=5, seed=SEED, backend="md5", rounds=32)
-    return variants.sample(graph(spark, d, name), variants.Variant(rule, kind), c)
-
-
-@query(_sample_sql(True, "max", 12, 32, "copurchase"))
-def sample_local(spark: SparkSession, d: str) -> DataFrame:
-    return longs(_sample(spark, d, "any", "local", "copurchase").pairs.drop("age"))
-
-
-@query(_sample_sql(False, "min", 12, 32))
-def sample_fresh(spark: SparkSession, d: str) -> DataFrame:
-    return longs(_sample(spark, d, "all", "fresh").pairs.drop("age"))
+pruned AS (SELECT *, row_number() OVER (PARTITION BY batch, part ORDER BY {d}, seq) - 1 AS place FROM kept),
+taken AS (SELECT batch, part, place AS seq, u, v, v_part, 0::BIGINT AS age FROM pruned WHERE place < {size})"""
+
+
+def _sample_sql(variant: variants.Variant) -> str:
+    columns = "SELECT batch, part, seq, u, v, v_part, age"
+    if variant.kind in ("local", "fresh"):
+        return f"{_own_ctes(variant.kind == 'local', {'any': 'max', 'all': 'min'}[variant.rule], SIZE, BATCHES)} {columns} FROM taken"
+    if variant.kind in ("reuse", "refresh"):
+        return f"""{_drawn_ctes(False, 1)}, calls AS (SELECT round AS call, part, count(*) AS pairs FROM drawn GROUP BY ALL),
+{_fold_ctes(variant.rule, {'reuse': 'ever', 'refresh': 'once'}[variant.kind], SIZE, BATCHES, CALLS)},
+placed AS (SELECT part, round, u, v, v_part, row_number() OVER (PARTITION BY part ORDER BY round, walk_id, step) - 1 AS pos FROM drawn),
+span AS (SELECT batch, sum(calls) OVER (ORDER BY batch) - calls AS lo, sum(calls) OVER (ORDER BY batch) AS hi FROM (SELECT DISTINCT batch, calls FROM slices))
+SELECT s.batch, s.part, row_number() OVER (PARTITION BY s.batch, s.part ORDER BY pos) - 1 AS seq, u, v, v_part, s.batch - d.batch AS age FROM slices s JOIN placed o ON o.part = s.part AND pos >= start AND pos < start + kept JOIN span d ON round >= lo AND round < hi"""
+    if variant.kind == "single":
+        return f"""{base(SAMPLED, recursive=True)}, {roots_cte(1, 1).replace('roots AS (', 'all_roots AS (')}, roots AS (SELECT * FROM all_roots WHERE part = 0), {walk_cte(LONG, False)},
+numbered AS (SELECT src_part AS part, src AS u, dst AS v, dst_part AS v_part, row_number() OVER (PARTITION BY src_part ORDER BY step) - 1 AS place FROM steps)
+SELECT place // {SIZE} AS batch, part, place % {SIZE} AS seq, u, v, v_part, 0::BIGINT AS age FROM numbered WHERE place < {SIZE * BATCHES}"""
+    n = variants.aug_target(SIZE, BATCHES)
+    d = draw_sql(SEED, AUGMENT, "x.part", "x.seq", "y.seq")
+    return f"""{_own_ctes(False, 'min', n, 1)},
+combined AS (SELECT x.part, x.u, y.v, y.v_part, row_number() OVER (PARTITION BY x.part ORDER BY {d}, x.seq, y.seq) - 1 AS place FROM taken x JOIN taken y ON x.part = y.part AND x.seq < y.seq)
+SELECT place // {SIZE} AS batch, part, place % {SIZE} AS seq, u, v, v_part, 0::BIGINT AS age FROM combined WHERE place < {SIZE * BATCHES}"""
+
+
+def _sample(spark: SparkSession, d: str, variant: variants.Variant) -> variants.Sample:
+    c = variants.SampleConfig(batch_size=SIZE, batches=BATCHES, length=5, seed=SEED, backend="md5", rounds=16, max_levels=250)
+    return variants.sample(graph(spark, d, SAMPLED), variant, c)
+
+
+def _sample_query(variant: variants.Variant) -> None:
+    name = f"sample_{variant.kind}_{variant.rule}_pairs"
+    QUERIES[name] = lambda spark, d: longs(_sample(spark, d, variant).pairs)
+    SQL[name] = _sample_sql(variant)
+
+
+for _variant in variants.GRID:
+    _sample_query(_variant)
 
 
 @query(f"{base('customer_part')}, {roots_cte(3, 40)}, {PAIRS} SELECT batch, part, place AS seq, u, v, v_part FROM (SELECT *, row_number() OVER (PARTITION BY batch, part ORDER BY {draw_sql(SEED, PRUNE, 'batch', 'part', 'seq')}, seq) - 1 AS place FROM pairs) WHERE place < 25")

@@ -28,18 +28,6 @@ def _drawn(spark: SparkSession, d: str, variant: Variant, batch_size: int = 64,
     return g, s
 
 
-def _variant(kind: str, rule: str) -> None:
-    def f(spark: SparkSession, d: str) -> DataFrame:
-        _, s = _drawn(spark, d, Variant(rule, kind))
-        return s.pairs
-
-    QUERIES[f"sample_{kind}_{rule}_pairs"] = f
-
-
-for _kind, _rule in (("local", "all"), ("reuse", "any"), ("refresh", "all"), ("single", "all"), ("pair", "all")):
-    _variant(_kind, _rule)
-
-
 @run
 def train_blocked(spark: SparkSession, d: str) -> DataFrame:
     g, s = _drawn(spark, d, Variant("any", "local"))

@@ -38,6 +38,24 @@ def test_mini_kernel_of_one_pair_is_exact():
     assert np.allclose(a[0], b[0]) and np.allclose(a[1], b[1])
 
 
+@pytest.mark.parametrize("held", [False, True])
+def test_waves_end_as_sample_order_does(held):
+    """Against a plain loop over pairs, with hubs, repeated pairs and both signs."""
+    gen = np.random.default_rng(5)
+    U, C = gen.normal(size=(12, 3)), gen.normal(size=(15, 3))
+    iu, ic, sign = gen.zipf(1.5, 400) % 12, gen.zipf(1.3, 400) % 15, gen.choice([1, -1], 400)
+    a, b, change = U.copy(), C.copy(), np.zeros_like(C)
+    for i, j, s in zip(iu, ic, sign, strict=True):
+        g = float(kernels.step_scalar(a[i] @ b[j], s, 0.1, 0.5))
+        a[i], delta = kernels.apply_pair(a[i], b[j], g, 0.1, 0.01)
+        (change if held else b)[j] += delta
+    x, y, z = U.copy(), C.copy(), np.zeros_like(C)
+    kernels.run_exact(x, y, iu, ic, sign, 0.1, 0.5, 0.01, z if held else None)
+    assert np.allclose(a, x) and np.allclose(b, y) and np.allclose(change, z)
+    w = kernels.waves(iu, ic)
+    assert all(len(set(t[w == k])) == (w == k).sum() for t in (iu, ic) for k in range(w.max() + 1))
+
+
 def test_draws_agree_between_engines(spark):
     keys = np.array([0, 1, 2**40, -5, 77])
     frame = spark.createDataFrame([(int(k),) for k in keys], "k long")
