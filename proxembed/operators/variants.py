@@ -119,6 +119,11 @@ def _calls(g: Graph, c: SampleConfig, batches: int, rounds: int, stop: str, rang
     return pairs, yields, handed
 
 
+def call_yields(g: Graph, c: SampleConfig, batches: int, rounds: int) -> DataFrame:
+    """(batch, round, part, pairs) of walk calls, parts that drew nothing counted."""
+    return _calls(g, c, batches, rounds, "length", store(root_ranges(g), "root-ranges"))[1]
+
+
 def sample(g: Graph, variant: Variant, c: SampleConfig) -> Sample:
     """Pairs for all batches in one dataflow: sampling depends on the graph and the seed only.
 

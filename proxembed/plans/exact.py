@@ -259,28 +259,6 @@ def biased_walk_small(spark: SparkSession, d: str) -> DataFrame:
 # Stop rules and variants
 
 
-YIELDS = "yields AS (SELECT (l_orderkey // 8) % 3 AS batch, l_orderkey % 8 AS round, l_suppkey % 4 AS part, count(*) AS pairs FROM lineitem WHERE l_quantity > 6 * (l_suppkey % 4) GROUP BY 1, 2, 3)"
-
-
-def _yields(spark: SparkSession, d: str) -> DataFrame:
-    li = builders.table(spark, d, "lineitem").where("l_quantity > 6 * (l_suppkey % 4)")
-    return li.groupBy(F.expr("l_orderkey div 8 % 3").alias("batch"), F.expr("l_orderkey % 8").alias("round"), F.expr("l_suppkey % 4").alias("part")).agg(F.count("*").alias("pairs"))
-
-
-def _rounds_sql(size: int, reach: str) -> str:
-    return f"WITH {YIELDS}, run AS (SELECT batch, part, round, sum(pairs) OVER (PARTITION BY batch, part ORDER BY round) AS total FROM yields), per AS (SELECT batch, round, {reach}(total) AS x FROM run GROUP BY batch, round) SELECT batch, min(CASE WHEN x >= {size} THEN round + 1 END)::BIGINT AS rounds FROM per GROUP BY batch"
-
-
-@query(_rounds_sql(1500, "max"))
-def rounds_any(spark: SparkSession, d: str) -> DataFrame:
-    return quota.rounds_needed(_yields(spark, d), 1500, "any")
-
-
-@query(_rounds_sql(1500, "min"))
-def rounds_all(spark: SparkSession, d: str) -> DataFrame:
-    return quota.rounds_needed(_yields(spark, d), 1500, "all")
-
-
 def _fold_ctes(rule: str, keep: str, size: int, batches: int, n_calls: int) -> str:
     """`slices` from `calls` (call, part, pairs): the fold as recursion over batches with lists of starts."""
     some = {"any": "list_max", "all": "list_min"}[rule]
@@ -297,38 +275,13 @@ FROM fold f JOIN cum c ON c.upto >= {first} AND {some}(list_transform({four}, la
 slices AS (SELECT batch, i - 1 AS part, calls, began[i] AS start, kept[i] AS kept, spill[i] AS spill FROM fold, (SELECT unnest({four}) AS i) WHERE batch >= 0)"""
 
 
-def _fold_sql(rule: str, keep: str, size: int, batches: int) -> str:
-    return f"WITH RECURSIVE {YIELDS}, calls AS (SELECT batch * 8 + round AS call, part, pairs FROM yields), {_fold_ctes(rule, keep, size, batches, 24)} SELECT batch, part, calls, start, kept, spill FROM slices"
-
-
-def _fold(spark: SparkSession, d: str, rule: str, keep: str, size: int = 900, batches: int = 5) -> DataFrame:
-    calls = _yields(spark, d).select((F.col("batch") * 8 + F.col("round")).alias("call"), "part", "pairs")
-    return quota.spill_slices(calls, 4, size, batches, rule, keep)
-
-
-def _fold_query(name: str, rule: str, keep: str) -> None:
-    QUERIES[name] = lambda spark, d: _fold(spark, d, rule, keep)
-    SQL[name] = _fold_sql(rule, keep, 900, 5)
-
-
-for _name, _keep in (("fresh", "none"), ("reuse", "ever"), ("refresh", "once")):
-    for _rule in ("any", "all"):
-        _fold_query(f"sample_{_name}_slices_{_rule}", _rule, _keep)
-
-
-@query(f"WITH {YIELDS}, run AS (SELECT part, batch * 8 + round AS call, sum(pairs) OVER (PARTITION BY part ORDER BY batch * 8 + round) AS total FROM yields), low AS (SELECT call, min(total) AS low FROM run GROUP BY call) SELECT b.range AS batch, (min(call) + 1)::BIGINT AS calls_by_then FROM range(5) b JOIN low ON low >= (b.range + 1) * 900 GROUP BY b.range")
-def reuse_all_closed_form(spark: SparkSession, d: str) -> DataFrame:
-    calls = _yields(spark, d).select((F.col("batch") * 8 + F.col("round")).alias("call"), "part", "pairs")
-    return quota.reuse_all_closed_form(calls, 900, 5)
-
-
 #: The graph, batch size and batches of the variants' queries, and how many calls their SQL draws (Spark draws as many as it needs).
-SAMPLED, SIZE, BATCHES, CALLS = "copurchase", 12, 2, 48
+SAMPLED, SIZE, BATCHES, CALLS, LOCAL_CALLS = "copurchase", 12, 2, 48, 320
 LONG = 1500
 
 
 def _drawn_ctes(local: bool, batches: int) -> str:
-    return f"""{base(SAMPLED, recursive=True)}, {roots_cte(batches, CALLS)}, {walk_cte(5, local)},
+    return f"""{base(SAMPLED, recursive=True)}, {roots_cte(batches, LOCAL_CALLS if local else CALLS)}, {walk_cte(5, local)},
 drawn AS (SELECT (walk_id // {P}) // 1048576 AS batch, (walk_id // {P}) % 1048576 AS round, src_part AS part, walk_id, step, src AS u, dst AS v, dst_part AS v_part FROM steps)"""
 
 
@@ -336,7 +289,7 @@ def _own_ctes(local: bool, reach: str, size: int, batches: int) -> str:
     """`taken`: pairs of batches that share nothing, by rule and pruned."""
     d = draw_sql(SEED, PRUNE, "batch", "part", "seq")
     return f"""{_drawn_ctes(local, batches)},
-grid AS (SELECT b.range AS batch, r.range AS round, p.range AS part FROM range({batches}) b, range({CALLS}) r, range({P}) p),
+grid AS (SELECT b.range AS batch, r.range AS round, p.range AS part FROM range({batches}) b, range({LOCAL_CALLS if local else CALLS}) r, range({P}) p),
 yields AS (SELECT g.batch, g.round, g.part, count(walk_id) AS pairs FROM grid g LEFT JOIN drawn USING (batch, round, part) GROUP BY ALL),
 run AS (SELECT batch, part, round, sum(pairs) OVER (PARTITION BY batch, part ORDER BY round) AS total FROM yields),
 met AS (SELECT batch, min(round) + 1 AS rounds FROM (SELECT batch, round, {reach}(total) AS x FROM run GROUP BY batch, round) WHERE x >= {size} GROUP BY batch),
@@ -381,6 +334,52 @@ for _variant in variants.GRID:
     _sample_query(_variant)
 
 
+def _yields_ctes() -> str:
+    """`yields` (batch, round, part, pairs) of the walks that the variants' queries draw."""
+    return f"""{_drawn_ctes(False, 3)}, yields AS (SELECT b.range AS batch, r.range AS round, p.range AS part, count(walk_id) AS pairs FROM range(3) b CROSS JOIN range({CALLS}) r CROSS JOIN range({P}) p LEFT JOIN drawn x ON x.batch = b.range AND x.round = r.range AND x.part = p.range GROUP BY ALL)"""
+
+
+def _yields(spark: SparkSession, d: str) -> DataFrame:
+    g = graph(spark, d, SAMPLED)
+    return variants.call_yields(g, variants.SampleConfig(length=5, seed=SEED, backend="md5"), 3, CALLS)
+
+
+def _rounds_sql(size: int, reach: str) -> str:
+    return f"{_yields_ctes()}, run AS (SELECT batch, part, round, sum(pairs) OVER (PARTITION BY batch, part ORDER BY round) AS total FROM yields), per AS (SELECT batch, round, {reach}(total) AS x FROM run GROUP BY batch, round) SELECT batch, min(CASE WHEN x >= {size} THEN round + 1 END)::BIGINT AS rounds FROM per GROUP BY batch"
+
+
+@query(_rounds_sql(40, "max"))
+def rounds_any(spark: SparkSession, d: str) -> DataFrame:
+    return longs(quota.rounds_needed(_yields(spark, d), 40, "any"))
+
+
+@query(_rounds_sql(40, "min"))
+def rounds_all(spark: SparkSession, d: str) -> DataFrame:
+    return longs(quota.rounds_needed(_yields(spark, d), 40, "all"))
+
+
+_CALLS = f"calls AS (SELECT batch * {CALLS} + round AS call, part, pairs FROM yields)"
+
+
+def _calls(spark: SparkSession, d: str) -> DataFrame:
+    return _yields(spark, d).select((F.col("batch") * CALLS + F.col("round")).alias("call"), "part", "pairs")
+
+
+def _fold_query(name: str, rule: str, keep: str) -> None:
+    QUERIES[name] = lambda spark, d: quota.spill_slices(_calls(spark, d), P, 60, 5, rule, keep)
+    SQL[name] = f"{_yields_ctes()}, {_CALLS}, {_fold_ctes(rule, keep, 60, 5, 3 * CALLS)} SELECT batch, part, calls, start, kept, spill FROM slices"
+
+
+for _name, _keep in (("fresh", "none"), ("reuse", "ever"), ("refresh", "once")):
+    for _rule in ("any", "all"):
+        _fold_query(f"sample_{_name}_slices_{_rule}", _rule, _keep)
+
+
+@query(f"{_yields_ctes()}, {_CALLS}, run AS (SELECT part, call, sum(pairs) OVER (PARTITION BY part ORDER BY call) AS total FROM calls), low AS (SELECT call, min(total) AS low FROM run GROUP BY call) SELECT b.range AS batch, (min(call) + 1)::BIGINT AS calls_by_then FROM range(5) b JOIN low ON low >= (b.range + 1) * 60 GROUP BY b.range")
+def reuse_all_closed_form(spark: SparkSession, d: str) -> DataFrame:
+    return quota.reuse_all_closed_form(_calls(spark, d), 60, 5)
+
+
 @query(f"{base('customer_part')}, {roots_cte(3, 40)}, {PAIRS} SELECT batch, part, place AS seq, u, v, v_part FROM (SELECT *, row_number() OVER (PARTITION BY batch, part ORDER BY {draw_sql(SEED, PRUNE, 'batch', 'part', 'seq')}, seq) - 1 AS place FROM pairs) WHERE place < 25")
 def prune_to_batch(spark: SparkSession, d: str) -> DataFrame:
     return longs(pairs.prune(_pairs(spark, d), 25, SEED, "md5"))
@@ -402,19 +401,19 @@ def remote_share(spark: SparkSession, d: str) -> DataFrame:
     return longs(measure.remote_share(signed(p, sampling.negatives(p, graph(spark, d, "customer_part"), 2, seed=SEED, backend="md5"))))
 
 
-_SPREAD_ROWS = "picked AS (SELECT l_orderkey % 6 AS batch, l_suppkey % 5 AS part FROM lineitem WHERE l_suppkey % 5 < 4 AND l_quantity > 45)"
+ANY_FRESH, ANY_REUSE = variants.Variant("any", "fresh"), variants.Variant("any", "reuse")
 
 
-@query(f"WITH {_SPREAD_ROWS}, per AS (SELECT b.range, p.range AS q, count(x.part) AS n FROM range(6) b CROSS JOIN range(5) p LEFT JOIN picked x ON x.batch = b.range AND x.part = p.range GROUP BY 1, 2) SELECT min(n) AS least, max(n) AS most, round(avg(n), 6) AS mean, round(stddev_pop(n), 6) AS sigma, CASE WHEN min(n) > 0 THEN round(max(n) / min(n), 6) END AS ratio, round(100 * (max(n) - min(n)) / avg(n), 6) AS spread_percent, sum((n = 0)::INT)::BIGINT AS zero_parts FROM per")
+@query(f"WITH picked AS ({_sample_sql(ANY_FRESH)}), per AS (SELECT b.range, p.range AS q, count(x.part) AS n FROM range({BATCHES}) b CROSS JOIN range({P}) p LEFT JOIN picked x ON x.batch = b.range AND x.part = p.range GROUP BY 1, 2) SELECT min(n) AS least, max(n) AS most, round(avg(n), 6) AS mean, round(stddev_pop(n), 6) AS sigma, CASE WHEN min(n) > 0 THEN round(max(n) / min(n), 6) END AS ratio, round(100 * (max(n) - min(n)) / avg(n), 6) AS spread_percent, sum((n = 0)::INT)::BIGINT AS zero_parts FROM per")
 def sample_spread(spark: SparkSession, d: str) -> DataFrame:
-    rows = builders.table(spark, d, "lineitem").where("l_suppkey % 5 < 4 and l_quantity > 45").select(F.expr("cast(l_orderkey % 6 as int)").alias("batch"), F.expr("cast(l_suppkey % 5 as int)").alias("part"))
-    return measure.sample_spread(rows, 5, 6)
+    return measure.sample_spread(_sample(spark, d, ANY_FRESH).pairs, P, BATCHES)
 
 
-@query(f"{base('geography')}, held AS (SELECT DISTINCT src_part FROM edges WHERE src_part <> 2) SELECT range AS part FROM range({P}) WHERE range NOT IN (SELECT src_part FROM held)")
+@query(f"{base('customer_part')}, held AS (SELECT DISTINCT src_part FROM edges WHERE src_part = dst_part) SELECT range AS part FROM range({P}) WHERE range NOT IN (SELECT src_part FROM held)")
 def zero_sample_parts(spark: SparkSession, d: str) -> DataFrame:
-    g = graph(spark, d, "geography")
-    return longs(quota.idle_parts(Graph(g.vertices, g.edges.where("src_part <> 2"), g.n, g.parts), P))
+    """Parts that Local can't fill: a two-sided graph cut by id ranges has hardly an inner edge."""
+    g = graph(spark, d, "customer_part")
+    return longs(quota.idle_parts(Graph(g.vertices, g.edges.where("src_part = dst_part"), g.n, g.parts), P))
 
 
 _AUG = "two AS (SELECT x.part, x.u, y.v FROM pairs x JOIN pairs y ON x.part = y.part AND x.batch = y.batch AND x.seq < y.seq)"
@@ -427,9 +426,9 @@ def false_positive_share(spark: SparkSession, d: str) -> DataFrame:
     return measure.false_positive_share(both, graph(spark, d, "customer_part"))
 
 
-@query("SELECT batch, round(avg((age > 0)::INT), 6) AS spilled_share, round(avg(age), 6) AS mean_age FROM (SELECT l_orderkey % 7 AS batch, l_linenumber - 1 AS age FROM lineitem) GROUP BY batch")
+@query(f"SELECT batch, round(avg((age > 0)::INT), 6) AS spilled_share, round(avg(age), 6) AS mean_age FROM ({_sample_sql(ANY_REUSE)}) GROUP BY batch")
 def spill_age(spark: SparkSession, d: str) -> DataFrame:
-    return measure.staleness(builders.table(spark, d, "lineitem").select((F.col("l_orderkey") % 7).alias("batch"), (F.col("l_linenumber") - 1).alias("age")))
+    return longs(measure.staleness(_sample(spark, d, ANY_REUSE).pairs))
 
 
 @query("SELECT n_nationkey + 2 AS p, n_regionkey + 1 AS calls, round(60 * ((n_regionkey + 1) * (log2(n_nationkey + 2) + (n_nationkey + 2) * 128) + (n_nationkey + 2) * 1000), 6) AS cost FROM nation")
@@ -504,35 +503,55 @@ def f1_micro_macro(spark: SparkSession, d: str) -> DataFrame:
     return evaluate.f1(evaluate.confusion(_predicted(spark, d)))
 
 
-_TIMES = "times AS (SELECT n_name AS graph, m AS method, p, (n_nationkey + 3) * (CASE m WHEN 'a' THEN 5 ELSE 4 END) / power(p, CASE m WHEN 'a' THEN 0.9 ELSE 0.5 END) AS seconds FROM nation, (SELECT unnest(['a', 'b']) AS m), (SELECT unnest([1, 4, 16]) AS p))"
+#: Work that can't be shared out further: the largest part's stored edges, for cuts by vertices and by edges.
+_TIMES = " UNION ALL ".join(f"SELECT '{g}' AS graph, '{m}' AS method, {p} AS p, max(l)::DOUBLE AS seconds FROM (SELECT sum(deg) AS l FROM (SELECT deg, {own} AS k FROM (SELECT vid, deg, sum(deg) OVER (ORDER BY vid) - deg AS before, sum(deg) OVER () AS total, count(*) OVER () AS n FROM ({base(g)} SELECT vid, deg FROM vertices))) GROUP BY k)"
+                            for g in ("customer_part", "part_supplier") for m, own_of in (("vertex", "(vid * {p}) // n"), ("edges", "least({p} - 1, (before * {p}) // total)")) for p in (1, 4, 16) for own in (own_of.format(p=p),))
 
 
 def _times(spark: SparkSession, d: str) -> DataFrame:
-    n = builders.table(spark, d, "nation")
-    grid = n.select("n_name", "n_nationkey", F.explode(F.array(F.lit("a"), F.lit("b"))).alias("method")).select("*", F.explode(F.array(F.lit(1), F.lit(4), F.lit(16))).alias("p"))
-    a = F.col("method") == "a"
-    return grid.select(F.col("n_name").alias("graph"), "method", F.col("p").cast("long").alias("p"), ((F.col("n_nationkey") + 3) * F.when(a, 5).otherwise(4) / F.pow("p", F.when(a, 0.9).otherwise(0.5))).alias("seconds"))
-
-
-@query(f"WITH {_TIMES} SELECT graph, method, p::BIGINT AS p, round(first_value(seconds) OVER (PARTITION BY graph, method ORDER BY p) / seconds, 6) AS self_speedup, round(max(seconds) OVER (PARTITION BY graph, p) / seconds, 6) AS over_slowest FROM times")
+    found = None
+    for name in ("customer_part", "part_supplier"):
+        g = graph(spark, d, name)
+        for p in (1, 4, 16):
+            for method, cut in (("vertex", partition.cut_by_vertex(g, p).vertices), ("edges", partition.first_fit(g, p))):
+                loads = cut.groupBy("part").agg(F.sum("deg").alias("load"))
+                row = loads.agg(F.max("load").cast("double").alias("seconds")).select(F.lit(name).alias("graph"), F.lit(method).alias("method"), F.lit(p).cast("long").alias("p"), "seconds")
+                found = row if found is None else found.unionByName(row)
+    return found
+
+
+@query(f"WITH times AS ({_TIMES}) SELECT graph, method, p::BIGINT AS p, round(first_value(seconds) OVER (PARTITION BY graph, method ORDER BY p) / seconds, 6) AS self_speedup, round(max(seconds) OVER (PARTITION BY graph, p) / seconds, 6) AS over_slowest FROM times")
 def speedup_table(spark: SparkSession, d: str) -> DataFrame:
+    """The speed-ups that cuts allow: load of the largest part against one part's."""
     return measure.speedups(_times(spark, d)).drop("seconds")
 
 
-@query(f"WITH {_TIMES} SELECT graph, min(CASE WHEN a < b THEN p END)::BIGINT AS p FROM (SELECT graph, p, max(seconds) FILTER (method = 'a') AS a, max(seconds) FILTER (method = 'b') AS b FROM times GROUP BY graph, p) GROUP BY graph")
+@query(f"WITH times AS ({_TIMES}) SELECT graph, min(CASE WHEN a < b THEN p END)::BIGINT AS p FROM (SELECT graph, p, max(seconds) FILTER (method = 'edges') AS a, max(seconds) FILTER (method = 'vertex') AS b FROM times GROUP BY graph, p) GROUP BY graph")
 def crossover(spark: SparkSession, d: str) -> DataFrame:
-    return measure.crossover(_times(spark, d), "a", "b")
+    """From how many parts on the cut by edges is the more even one."""
+    return measure.crossover(_times(spark, d), "edges", "vertex")
+
 
+_LOADS = " UNION ALL ".join(f"SELECT '{g}' AS stage, part, sum(deg)::BIGINT AS seconds FROM ({base(g)} SELECT part, deg FROM vertices) GROUP BY part" for g in ("copurchase", "customer_part", "part_supplier"))
 
-@query("SELECT o_orderpriority AS stage, round(100 * sum(s) / (SELECT sum(s) FROM (SELECT round(o_totalprice) AS s FROM orders)), 6) AS share_percent, round(100 * (max(s) - avg(s)) / max(s) * count(*) / (count(*) - 1), 6) AS imbalance_percent FROM (SELECT o_orderpriority, round(o_totalprice) AS s FROM orders) GROUP BY o_orderpriority")
-def stage_profile(spark: SparkSession, d: str) -> DataFrame:
-    return measure.imbalance(builders.table(spark, d, "orders").select(F.col("o_orderpriority").alias("stage"), F.round("o_totalprice").alias("seconds")))
 
+@query(f"WITH loads AS ({_LOADS}) SELECT stage, round(100 * sum(seconds) / (SELECT sum(seconds) FROM loads), 6) AS share_percent, round(100 * (max(seconds) - avg(seconds)) / max(seconds) * count(*) / (count(*) - 1), 6) AS imbalance_percent FROM loads GROUP BY stage")
+def load_imbalance(spark: SparkSession, d: str) -> DataFrame:
+    """Share and imbalance of the parts' loads, a graph a row."""
+    found = None
+    for name in ("copurchase", "customer_part", "part_supplier"):
+        row = graph(spark, d, name).vertices.groupBy("part").agg(F.sum("deg").alias("seconds")).withColumn("stage", F.lit(name))
+        found = row if found is None else found.unionByName(row)
+    return measure.imbalance(found)
 
-@query("SELECT l_returnflag AS variant, l_linestatus AS rule, (l_suppkey % 4)::BIGINT AS part, count(*) AS n, sum(l_quantity)::BIGINT AS quantity FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus, (l_suppkey % 4)::BIGINT)")
+
+_BOTH = f"SELECT 'fresh' AS variant, * FROM ({_sample_sql(ANY_FRESH)}) UNION ALL SELECT 'reuse', * FROM ({_sample_sql(ANY_REUSE)})"
+
+
+@query(f"SELECT variant, batch::BIGINT AS batch, part::BIGINT AS part, count(*) AS n, sum((v_part <> part)::INT)::BIGINT AS remote FROM ({_BOTH}) GROUP BY CUBE (variant, batch, part)")
 def metrics_cube(spark: SparkSession, d: str) -> DataFrame:
-    li = builders.table(spark, d, "lineitem").select(F.col("l_returnflag").alias("variant"), F.col("l_linestatus").alias("rule"), (F.col("l_suppkey") % 4).alias("part"), "l_quantity")
-    return li.cube("variant", "rule", "part").agg(F.count("*").alias("n"), F.sum("l_quantity").cast("long").alias("quantity"))
+    drawn = [longs(_sample(spark, d, v).pairs).withColumn("variant", F.lit(v.kind)) for v in (ANY_FRESH, ANY_REUSE)]
+    return drawn[0].unionByName(drawn[1]).cube("variant", "batch", "part").agg(F.count("*").alias("n"), F.sum((F.col("v_part") != F.col("part")).cast("long")).alias("remote"))
 
 
 @query(f"{base('customer_part')}, {roots_cte(3, 40)}, one AS (SELECT DISTINCT u, v FROM roots WHERE batch = 0), two AS (SELECT DISTINCT u, v FROM roots WHERE batch = 1) SELECT 'both' AS side, u, v FROM (SELECT * FROM one INTERSECT SELECT * FROM two) UNION ALL SELECT 'first', u, v FROM (SELECT * FROM one EXCEPT SELECT * FROM two) UNION ALL SELECT 'second', u, v FROM (SELECT * FROM two EXCEPT SELECT * FROM one)")
@@ -618,12 +637,12 @@ def negative_flow(spark: SparkSession, d: str) -> DataFrame:
     return longs(wide.select("part", *[F.col(str(k)).alias(f"to_{k}") for k in range(P)]))
 
 
-@query("WITH one AS (SELECT l_suppkey % 7 AS part, count(*) AS n FROM lineitem WHERE l_suppkey % 7 < 5 GROUP BY 1), two AS (SELECT l_partkey % 7 AS part, count(*) AS m FROM lineitem WHERE l_partkey % 7 > 1 GROUP BY 1) SELECT part, coalesce(n, 0) AS n, coalesce(m, 0) AS m FROM one FULL JOIN two USING (part)")
+@query(f"WITH v AS ({base('part_supplier')} SELECT vid, deg FROM vertices), x AS (SELECT deg, (vid * 7) // count(*) OVER () AS a, least(6, ((sum(deg) OVER (ORDER BY vid) - deg) * 7) // sum(deg) OVER ())::BIGINT AS b FROM v), one AS (SELECT a AS part, sum(deg)::BIGINT AS n FROM x GROUP BY a), two AS (SELECT b AS part, sum(deg)::BIGINT AS m FROM x GROUP BY b) SELECT part, coalesce(n, 0) AS n, coalesce(m, 0) AS m FROM one FULL JOIN two USING (part)")
 def compare_loads(spark: SparkSession, d: str) -> DataFrame:
     """Loads of two cuts side by side; parts that only one has are kept."""
-    li = builders.table(spark, d, "lineitem")
-    one = li.where("l_suppkey % 7 < 5").groupBy((F.col("l_suppkey") % 7).alias("part")).agg(F.count("*").alias("n"))
-    two = li.where("l_partkey % 7 > 1").groupBy((F.col("l_partkey") % 7).alias("part")).agg(F.count("*").alias("m"))
+    g = graph(spark, d, "part_supplier")
+    one = longs(partition.cut_by_vertex(g, 7).vertices).groupBy("part").agg(F.sum("deg").alias("n"))
+    two = longs(partition.first_fit(g, 7)).groupBy("part").agg(F.sum("deg").alias("m"))
     return one.join(two, "part", "full").na.fill(0)
 
 
