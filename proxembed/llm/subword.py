@@ -22,6 +22,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -35,7 +36,7 @@ from proxembed.llm.common import spread, table
 MARK = "▁"
 MODEL = "piece_bpe_32k.model"
 PENALTY = 10.0
-CACHE_ENTRIES, MEMO_CHARS = 400_000, 64
+CACHE_ENTRIES, MEMO_CHARS = 300_000, 64
 
 
 def model_path(name: str = MODEL) -> str:
@@ -57,12 +58,24 @@ class Pieces:
         self.control = {k for k in range(len(self.names)) if m.is_control(k) or m.is_unknown(k)}
         self.longest = max(map(len, self.score))
         self.unknown = min(s for s, _ in self.score.values()) - PENALTY
-        self.prefixes = {n[:k] for n in self.score for k in range(1, len(n) + 1)}
+        self.tree = tree(self.score)
         self.splits = all(MARK not in p.lstrip(MARK) for p in self.score)
         covered = set().union(*self.score)
         self.bare = "".join(c for c in "\n\r\t" if c not in covered)
 
 
+def tree(score: dict[str, tuple[float, int]]) -> dict:
+    """Pieces by their characters: {character: [subtree, score or None, id]}."""
+    root: dict = {}
+    for name, (value, k) in score.items():
+        at, node = root, None
+        for ch in name:
+            node = at.setdefault(ch, [{}, None, -1])
+            at = node[0]
+        node[1:] = [value, k]
+    return root
+
+
 @lru_cache(maxsize=2)
 def load(path: str) -> Pieces:
     return Pieces(path)
@@ -92,6 +105,11 @@ class StreamingViterbi:
             out += self._walk(len(self.text) - longest)
         return out
 
+    def whole(self, text: str) -> list[int]:
+        """Ids of a text that is at hand as a whole; the window moves over it all the same."""
+        self.text = text
+        return self.finish()
+
     def finish(self) -> list[int]:
         out = self._walk(len(self.text))
         out += self._trace(self.at)
@@ -104,21 +122,22 @@ class StreamingViterbi:
         """Leave the positions before `end`, and commit where paths converge."""
         out: list[int] = []
         p, text, best, back = self.p, self.text, self.best, self.back
-        get, prefixes, n, longest = p.score.get, p.prefixes, len(text), p.longest
+        root, n, longest = p.tree, len(text), p.longest
         best += [None] * (n + 1 - len(best))
         back += [(-1, -1)] * (n + 1 - len(back))
         a, reach, begin = self.at, self.reach, 0
         while a < end:
-            here = best[a]
-            for e in range(a + 1, min(n, a + longest) + 1):
-                part = text[a:e]
-                if part not in prefixes:
+            here, at, e = best[a], root, a
+            for ch in text[a : a + longest]:
+                node = at.get(ch)
+                if node is None:
                     break
-                found = get(part)
-                if found is not None:
-                    score = here + found[0]
+                at, value, k = node
+                e += 1
+                if value is not None:
+                    score = here + value
                     if best[e] is None or score > best[e]:
-                        best[e], back[e] = score, (a, found[1])
+                        best[e], back[e] = score, (a, k)
                         if e > reach:
                             reach = e
             a += 1
@@ -164,6 +183,7 @@ class Encoder:
     def __init__(self, path: str):
         self.p = load(path)
         self.memo: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
         bare = re.escape(self.p.bare)
         #: Spans between places where the window is always empty.
         self.spans = re.compile((f"[{bare}]+|" if bare else "") + f"{MARK}+[^{MARK}{bare}]*|[^{MARK}{bare}]+").findall if self.p.splits else lambda text: [text]
@@ -177,12 +197,16 @@ class Encoder:
         except KeyError:
             pass
         if len(memo) > CACHE_ENTRIES:
-            memo.clear()
-        walk, get, out = StreamingViterbi(self.p), memo.get, []
+            # What was met since the last turn stays at hand; the rest goes.
+            self.older, self.memo = memo, {}
+            memo = self.memo
+        walk, older, out = StreamingViterbi(self.p), self.older, []
         for s in spans:
-            v = get(s)
+            v = memo.get(s)
             if v is None:
-                v = np.array(walk.push(s) + walk.finish(), dtype="<u4").tobytes()
+                v = older.get(s)
+                if v is None:
+                    v = array("I", walk.whole(s)).tobytes()
                 if len(s) <= MEMO_CHARS:
                     memo[s] = v
             out.append(v)

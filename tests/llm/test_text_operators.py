@@ -480,7 +480,7 @@ def test_random_pieces_against_the_whole_lattice():
         names = {"".join(g.choice("abc") for _ in range(g.randint(1, 6))) for _ in range(12)}
         p.score = {n: (-float(g.randint(1, 9)), 300 + k) for k, n in enumerate(sorted(names))}
         p.bytes, p.longest, p.unknown = {k: k for k in range(256)}, max(map(len, names)), -50.0
-        p.prefixes = {n[:k] for n in names for k in range(1, len(n) + 1)}
+        p.tree = subword.tree(p.score)
         for _ in range(20):
             t = "".join(g.choice("abcd") for _ in range(g.randint(1, 80)))
             walk = subword.StreamingViterbi(p)
