@@ -38,13 +38,13 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from proxembed.functions.rng import draw, draw_numpy
-from proxembed.llm.common import spread, store, table
+from proxembed.llm.common import forget, spread, store, table
 from proxembed.llm.components import components
 from proxembed.llm.textkernel import mix, shingle_sets, space_table, string_chunks, word_hashes
 
 LEAST_TOP = 4
 CHUNK = 2048
-BLOCKS_PER_TOP = 0.36
+BLOCKS_PER_TOP, SMALL_BAND = 0.36, 256
 FILTER_BITS, BITMAP_BITS, FILTER_STREAM = 1 << 26, 32_768, 101
 
 
@@ -105,8 +105,8 @@ def _batch(names: list[str], *arrays: np.ndarray) -> pa.RecordBatch:
 
 
 def sketch_bits(n: int) -> int:
-    """Bits of a set's stored sketch: a power of two of at least eight times its size, so few flips cancel."""
-    return max(256, 1 << (8 * n - 1).bit_length())
+    """Bits of a set's stored sketch: a power of two of at least twice its size, enough that unlike sets stay far apart."""
+    return max(256, 1 << (2 * n - 1).bit_length())
 
 
 def parity_sketch(tokens: np.ndarray) -> bytes:
@@ -129,8 +129,8 @@ def live_sets(texts: DataFrame) -> DataFrame:
 
 
 def block_count(top: int) -> int:
-    """Blocks of a sketch in the band of sizes below `top`: more than two sets of the band can differ in."""
-    return max(int(BLOCKS_PER_TOP * top), 2 * (top - 1) // 7 + 1)
+    """Blocks of a sketch in the band of sizes below `top`: more than two sets of the band can differ in, and one a token in small bands."""
+    return max(int(BLOCKS_PER_TOP * top), min(top, SMALL_BAND), 2 * (top - 1) // 7 + 1)
 
 
 def _blocks(tokens: np.ndarray, top: int, seed: int) -> np.ndarray:
@@ -145,40 +145,47 @@ def _blocks(tokens: np.ndarray, top: int, seed: int) -> np.ndarray:
         return mix(folded ^ mix(block[first] + np.uint64(top << 32)))
 
 
-BLOCK_ROW = "node long, side long, need long, made long, n long, key long"
+#: A side is a band and a seed; two numbers share a long, for these rows are most of what is shuffled.
+BLOCK_ROW = "node long, key long, need_made long, n_side long"
 
 
 def block_keys(sets: DataFrame) -> DataFrame:
-    """BLOCK_ROW: `need` agreeing-or-unique blocks settle a side (a band and a seed), `made` is how many blocks it has."""
-    names = [c.split()[0] for c in BLOCK_ROW.split(", ")]
+    """(node, side, need, made, n, key): `need` agreeing-or-unique blocks settle a side, `made` is how many blocks it has."""
+    packed = sets.select("node", "tokens").mapInArrow(_block_rows, BLOCK_ROW)
+    return unpacked(packed)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            out: list[list[np.ndarray]] = [[] for _ in names]
-            held = 0
-            for node, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                tokens = np.frombuffer(data.as_py(), dtype=np.uint64)
-                n = len(tokens)
-                top = max(LEAST_TOP, 1 << n.bit_length())
-                bands = [(0, top, (n + min(4 * n // 3, top - 1)) // 7 + 1)]
-                if 4 * n >= 3 * top:
-                    bands.append((1, 2 * top, (n + 4 * n // 3) // 7 + 1))
-                for side, band, need in bands:
-                    m, seed = 0, 0
-                    while m < need:
-                        keys = _blocks(tokens, band, seed)
-                        m = len(keys)
-                        for column, value in zip(out, (node, side + 2 * seed, need, m, n), strict=False):
-                            column.append(np.full(m, value, dtype=np.int64))
-                        out[5].append(keys.view(np.int64))
-                        held, seed = held + m, seed + 1
-                if held > 200_000:
-                    yield _batch(names, *(np.concatenate(c) for c in out))
-                    out, held = [[] for _ in names], 0
-            if held:
-                yield _batch(names, *(np.concatenate(c) for c in out))
 
-    return sets.select("node", "tokens").mapInArrow(run, BLOCK_ROW)
+def unpacked(rows: DataFrame, *more: str) -> DataFrame:
+    return rows.select("node", F.col("n_side").bitwiseAND(F.lit(255)).alias("side"), F.shiftright("need_made", 32).alias("need"), F.col("need_made").bitwiseAND(F.lit((1 << 32) - 1)).alias("made"), F.shiftright("n_side", 8).alias("n"), "key", *more)
+
+
+def _block_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    names = [c.split()[0] for c in BLOCK_ROW.split(", ")]
+    for batch in batches:
+        out: list[list[np.ndarray]] = [[] for _ in names]
+        held = 0
+        for node, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            tokens = np.frombuffer(data.as_py(), dtype=np.uint64)
+            n = len(tokens)
+            top = max(LEAST_TOP, 1 << n.bit_length())
+            bands = [(0, top, (n + min(4 * n // 3, top - 1)) // 7 + 1)]
+            if 4 * n >= 3 * top:
+                bands.append((1, 2 * top, (n + 4 * n // 3) // 7 + 1))
+            for side, band, need in bands:
+                m, seed = 0, 0
+                while m < need:
+                    keys = _blocks(tokens, band, seed)
+                    m = len(keys)
+                    out[0].append(np.full(m, node, dtype=np.int64))
+                    out[1].append(keys.view(np.int64))
+                    out[2].append(np.full(m, need << 32 | m, dtype=np.int64))
+                    out[3].append(np.full(m, n << 8 | side + 2 * seed, dtype=np.int64))
+                    held, seed = held + m, seed + 1
+            if held > 200_000:
+                yield _batch(names, *(np.concatenate(c) for c in out))
+                out, held = [[] for _ in names], 0
+        if held:
+            yield _batch(names, *(np.concatenate(c) for c in out))
 
 
 def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -287,9 +294,10 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
     # Rows that repeat an id and text count once; the join's partitioning serves that too.
     fetched = passing(texts.where("doc_id is not null"), id_filter(live, "rep")).join(live, F.col("doc_id") == F.col("rep")).withColumn("_h", F.xxhash64("text")).dropDuplicates(["doc_id", "node", "_h"])
     sets = store(live_sets(fetched.select("node", "text")), "live-sets")
-    blocks = block_keys(sets)
+    forget(live)
+    blocks = sets.select("node", "tokens").mapInArrow(_block_rows, BLOCK_ROW)
     counts = blocks.groupBy("key").agg(F.count("*").alias("c")).where("c > 1")
-    shared = blocks.join(counts, "key")
+    shared = unpacked(blocks.join(counts, "key"), "c")
     side = Window.partitionBy("node", "side")
     kept = shared.withColumn("have", F.count("*").over(side)).withColumn("rank", F.row_number().over(side.orderBy("c", "key")))
     kept = store(kept.where("rank <= need - (made - have)").select("key", "node", "n", "have"), "blocks")
