@@ -1,8 +1,8 @@
 """Nearest neighbours by an inverted multi-index.
 
 Vectors are cut in halves and each half is quantised by its own k-means, fitted on at most `fit_rows` rows (those with the
-smallest hash of vec_id); a row lies in the cell of its pair of centroids, and there are about sqrt(rows) centroids to a half,
-as far as the fitted rows support them. A query walks centroid pairs from the best summed inner product downwards
+smallest hash of vec_id); a row lies in the cell of its pair of centroids. There are CENTROIDS times the fourth root of the
+rows centroids to a half, as far as the fitted rows support them, so cells grow with the square root of the rows. A query walks centroid pairs from the best summed inner product downwards
 with a heap, and all rows of the cells walked are reranked by the exact inner product of the original vectors in double
 precision.
 
@@ -23,6 +23,7 @@ equal scores go to the smaller vec_id; fewer candidates than k are all returned;
 from __future__ import annotations
 
 import heapq
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -34,8 +35,8 @@ from pyspark.sql import functions as F
 from proxembed.llm.common import store, table
 
 FIT_ROWS = 20_000
-ROWS_PER_CENTROID = 16
-PROBES, RECALL = 256, 0.96
+CENTROIDS, ROWS_PER_CENTROID = 12, 16
+PROBES, RECALL = 256, 0.95
 SHARD_ROWS, BLOCK_QUERIES = 16_384, 4_096
 #: Walks end at a score; sums of the same numbers in another order may differ by this much.
 SLACK = 1e-9
@@ -62,7 +63,7 @@ class MultiIndex:
 
     def __init__(self, first: np.ndarray, second: np.ndarray, held: np.ndarray):
         self.first, self.second, self.held = first, second, held
-        self.half = first.shape[1]
+        self.half, self._held = first.shape[1], held.tolist()
         begin = np.concatenate(([0], np.cumsum(held)))
         self.begin = begin[:-1]
         self.low, self.high = begin[:-1] // SHARD_ROWS, np.maximum(begin[1:] - 1, begin[:-1]) // SHARD_ROWS
@@ -70,35 +71,37 @@ class MultiIndex:
     def cells(self, v: np.ndarray) -> np.ndarray:
         return nearest_centroid(v[:, : self.half], self.first) * len(self.second) + nearest_centroid(v[:, self.half :], self.second)
 
-    def walk(self, q: np.ndarray, want: int) -> Iterator[tuple[int, float]]:
-        """Non-empty cells and their scores by falling summed inner product, until they hold `want` rows.
+    def walk(self, q: np.ndarray, want: int) -> tuple[list[int], float]:
+        """Non-empty cells by falling summed inner product until they hold `want` rows, and the score of the last one.
 
         The heap holds the best cell not yet walked of each row of the sorted grid that was entered; a row's next cells are
         walked at once while they beat the rest of the heap.
         """
         a, b = self.first @ q[: self.half], self.second @ q[self.half :]
         oa, ob = np.argsort(-a, kind="stable"), np.argsort(-b, kind="stable")
-        sa, sb = a[oa].tolist(), b[ob].tolist()
-        columns, k, held, got = ob.tolist(), len(b), self.held, 0
-        heap = [(-(sa[0] + sb[0]), 0, 0)]
-        while heap and got < want:
-            _, i, j = heapq.heappop(heap)
-            if j == 0 and i + 1 < len(sa):
-                heapq.heappush(heap, (-(sa[i + 1] + sb[0]), i + 1, 0))
-            base, top = int(oa[i]) * k, heap[0][0] if heap else float("inf")
+        sa, sb, rows, columns = (-a[oa]).tolist(), (-b[ob]).tolist(), (oa * len(b)).tolist(), ob.tolist()
+        held, n, k, got, out = self._held, len(sa), len(sb), 0, []
+        heap, push, pop = [(sa[0] + sb[0], 0, 0)], heapq.heappush, heapq.heappop
+        while heap:
+            score, i, j = pop(heap)
+            if j == 0 and i + 1 < n:
+                push(heap, (sa[i + 1] + sb[0], i + 1, 0))
+            base, row, top = rows[i], sa[i], heap[0][0] if heap else math.inf
             while True:
-                n = int(held[base + columns[j]])
-                if n:
-                    got += n
-                    yield base + columns[j], sa[i] + sb[j]
+                cell = base + columns[j]
+                if held[cell]:
+                    got += held[cell]
+                    out.append(cell)
                     if got >= want:
-                        return
+                        return out, -score
                 j += 1
                 if j == k:
                     break
-                if -(sa[i] + sb[j]) > top:
-                    heapq.heappush(heap, (-(sa[i] + sb[j]), i, j))
+                score = row + sb[j]
+                if score > top:
+                    push(heap, (score, i, j))
                     break
+        return out, -math.inf
 
     def scores(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Inner products of each query's halves with the centroids."""
@@ -150,7 +153,7 @@ def rows_to_walk(index: MultiIndex, q: np.ndarray, truth: pd.DataFrame, recall:
     total, needs = int(index.held.sum()), []
     for probe, rows in truth.groupby("probe"):
         left, got = rows["cell"].value_counts().to_dict(), 0
-        for cell, _ in index.walk(q[probe], total):
+        for cell in index.walk(q[probe], total)[0]:
             got += int(index.held[cell])
             hit = left.pop(cell, 0)
             needs += [got] * hit
@@ -167,7 +170,7 @@ def build(rows: DataFrame, fit_rows: int = FIT_ROWS) -> tuple[DataFrame, MultiIn
     x = _matrix(sample.column(0).combine_chunks())
     total = rows.count()
     half = max(1, x.shape[1] // 2)
-    centroids = max(1, min(int(total**0.5), -(-len(x) // ROWS_PER_CENTROID)))
+    centroids = max(1, min(int(CENTROIDS * total**0.25), -(-len(x) // ROWS_PER_CENTROID)))
     first = kmeans(x[:, :half], centroids)
     second = kmeans(x[:, half:], centroids) if x.shape[1] > half else np.zeros((1, 0))
     blank = MultiIndex(first, second, np.zeros(len(first) * len(second), dtype=np.int64))
@@ -211,15 +214,18 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 20, recall: float =
         for b in batches:
             ids, q, shards, ends, block = [], [], [], [], []
             for i, v, salt in zip(b.column(0).to_pylist(), _matrix(b.column(1)), b.column(2).to_pylist(), strict=True):
-                walked = list(index.walk(v, want))
-                cells, end = np.array([c for c, _ in walked]), walked[-1][1] - SLACK
-                own = int(index.begin[cells[0]] + salt % index.held[cells[0]]) * blocks // total
-                for s in sorted({s for c in cells.tolist() for s in range(int(index.low[c]), int(index.high[c]) + 1)}):
-                    ids.append(i)
-                    q.append(v)
-                    shards.append(s)
-                    ends.append(end)
-                    block.append(own)
+                walked, end = index.walk(v, want)
+                own = int(index.begin[walked[0]] + salt % index.held[walked[0]]) * blocks // total
+                cells = np.array(walked)
+                low, high = index.low[cells], index.high[cells]
+                met = np.unique(low)
+                for c in np.flatnonzero(high > low).tolist():  # cells dealt over several shards
+                    met = np.union1d(met, np.arange(low[c], high[c] + 1))
+                ids += [i] * len(met)
+                q += [v] * len(met)
+                shards += met.tolist()
+                ends += [end - SLACK] * len(met)
+                block += [own] * len(met)
             if ids:
                 yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), _lists(np.stack(q)), pa.array(shards, pa.int64()), pa.array(block, pa.int64()), pa.array(ends, pa.float64())], names=["query_id", "q", "shard", "block", "until"])
 

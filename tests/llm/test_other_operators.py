@@ -238,11 +238,11 @@ def test_cells_are_walked_in_order():
     g = np.random.default_rng(1)
     a, b, q = g.normal(size=(5, 3)), g.normal(size=(6, 3)), g.normal(size=6)
     held = (g.random(30) < 0.8).astype(np.int64)
-    cells = list(multi_index.MultiIndex(a, b, held).walk(q, 30))
-    s = [a[c // 6] @ q[:3] + b[c % 6] @ q[3:] for c, _ in cells]
-    assert sorted(c for c, _ in cells) == np.flatnonzero(held).tolist() and all(x >= y - 1e-12 for x, y in zip(s, s[1:], strict=False))
-    assert all(abs(x - y) < 1e-12 for x, (_, y) in zip(s, cells, strict=True))
-    assert len(list(multi_index.MultiIndex(a, b, held).walk(q, 4))) == 4
+    cells, end = multi_index.MultiIndex(a, b, held).walk(q, 30)
+    s = [a[c // 6] @ q[:3] + b[c % 6] @ q[3:] for c in cells]
+    assert sorted(cells) == np.flatnonzero(held).tolist() and all(x >= y - 1e-12 for x, y in zip(s, s[1:], strict=False)) and end == -np.inf
+    some, end = multi_index.MultiIndex(a, b, held).walk(q, 4)
+    assert some == cells[:4] and abs(end - s[3]) < 1e-12
 
 
 def test_odd_vectors(spark):
