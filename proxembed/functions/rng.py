@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 SPAN = 1 << 48
 #: Streams keep draws of different purposes apart.
-ROOT, STEP, NEGATIVE, PRUNE, SPLIT, INIT, AUGMENT = range(1, 8)
+ROOT, STEP, NEGATIVE, PRUNE, SPLIT, INIT, AUGMENT, ALIAS = range(1, 9)
 
 _P1, _P2, _P3, _P4, _P5 = (np.uint64(x) for x in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
 

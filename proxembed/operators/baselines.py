@@ -10,12 +10,14 @@ from pyspark.sql import functions as F
 from proxembed.functions.rng import ROOT, draw
 from proxembed.functions.vectors import pack
 from proxembed.operators.graph import Graph
-from proxembed.operators.kernels import run_mini
+from proxembed.operators.kernels import run_exact
+from proxembed.operators.measure import timed
 from proxembed.operators.pairs import numbered
 from proxembed.operators.partition import cut_by_vertex
 from proxembed.operators.sampling import negatives, pick, root_ranges, roots
 from proxembed.operators.storage import store
 from proxembed.operators.train import STATE, TrainConfig, embedding, init_blocks, initial_vectors, signed, train
+from proxembed.operators.variants import SampleConfig, Variant, sample
 from proxembed.operators.walks import biased_walk, walk_block, walk_pairs
 
 
@@ -28,6 +30,15 @@ def edge_pairs(g: Graph, batches: int, batch_size: int, seed: int = 7, backend:
     return pick(asked, ranges, ["part"]).select("batch", "part", "seq", "u", "v", "v_part")
 
 
+def sampling_only(g: Graph, variant: Variant, c: SampleConfig) -> DataFrame:
+    """What samplers without training do: a row a part of pairs drawn, walk calls, steps handed over and seconds."""
+    took: dict[str, float] = {}
+    with timed(took, "sampling"):
+        drawn = sample(g, variant, c)
+    per = drawn.pairs.groupBy("part").agg(F.count("*").alias("pairs"), F.countDistinct("batch").alias("batches"))
+    return per.withColumns({"variant": F.lit(str(variant)), "calls": F.lit(drawn.calls), "handed": F.lit(drawn.handed), "seconds": F.lit(took["sampling"])})
+
+
 def one_owner(g: Graph) -> Graph:
     return cut_by_vertex(g, 1)
 
@@ -40,10 +51,16 @@ def fit_pairs(g: Graph, pairs: DataFrame, c: TrainConfig, k: int, batches: int,
     return embedding(train(g, rows, c, batches * epochs), c.dim)
 
 
+#: Positives of a batch of the single-owner baselines: a superstep holds one batch in its one task.
+PER_BATCH = 65_536
+
+
 def fit_edge_sgd(g: Graph, c: TrainConfig, samples: int, k: int = 1) -> DataFrame:
-    """One owner, no walks: edges drawn by weight, negatives from the noise distribution."""
+    """One owner, no walks: edges drawn by weight, negatives from the noise distribution, in batches of PER_BATCH at most."""
     one = one_owner(g)
-    return fit_pairs(one, edge_pairs(one, 1, samples, c.seed), c, k, 1)
+    batches = -(-samples // PER_BATCH)
+    pairs = edge_pairs(one, batches, -(-samples // batches), c.seed)
+    return fit_pairs(one, pairs, c, k, batches)
 
 
 def _walk_corpus(g: Graph, walks: int) -> DataFrame:
@@ -54,20 +71,23 @@ def _walk_corpus(g: Graph, walks: int) -> DataFrame:
 def fit_biased_walk(g: Graph, c: TrainConfig, walks: int, length: int = 20, window: int = 5, ret: float = 1.0, inout: float = 1.0, k: int = 1) -> DataFrame:
     """Second-order walks and a window, one owner."""
     one = one_owner(g)
-    pairs = walk_pairs(biased_walk(one, _walk_corpus(g, walks), length, ret, inout, c.seed), window, "hops")
-    return fit_pairs(one, _as_batch(pairs), c, k, 1)
+    pairs, batches = _as_batches(walk_pairs(biased_walk(one, _walk_corpus(g, walks), length, ret, inout, c.seed), window, "hops"))
+    return fit_pairs(one, pairs, c, k, batches)
 
 
 def fit_uniform_walk(g: Graph, c: TrainConfig, walks: int, length: int = 20, window: int = 5, k: int = 1) -> DataFrame:
     """First-order walks that ignore weights, and a window."""
     one = one_owner(g)
-    pairs = walk_pairs(walk_block(one, _walk_corpus(g, walks), length, seed=c.seed, unit_weights=True), window, "hops")
-    return fit_pairs(one, _as_batch(pairs), c, k, 1)
+    pairs, batches = _as_batches(walk_pairs(walk_block(one, _walk_corpus(g, walks), length, seed=c.seed, unit_weights=True), window, "hops"))
+    return fit_pairs(one, pairs, c, k, batches)
 
 
-def _as_batch(pairs: DataFrame) -> DataFrame:
-    """All pairs as one batch, in hashed order."""
-    return store(numbered(pairs.withColumn("batch", F.lit(0)).withColumn("_h", F.xxhash64("walk_id", "step", "hop")), ["batch", "part"], ["_h", "walk_id", "step", "hop"]).select("batch", "part", "seq", "u", "v", "v_part"), "pairs")
+def _as_batches(pairs: DataFrame) -> tuple[DataFrame, int]:
+    """Pairs in hashed order, in batches of about PER_BATCH."""
+    held = store(pairs, "corpus")
+    batches = max(1, -(-held.count() // PER_BATCH))
+    dealt = held.withColumn("_h", F.xxhash64("walk_id", "step", "hop")).withColumn("batch", F.pmod(F.xxhash64("walk_id", "step", "hop", F.lit(1)), F.lit(batches)).cast("int"))
+    return store(numbered(dealt, ["batch", "part"], ["_h", "walk_id", "step", "hop"]).select("batch", "part", "seq", "u", "v", "v_part"), "pairs"), batches
 
 
 def fit_pooled(g: Graph, c: TrainConfig, walks: int, length: int = 20, pools: int = 4, k: int = 1) -> DataFrame:
@@ -89,12 +109,17 @@ def fit_bucketed(g: Graph, c: TrainConfig, samples: int, buckets: int, epochs: i
     """Edge buckets by (part of u, part of v), trained in rounds that share no partition; partitions move between rounds.
 
     The parameter-server stand-in: a round's buckets train independently on U of one partition and C of the other, which both
-    go back to their stored tables afterwards. Negatives come from the bucket's own context partition.
+    go back to their stored tables afterwards. `samples` edges are drawn by weight, the same number (up to one) from each
+    partition of u; negatives come from the context partition of the positive's own bucket.
     """
     cut = cut_by_vertex(g, buckets)
-    per = max(1, samples // (buckets * buckets))
-    drawn = edge_pairs(cut, 1, per * buckets, c.seed)
-    rows = store(signed(drawn, negatives(drawn, cut, k, seed=c.seed, scope="global")).withColumn("round", F.pmod(F.col("v_part") - F.col("part"), F.lit(buckets))), "bucketed")
+    per = -(-samples // buckets)
+    drawn = edge_pairs(cut, 1, per, c.seed).where(F.col("seq") * buckets + F.col("part") < samples)
+    # Negatives of a pair are drawn in the part that holds its v: scope `local` seen from there.
+    swapped = drawn.select("batch", F.col("v_part").cast("int").alias("part"), (F.col("seq") * buckets + F.col("part")).alias("seq"), "u", F.col("part").alias("_own"), F.col("seq").alias("_seq"))
+    wrong = negatives(swapped, cut, k, seed=c.seed, scope="local").join(swapped.select("part", "seq", "_own", "_seq"), ["part", "seq"])
+    wrong = wrong.select("batch", F.col("_own").alias("part"), F.col("_seq").alias("seq"), "j", "u", "v", "v_part")
+    rows = store(signed(drawn, wrong).withColumn("round", F.pmod(F.col("v_part") - F.col("part"), F.lit(buckets))), "bucketed", by=["round"])
     u_side = store(init_blocks(cut, c).select("part", "vids", "u", "c"), "state")
     for _ in range(epochs):
         for r in range(buckets):
@@ -110,7 +135,7 @@ def fit_bucketed(g: Graph, c: TrainConfig, samples: int, buckets: int, epochs: i
                 U, C = (np.frombuffer(row[x], "<f4").reshape(-1, c.dim).copy() for x in ("u", "c"))
                 if len(b):
                     b = b.sort_values(["seq", "j"], kind="stable")
-                    run_mini(U, C, np.searchsorted(vids, b["u"].to_numpy()), np.searchsorted(c_vids, b["v"].to_numpy()), b["sign"].to_numpy(), c.lr, c.neg_weight, c.decay, None, c.mini_size)
+                    run_exact(U, C, np.searchsorted(vids, b["u"].to_numpy()), np.searchsorted(c_vids, b["v"].to_numpy()), b["sign"].to_numpy(), c.lr, c.neg_weight, c.decay)
                 return pd.DataFrame([(int(row["part"]), row["vids"], pack(U), int(row["c_part"]), pack(C))], columns=["part", "vids", "u", "c_part", "c"])
 
             out = store(both.groupBy("part").cogroup(mine.groupBy("part")).applyInPandas(run, "part int, vids binary, u binary, c_part int, c binary"), "round")

@@ -5,7 +5,7 @@ from __future__ import annotations
 import time
 from contextlib import contextmanager
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from proxembed.operators.graph import Graph
@@ -54,6 +54,74 @@ def memory_report(g: Graph, dim: int) -> DataFrame:
     return g.vertices.groupBy("part").agg((F.count("*") * (8 * dim + 8)).alias("bytes"))
 
 
+PROFILE = "stage long, phase string, task long, run_s double, cpu_s double, fetch_wait_s double, shuffle_write_s double, gc_s double, shuffle_read_bytes long, shuffle_write_bytes long, shuffle_read_rows long, shuffle_write_rows long, peak_bytes long"
+
+
+def last_stage(spark: SparkSession) -> int:
+    """The newest stage that the status store knows, to profile what comes after it."""
+    stages = _stages(spark)
+    return max((stages.apply(k).stageId() for k in range(stages.size())), default=-1)
+
+
+def _stages(spark: SparkSession):
+    context = spark.sparkContext
+    jvm = context._jvm
+    context._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    return context._jsc.sc().statusStore().stageList(jvm.java.util.ArrayList(), False, False, context._gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList())
+
+
+def task_profile(spark: SparkSession, after: int = -1, most_tasks: int = 10_000) -> DataFrame:
+    """PROFILE: a row for each finished task of the stages after `after`, from Spark's own status store.
+
+    The phase is the job description that `timed` set. Of a stage's tasks at most `most_tasks` are read.
+    """
+    store, rows = spark.sparkContext._jsc.sc().statusStore(), []
+    stages = _stages(spark)
+    for k in range(stages.size()):
+        s = stages.apply(k)
+        if s.stageId() <= after or str(s.status()) == "SKIPPED":
+            continue
+        phase = s.description().get() if s.description().isDefined() else s.name()
+        tasks = store.taskList(s.stageId(), s.attemptId(), most_tasks)
+        for i in range(tasks.size()):
+            t = tasks.apply(i)
+            if not t.taskMetrics().isDefined():
+                continue
+            m = t.taskMetrics().get()
+            read, write = m.shuffleReadMetrics(), m.shuffleWriteMetrics()
+            rows.append((s.stageId(), phase, t.taskId(), m.executorRunTime() / 1e3, m.executorCpuTime() / 1e9, read.fetchWaitTime() / 1e3, write.writeTime() / 1e9, m.jvmGcTime() / 1e3,
+                         read.remoteBytesRead() + read.localBytesRead(), write.bytesWritten(), read.recordsRead(), write.recordsWritten(), m.peakExecutionMemory()))
+    return spark.createDataFrame(rows, PROFILE)
+
+
+def routine_profile(tasks: DataFrame) -> DataFrame:
+    """(phase, routine, seconds, share_percent, imbalance_percent): where a phase's task time went, and how unevenly over its tasks."""
+    other = F.greatest(F.lit(0.0), F.col("run_s") - F.col("fetch_wait_s") - F.col("shuffle_write_s") - F.col("gc_s"))
+    parts = [("shuffle read wait", F.col("fetch_wait_s")), ("shuffle write", F.col("shuffle_write_s")), ("collection of garbage", F.col("gc_s")), ("work", other)]
+    rows = tasks.select("phase", F.explode(F.array(*[F.struct(F.lit(n).alias("routine"), c.alias("s")) for n, c in parts])).alias("r")).select("phase", "r.*")
+    per = rows.groupBy("phase", "routine").agg(F.sum("s").alias("seconds"), F.max("s").alias("m"), F.avg("s").alias("a"), F.count("*").alias("n"))
+    uneven = F.when((F.col("n") > 1) & (F.col("m") > 0), (F.col("m") - F.col("a")) / F.col("m") * F.col("n") / (F.col("n") - 1)).otherwise(0.0)
+    total = F.sum("seconds").over(Window.partitionBy("phase"))
+    return per.select("phase", "routine", "seconds", F.round(100 * F.try_divide("seconds", total), 3).alias("share_percent"), F.round(100 * uneven, 3).alias("imbalance_percent"))
+
+
+def traffic(tasks: DataFrame) -> DataFrame:
+    """(phase, exchanged_rows, exchanged_bytes, read_bytes): what the shuffles of a phase moved, as measured."""
+    return tasks.groupBy("phase").agg(F.sum("shuffle_write_rows").alias("exchanged_rows"), F.sum("shuffle_write_bytes").alias("exchanged_bytes"), F.sum("shuffle_read_bytes").alias("read_bytes"))
+
+
+def process_memory(spark: SparkSession) -> DataFrame:
+    """(executor, peak_heap, peak_off_heap, peak_execution, peak_python) bytes by process, as heartbeats reported them."""
+    found = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    rows = []
+    for k in range(found.size()):
+        e = found.apply(k)
+        m = e.peakMemoryMetrics()
+        get = (lambda n: int(m.get().getMetricValue(n))) if m.isDefined() else (lambda n: 0)
+        rows.append((e.id(), get("JVMHeapMemory"), get("JVMOffHeapMemory"), get("OnHeapExecutionMemory") + get("OffHeapExecutionMemory"), get("ProcessTreePythonRSSMemory")))
+    return spark.createDataFrame(rows, "executor string, peak_heap long, peak_off_heap long, peak_execution long, peak_python long")
+
+
 def imbalance(task_times: DataFrame, by: str = "stage", value: str = "seconds") -> DataFrame:
     """(stage, share_percent, imbalance_percent): share of all time; (most - mean) / most x n / (n - 1)."""
     per = task_times.groupBy(by).agg(F.sum(value).alias("s"), F.max(value).alias("m"), F.avg(value).alias("a"), F.count("*").alias("n"))
@@ -77,8 +145,14 @@ def crossover(times: DataFrame, a: str, b: str) -> DataFrame:
 
 
 @contextmanager
-def timed(into: dict[str, float], stage: str):
-    """Adds the seconds of a block of actions to into[stage]."""
+def timed(into: dict[str, float], stage: str, spark: SparkSession | None = None):
+    """Adds the seconds of a block of actions to into[stage]; with a session, jobs of the block carry the stage as description."""
     began = time.perf_counter()
-    yield
+    if spark is not None:
+        spark.sparkContext.setJobDescription(stage)
+    try:
+        yield
+    finally:
+        if spark is not None:
+            spark.sparkContext.setJobDescription(None)
     into[stage] = into.get(stage, 0.0) + time.perf_counter() - began

@@ -9,8 +9,8 @@ from proxembed.functions.rng import PRUNE, draw
 
 
 def settle(pairs: DataFrame) -> DataFrame:
-    """Pairs dealt to their first end's owner, wherever they were drawn: one shuffle."""
-    return pairs.repartition("part")
+    """Pairs dealt to their batch and their first end's owner, wherever they were drawn: one shuffle."""
+    return pairs.repartition("batch", "part")
 
 
 def numbered(pairs: DataFrame, keys: list[str], order: list[str]) -> DataFrame:

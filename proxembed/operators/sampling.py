@@ -3,15 +3,17 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+import pandas as pd
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxembed.functions.rng import NEGATIVE, ROOT, draw
+from proxembed.functions.rng import ALIAS, NEGATIVE, ROOT, SPAN, draw
 from proxembed.operators.graph import Graph
 from proxembed.operators.partition import part_links
 from proxembed.operators.storage import store
 
 ROWS_PER_BUCKET = 16
+IDS_PER_BLOCK = 65_536
 
 
 def prefix(rows: DataFrame, group: list[str], order: list[str], value: str) -> DataFrame:
@@ -20,6 +22,27 @@ def prefix(rows: DataFrame, group: list[str], order: list[str], value: str) -> D
     return rows.withColumn("hi", F.sum(value).over(w)).withColumn("lo", F.col("hi") - F.col(value))
 
 
+def block_prefix(rows: DataFrame, group: list[str], block: Column, order: list[str], value: str) -> DataFrame:
+    """prefix() in two levels: inside blocks of a group, and over the blocks' totals, so a group of any size is many tasks.
+
+    `block` must not fall in the order of `order`.
+    """
+    cut = rows.withColumn("_b", block)
+    totals = cut.groupBy(*group, "_b").agg(F.sum(value).alias("_t"))
+    before = F.sum("_t").over(Window.partitionBy(*group).orderBy("_b").rowsBetween(Window.unboundedPreceding, 0))
+    offsets = totals.select(*group, "_b", (before - F.col("_t")).alias("_o"))
+    inner = prefix(cut, [*group, "_b"], order, value).join(offsets, [*group, "_b"])
+    return inner.withColumns({"lo": F.col("lo") + F.col("_o"), "hi": F.col("hi") + F.col("_o")}).drop("_b", "_o")
+
+
+def neighbor_prefix(g: Graph, unit_weights: bool = False, chunk: int = 4096) -> DataFrame:
+    """Edges with [lo, hi) of their weight in the list of their first end, in blocks of about `chunk` neighbours of a hub."""
+    edges = g.edges.withColumn("w", F.lit(1).cast("long")) if unit_weights else g.edges
+    sized = edges.join(g.vertices.select(F.col("vid").alias("src"), F.col("deg").alias("_deg")), "src")
+    block = F.expr(f"dst div greatest(1, {max(g.n, 1)} * {chunk} div greatest(1, _deg))")
+    return block_prefix(sized, ["src"], block, ["dst"], "w").drop("_deg")
+
+
 def pick(draws: DataFrame, ranges: DataFrame, on: list[str]) -> DataFrame:
     """Join each draw's r to the range lo <= r < hi of its group.
 
@@ -39,7 +62,7 @@ def pick(draws: DataFrame, ranges: DataFrame, on: list[str]) -> DataFrame:
 def noise(g: Graph, alpha: float = 0.75, by: str = "deg") -> DataFrame:
     """(vid, part, qw, lo, hi): weights round(d ** alpha * 1e6) as integers with prefix sums by (part, vid); isolated vertices are never drawn."""
     weights = g.vertices.where(f"{by} > 0").select("vid", "part", F.round(F.pow(by, F.lit(alpha)) * 1e6).cast("long").alias("qw"))
-    return prefix(weights, ["part"], ["vid"], "qw")
+    return block_prefix(weights, ["part"], F.expr(f"vid div {IDS_PER_BLOCK}"), ["vid"], "qw")
 
 
 def noise_parts(noise_rows: DataFrame) -> DataFrame:
@@ -85,10 +108,41 @@ def negatives(pairs: DataFrame, g: Graph, k: int = 1, alpha: float = 0.75, scope
     return out
 
 
+def alias_negatives(pairs: DataFrame, g: Graph, k: int = 1, alpha: float = 0.75, seed: int = 7) -> DataFrame:
+    """negatives() over all parts by alias tables: a draw picks its part, then a cell and one of the cell's two vertices.
+
+    Each part's table is built once, in the task that holds the part's vertices, and serves every draw aimed there in constant
+    time. Draws differ from those of prefix sums; the distribution is the same.
+    """
+    n = noise(g, alpha).select("part", "vid", "qw")
+    totals = n.groupBy("part").agg(F.sum("qw").alias("qw"))
+    parts = noise_parts(n).select("lo", "hi", F.col("part").alias("target"))
+    asked = pairs.select("batch", "part", "seq", "u", F.explode(F.sequence(F.lit(1), F.lit(k))).alias("j"))
+    asked = asked.withColumns({"d": draw(seed, NEGATIVE, "batch", "part", "seq", "j"), "cell": draw(seed, ALIAS, "batch", "part", "seq", "j", 0), "side": draw(seed, ALIAS, "batch", "part", "seq", "j", 1)})
+    aimed = pick(asked.crossJoin(F.broadcast(totals.agg(F.sum("qw").alias("total")))).withColumn("r", F.expr("d % total")), parts, [])  # one row
+
+    def run(vertices: pd.DataFrame, draws: pd.DataFrame) -> pd.DataFrame:
+        vertices = vertices.sort_values("vid")
+        threshold, other = alias_table(vertices["qw"].to_numpy())
+        cell = draws["cell"].to_numpy() % len(threshold)
+        at = np.where(draws["side"].to_numpy() / SPAN < threshold[cell], cell, other[cell])
+        return draws[["batch", "part", "seq", "j", "u"]].assign(v=vertices["vid"].to_numpy()[at], v_part=draws["target"].to_numpy())
+
+    kinds = {f.name: f.dataType.simpleString() for f in pairs.schema.fields}
+    schema = ", ".join(f"{c} {kinds.get(c, 'int')}" for c in ("batch", "part", "seq", "j", "u")) + f", v long, v_part {dict(n.dtypes)['part']}"
+    return n.groupBy("part").cogroup(aimed.select("batch", "part", "seq", "j", "u", "cell", "side", "target").groupBy("target")).applyInPandas(run, schema)
+
+
 def root_ranges(g: Graph) -> DataFrame:
-    """(part, u, v, v_part, lo, hi): edges whose first end a part owns, prefix sums of weight by (u, v)."""
-    edges = g.edges.select(F.col("src_part").alias("part"), F.col("src").alias("u"), F.col("dst").alias("v"), F.col("dst_part").alias("v_part"), "w")
-    return prefix(edges, ["part"], ["u", "v"], "w").drop("w")
+    """(part, u, v, v_part, lo, hi): edges whose first end a part owns, prefix sums of weight by (u, v).
+
+    The sums run over a part's vertices, in blocks of ids, and inside each vertex's list, in blocks of neighbours.
+    """
+    lists = neighbor_prefix(g)
+    heavy = g.edges.groupBy(F.col("src_part").alias("part"), F.col("src").alias("u")).agg(F.sum("w").alias("_w"))
+    starts = block_prefix(heavy, ["part"], F.expr(f"u div {IDS_PER_BLOCK}"), ["u"], "_w").select("u", F.col("lo").alias("_o"))
+    edges = lists.select(F.col("src_part").alias("part"), F.col("src").alias("u"), F.col("dst").alias("v"), F.col("dst_part").alias("v_part"), "lo", "hi")
+    return edges.join(starts, "u").select("part", "u", "v", "v_part", (F.col("lo") + F.col("_o")).alias("lo"), (F.col("hi") + F.col("_o")).alias("hi"))
 
 
 def roots(g: Graph, batches: int, rounds: int, seed: int = 7, backend: str = "xx", first_round: int = 0, ranges: DataFrame | None = None) -> DataFrame:
@@ -111,12 +165,8 @@ def neighbor_index(g: Graph, chunk: int = 4096, unit_weights: bool = False) -> D
     edges = g.edges.withColumn("w", F.lit(1).cast("long")) if unit_weights else g.edges
     size = edges.groupBy(F.col("src").alias("vid")).agg(F.count("*").alias("deg"), F.sum("w").alias("wdeg")).withColumn("chunks", F.ceil(F.col("deg") / chunk).cast("long"))
     size = store(size, "sizes")
-    e = edges.join(size.withColumnRenamed("vid", "src"), "src")
-    e = e.withColumn("_b", F.expr(f"dst div greatest(1, {max(g.n, 1)} * {chunk} div deg)"))
-    blocks = e.groupBy("src", "_b").agg(F.sum("w").alias("_t"))
-    offsets = blocks.withColumn("_o", F.sum("_t").over(Window.partitionBy("src").orderBy("_b").rowsBetween(Window.unboundedPreceding, 0)) - F.col("_t")).drop("_t")
-    run = prefix(e, ["src", "_b"], ["dst"], "w").join(offsets, ["src", "_b"])
-    run = run.withColumns({"lo": F.col("lo") + F.col("_o"), "hi": F.col("hi") + F.col("_o"), "_cw": F.ceil(F.col("wdeg") / F.col("chunks")).cast("long")})
+    run = neighbor_prefix(g, unit_weights, chunk).join(size.select(F.col("vid").alias("src"), "wdeg", "chunks"), "src")
+    run = run.withColumn("_cw", F.ceil(F.col("wdeg") / F.col("chunks")).cast("long"))
     far = size.select(F.col("vid").alias("dst"), F.col("wdeg").alias("dw"), F.col("chunks").alias("dc"))
     run = run.join(far, "dst").withColumn("chunk", F.explode(F.sequence(F.expr("lo div _cw"), F.expr("(hi - 1) div _cw"))))
     item = F.struct("hi", "dst", "dst_part", F.col("dw").alias("wdeg"), F.col("dc").alias("chunks"))

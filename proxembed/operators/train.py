@@ -5,13 +5,12 @@ State lies in one block per owner part (ids, U and C as float32 bytes). A batch
 X  adds the deltas of the batch before, applies the part's local pairs, and reads out the contexts that others need;
 Y  applies the deferred pairs with the contexts received (positives first, then negatives) and sums their changes.
 
-Who needs which context is known from the pairs, so requests cost no exchange. Between batches a step's rows are written
-bucketed by part: the state is read where it lies and messages alone move.
+Who needs which context is known from the pairs, so requests cost no exchange. A step's rows are written bucketed by part:
+the state is read where it lies, and only work and messages move (tested on the plans).
 """
 
 from __future__ import annotations
 
-import uuid
 from dataclasses import dataclass
 
 import numpy as np
@@ -23,10 +22,12 @@ from proxembed.functions.rng import INIT, SPAN, draw, draw_numpy
 from proxembed.functions.vectors import grad_scalar, pack, unpack, vec_dot, vec_sum
 from proxembed.operators.graph import Graph
 from proxembed.operators.kernels import run_exact, run_mini
-from proxembed.operators.pairs import serve_list
-from proxembed.operators.storage import store
+from proxembed.operators.pairs import serve_list, settle
+from proxembed.operators.partition import part_links
+from proxembed.operators.storage import Buckets, Versions, forget, store
 
 BLOCK_BYTES = 64 << 20
+MOST_QUERIES = 100_000
 STATE, CONTEXT, DELTA = 0, 1, 2
 ROWS = "part int, kind int, to_part int, vids binary, u binary, c binary"
 
@@ -50,7 +51,7 @@ class TrainConfig:
     def __post_init__(self) -> None:
         if self.dim < 1 or self.sync_every < 1 or self.lr <= 0 or self.onesided_slices < 1:
             raise ValueError("dim, sync_every and onesided_slices must be 1 or more, lr positive")
-        if self.kernel not in ("exact", "mini") or self.fetch not in ("after", "before") or self.exchange not in ("collective", "onesided_get", "onesided_atomic") or self.order not in (1, 2):
+        if self.kernel not in ("exact", "mini") or self.fetch not in ("after", "before") or self.exchange not in ("collective", "neighbors", "onesided_get", "onesided_atomic") or self.order not in (1, 2):
             raise ValueError("unknown kernel, fetch, exchange or order")
 
 
@@ -74,6 +75,20 @@ def init_blocks(g: Graph, c: TrainConfig) -> DataFrame:
     return g.vertices.select("part", "vid").groupBy("part").applyInPandas(run, ROWS)
 
 
+def extend_blocks(state: DataFrame, fresh: DataFrame, dim: int) -> DataFrame:
+    """State rows with the vertices of further ones: blocks of a part are joined and sorted by vertex."""
+
+    def run(x: pd.DataFrame) -> pd.DataFrame:
+        vids, u, c = (np.concatenate(y) for y in zip(*(_open(r, dim) for _, r in x.iterrows()), strict=True))
+        if len(vids) * dim * 4 > BLOCK_BYTES:
+            raise ValueError("a part exceeds its block: cut the graph into more parts")
+        order = np.argsort(vids)
+        part = int(x["part"].iloc[0])
+        return pd.DataFrame([(part, STATE, part, vids[order].astype("<i8").tobytes(), pack(u[order]), pack(c[order]))], columns=["part", "kind", "to_part", "vids", "u", "c"])
+
+    return state.where(F.col("kind") == STATE).unionByName(fresh).groupBy("part").applyInPandas(run, ROWS)
+
+
 def embedding(state: DataFrame, dim: int) -> DataFrame:
     """(vid, part, u, c) rows of arrays."""
 
@@ -85,23 +100,6 @@ def embedding(state: DataFrame, dim: int) -> DataFrame:
     return state.where(F.col("kind") == STATE).select("part", "vids", "u", "c").mapInPandas(run, "vid long, part int, u array<float>, c array<float>")
 
 
-class _Steps:
-    """Rows of a superstep, as tables bucketed by part."""
-
-    def __init__(self, spark: SparkSession, buckets: int):
-        self.spark, self.buckets, self.names = spark, buckets, []
-
-    def keep(self, df: DataFrame) -> DataFrame:
-        name = f"superstep_{uuid.uuid4().hex}"
-        df.write.format("parquet").bucketBy(self.buckets, "part").sortBy("part").saveAsTable(name)
-        self.names.append(name)
-        return self.spark.table(name)
-
-    def forget(self, keep_last: int = 0) -> None:
-        while len(self.names) > keep_last:
-            self.spark.sql(f"DROP TABLE IF EXISTS {self.names.pop(0)}")
-
-
 def _kernel(c: TrainConfig):
     if c.kernel == "exact":
         return lambda *a, frozen=None: run_exact(*a, c.lr, c.neg_weight, c.decay, frozen)
@@ -112,73 +110,96 @@ def _open(row: pd.Series, dim: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]
     return np.frombuffer(row["vids"], "<i8"), unpack(row["u"], dim), unpack(row["c"], dim)
 
 
-def _ordered(x: pd.DataFrame) -> pd.DataFrame:
-    """Sample order: each positive, then its negatives."""
-    return x.sort_values(["batch", "seq", "j"], kind="stable")
+def _ordered(x: pd.DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(u, v, sign) in sample order: each positive, then its negatives."""
+    x = x.sort_values(["batch", "seq", "j"], kind="stable")
+    return tuple(x[c].to_numpy().astype(np.int64) for c in ("u", "v", "sign"))
+
+
+#: What a part gets for a superstep beside its state: pairs, what it must serve, and messages of other parts.
+WORK = "kind int, part int, u long, v long, v_part int, to_part int, sign int, batch int, seq long, j int, vids binary, c binary"
+PAIR, SERVE, MESSAGE = 0, 1, 2
+_STATE_COLUMNS = ["part", "kind", "to_part", "vids", "u", "c"]
 
 
-def _local_step(c: TrainConfig, slices: int):
-    """X: (state + incoming deltas of a part) x (its pairs and what it must serve) -> state, context messages."""
+def _work(rows: DataFrame, kind: int, **columns) -> DataFrame:
+    """Rows in the shape of WORK; what isn't named is null."""
+    out = []
+    for field in WORK.split(", "):
+        name, type_ = field.split()
+        out.append((F.lit(kind) if name == "kind" else columns[name] if name in columns else F.lit(None)).cast(type_).alias(name))
+    return rows.select(out)
 
-    def run(key: tuple, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+
+def _pairs_of(rows: DataFrame) -> DataFrame:
+    return _work(rows, PAIR, **{c: F.col(c) for c in ("part", "u", "v", "v_part", "sign", "batch", "seq", "j")})
+
+
+def _messages_of(rows: DataFrame, kind: int) -> DataFrame:
+    """Messages for their receivers; the sender stands in v_part, to add them up in one order."""
+    return _work(rows.where(F.col("kind") == kind), MESSAGE, part=F.col("to_part"), v_part=F.col("part"), vids=F.col("vids"), c=F.col("c"))
+
+
+def _local_step(c: TrainConfig):
+    """X: state x (deltas that came, its pairs and what it must serve) -> state, context messages."""
+
+    def run(key: tuple, own: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         part = int(key[0])
-        own = left[left["kind"] == STATE]
         if not len(own):
-            return pd.DataFrame(columns=["part", "kind", "to_part", "vids", "u", "c"])
+            return pd.DataFrame(columns=_STATE_COLUMNS)
         vids, U, C = _open(own.iloc[0], c.dim)
-        for _, d in left[left["kind"] == DELTA].sort_values("part").iterrows():
+        for _, d in right[right["kind"] == MESSAGE].sort_values("v_part").iterrows():
             np.add.at(C, np.searchsorted(vids, np.frombuffer(d["vids"], "<i8")), unpack(d["c"], c.dim))
-        wanted = right[right["kind"] == 1]
+        wanted = right[right["kind"] == SERVE]
         before = C.copy() if c.fetch == "before" else None
-        local = right[(right["kind"] == 0) & (right["v_part"] == part)]
+        local = right[(right["kind"] == PAIR) & (right["v_part"] == part)]
         if len(local) and not c.defer_all:
-            local = _ordered(local)
-            _kernel(c)(U, C, np.searchsorted(vids, local["u"].to_numpy()), np.searchsorted(vids, local["v"].to_numpy()), local["sign"].to_numpy())
+            u, v, sign = _ordered(local)
+            _kernel(c)(U, C, np.searchsorted(vids, u), np.searchsorted(vids, v), sign)
             if c.order == 1:
                 C[:] = U
         shown = C if before is None else before
         out = [(part, STATE, part, own.iloc[0]["vids"], pack(U), pack(C))]
         for to, x in wanted.groupby("to_part"):
-            v = np.unique(x["v"].to_numpy())
+            v = np.unique(x["v"].to_numpy().astype(np.int64))
             out.append((part, CONTEXT, int(to), v.astype("<i8").tobytes(), b"", pack(shown[np.searchsorted(vids, v)])))
-        return pd.DataFrame(out, columns=["part", "kind", "to_part", "vids", "u", "c"])
+        return pd.DataFrame(out, columns=_STATE_COLUMNS)
 
     return run
 
 
 def _remote_step(c: TrainConfig):
-    """Y: (state and contexts for a part) x (its deferred pairs) -> state, delta messages to owners."""
+    """Y: state x (contexts that came, its deferred pairs) -> state, delta messages to owners."""
 
-    def run(key: tuple, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, own: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         part = int(key[0])
-        own = left[left["kind"] == STATE]
         if not len(own):
-            return pd.DataFrame(columns=["part", "kind", "to_part", "vids", "u", "c"])
+            return pd.DataFrame(columns=_STATE_COLUMNS)
         vids, U, C = _open(own.iloc[0], c.dim)
-        deferred = right if c.defer_all else right[right["v_part"] != part]
+        pairs = right[right["kind"] == PAIR]
+        deferred = pairs if c.defer_all else pairs[pairs["v_part"] != part]
         out = []
         if len(deferred):
-            came = left[left["kind"] == CONTEXT]
+            came = right[right["kind"] == MESSAGE]
             ghost = np.concatenate([np.frombuffer(x, "<i8") for x in came["vids"]] + [vids])
             Z = np.concatenate([unpack(x, c.dim) for x in came["c"]] + [C])
             order = np.argsort(ghost, kind="stable")
             ghost, Z = ghost[order], Z[order]
             change = np.zeros_like(Z)
             kernel = _kernel(c)
-            deferred = _ordered(deferred)
-            for sign in (1, -1):
-                x = deferred[deferred["sign"] == sign]
-                if len(x):
-                    kernel(U, Z, np.searchsorted(vids, x["u"].to_numpy()), np.searchsorted(ghost, x["v"].to_numpy()), x["sign"].to_numpy(), frozen=change)
+            for wanted in (1, -1):
+                u, v, sign = _ordered(deferred[deferred["sign"] == wanted])
+                if len(u):
+                    kernel(U, Z, np.searchsorted(vids, u), np.searchsorted(ghost, v), sign, frozen=change)
             where = deferred[["v", "v_part"]].drop_duplicates()
             for to, x in where.groupby("v_part"):
-                v = np.sort(x["v"].to_numpy())
+                v = np.sort(x["v"].to_numpy().astype(np.int64))
                 delta = change[np.searchsorted(ghost, v)]
                 if int(to) == part:
                     np.add.at(C, np.searchsorted(vids, v), delta)
                 else:
                     out.append((part, DELTA, int(to), v.astype("<i8").tobytes(), b"", pack(delta)))
-        return pd.DataFrame([(part, STATE, part, own.iloc[0]["vids"], pack(U), pack(C)), *out], columns=["part", "kind", "to_part", "vids", "u", "c"])
+        return pd.DataFrame([(part, STATE, part, own.iloc[0]["vids"], pack(U), pack(C)), *out], columns=_STATE_COLUMNS)
 
     return run
 
@@ -190,37 +211,63 @@ def signed(pairs: DataFrame, negatives: DataFrame) -> DataFrame:
     return pos.unionByName(negatives.select(columns).withColumn("sign", F.lit(-1)))
 
 
-def train(g: Graph, rows: DataFrame, c: TrainConfig, batches: int, buckets: int | None = None, state: DataFrame | None = None) -> DataFrame:
-    """Train on signed rows; returns state rows for embedding(). Pass `state` to resume.
+def _superstep(now: DataFrame, work: DataFrame, messages: int, run) -> DataFrame:
+    own = now.where(F.col("kind") == STATE)
+    return own.groupBy("part").cogroup(work.unionByName(_messages_of(now, messages)).groupBy("part")).applyInPandas(run, ROWS)
+
+
+def only_neighbors(g: Graph, rows: DataFrame) -> None:
+    """Raise unless every pair stays in its part or goes to one that shares edges with it."""
+    far = rows.where("v_part <> part").select("part", F.col("v_part").alias("other")).distinct()
+    lost = far.join(part_links(g).select("part", "other"), ["part", "other"], "left_anti").first()
+    if lost is not None:
+        raise ValueError(f"part {lost['part']} shares no edge with part {lost['other']}: draw negatives of scope local or adjacent")
+
+
+def train(g: Graph, rows: DataFrame, c: TrainConfig, batches: int, buckets: int | None = None, state: DataFrame | None = None, versions: Versions | None = None, every: int = 1) -> DataFrame:
+    """Train on signed rows; returns state rows for embedding(). Pass `state` to go on from an earlier result.
 
     `sync_every` s takes s batches to a superstep pair (contexts and deltas are exchanged once for them). One-sided
-    exchanges cut a batch into slices that each fetch fresh contexts (`onesided_get`: all parts read the slice's start;
-    `onesided_atomic`: slices of parts take turns, so a fetch sees all earlier deltas).
+    exchanges cut a batch into slices that each fetch fresh contexts: `onesided_get` lets all parts read the start of each of
+    `onesided_slices` slices, `onesided_atomic` lets one part after the other fetch and add, so each sees all earlier deltas.
+    `neighbors` exchanges between parts that share edges only; pairs that go elsewhere are an error.
+
+    With `versions`, the state is written there after every `every` superstep pairs and the call goes on from the last whole
+    version, if there is one: a driver that was lost is started again with the same arguments.
     """
     spark = g.edges.sparkSession
-    steps = _Steps(spark, buckets or min(g.parts, spark.sparkContext.defaultParallelism))
-    rows = store(rows, "signed")
-    slices = c.onesided_slices if c.exchange != "collective" else 1
+    steps = Buckets(spark, buckets or min(g.parts, spark.sparkContext.defaultParallelism))
+    if c.exchange == "neighbors":
+        only_neighbors(g, rows)
+    # A folder a batch: a superstep reads its own rows alone.
+    rows = store(settle(rows), "signed", by=["batch"])
+    slices = {"onesided_get": c.onesided_slices, "onesided_atomic": g.parts}.get(c.exchange, 1)
+    begun, saved = 0, versions.read("state") if versions else None
+    if saved is not None:
+        begun, (state,) = saved
     now = steps.keep(init_blocks(g, c) if state is None else state)
-    for first in range(0, batches, c.sync_every):
+
+    def superstep(now: DataFrame, work: DataFrame, messages: int, run) -> DataFrame:
+        return steps.keep(_superstep(now, work, messages, run))
+
+    for pair, first in enumerate(range(0, batches, c.sync_every)):
+        if first < begun:
+            continue
         for k in range(slices):
             mine = rows.where((F.col("batch") >= first) & (F.col("batch") < first + c.sync_every))
             if slices > 1:
-                turn = F.pmod(F.col("seq") if c.exchange == "onesided_get" else F.col("part"), F.lit(slices))
+                turn = F.pmod(F.col("seq"), F.lit(slices)) if c.exchange == "onesided_get" else F.col("part")
                 mine = mine.where(turn == k)
-            # Resident rows keep their bucket (to_part = part), messages move to their receiver: one exchange.
-            serve = serve_list(mine).select(F.lit(1).alias("kind"), F.col("part").cast("int").alias("part"), F.col("v").alias("u"), "v", F.lit(0).alias("v_part"), "to_part", F.lit(0).alias("sign"), F.lit(0).alias("batch"), F.lit(0).cast("long").alias("seq"), F.lit(0).alias("j"))
-            work = mine.select(F.lit(0).alias("kind"), F.col("part").cast("int").alias("part"), "u", "v", "v_part", F.lit(0).alias("to_part"), "sign", "batch", "seq", "j").unionByName(serve.withColumn("to_part", F.col("to_part").cast("int")))
-            here = now.where(F.col("kind").isin(STATE, DELTA))
-            now = steps.keep(here.groupBy("to_part").cogroup(work.groupBy("part")).applyInPandas(_local_step(c, slices), ROWS))
-            deferred = mine if c.defer_all else mine.where("v_part <> part")
-            deferred = deferred.select(F.col("part").cast("int").alias("part"), "u", "v", "v_part", "sign", "batch", "seq", "j")
-            here = now.where(F.col("kind").isin(STATE, CONTEXT))
-            now = steps.keep(here.groupBy("to_part").cogroup(deferred.groupBy("part")).applyInPandas(_remote_step(c), ROWS))
+            # The state is read in its buckets; work and messages are dealt to their part, in one exchange.
+            serve = _work(serve_list(mine), SERVE, part=F.col("part"), v=F.col("v"), to_part=F.col("to_part"))
+            now = superstep(now, _pairs_of(mine).unionByName(serve), DELTA, _local_step(c))
+            now = superstep(now, _pairs_of(mine if c.defer_all else mine.where("v_part <> part")), CONTEXT, _remote_step(c))
             steps.forget(2)
-    none = rows.limit(0).select(F.lit(0).alias("kind"), F.col("part").cast("int").alias("part"), "u", "v", "v_part", F.lit(0).alias("to_part"), "sign", "batch", "seq", "j")
-    done = store(now.where(F.col("kind").isin(STATE, DELTA)).groupBy("to_part").cogroup(none.groupBy("part")).applyInPandas(_local_step(c, 1), ROWS), "state")
+        if versions is not None and (pair + 1) % every == 0:
+            versions.write(first + c.sync_every, state=now)
+    done = store(_superstep(now, _pairs_of(rows.limit(0)), DELTA, _local_step(c)), "state")
     steps.forget()
+    forget(rows)
     return done
 
 
@@ -264,12 +311,14 @@ def loss(vectors: DataFrame, rows: DataFrame) -> DataFrame:
 
 
 def nearest(vectors: DataFrame, queries: DataFrame, k: int) -> DataFrame:
-    """(q, rank, vid, score): k largest cosines for each row of a stated, broadcast-checked query set."""
+    """(q, rank, vid, score): k largest cosines for each row of a stated query set of at most MOST_QUERIES rows, against all vectors."""
     from pyspark.sql import Window
 
+    if queries.limit(MOST_QUERIES + 1).count() > MOST_QUERIES:
+        raise ValueError(f"nearest takes at most {MOST_QUERIES} queries: every one of them meets every vector")
     unit = lambda c: F.transform(c, lambda x: x / F.sqrt(F.aggregate(c, F.lit(0.0), lambda s, y: s + y * y)))
     base = vectors.select("vid", unit(F.col("u").cast("array<double>")).alias("x"))
     asked = queries.select(F.col("vid").alias("q"), unit(F.col("u").cast("array<double>")).alias("y"))
-    scored = base.join(asked, F.col("vid") != F.col("q")).withColumn("score", F.round(vec_dot(F.col("x"), F.col("y")), 6))
+    scored = base.join(F.broadcast(asked), F.col("vid") != F.col("q"))  # MOST_QUERIES rows at most.withColumn("score", F.round(vec_dot(F.col("x"), F.col("y")), 6))
     w = Window.partitionBy("q").orderBy(F.desc("score"), "vid")
     return scored.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("q", "rank", "vid", "score")

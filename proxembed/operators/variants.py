@@ -65,7 +65,7 @@ class SampleConfig:
     rounds: int = 4
     max_rounds: int = MOST_ROUNDS  # calls of a batch (shared kinds: of all batches) after which a rule unmet is an error
     max_levels: int = 2000  # steps of the long walk's first stretch; it doubles until every part is full
-    keep_boundary: bool = False
+    budget: int | None = None  # visits of all walkers of a call, after which the call ends at that step
     index_chunk: int = 4096
     extra: dict = field(default_factory=dict)
 
@@ -76,6 +76,8 @@ class SampleConfig:
             raise ValueError("unknown engine, back end or unit")
         if self.window < (2 if self.unit == "nodes" else 1):
             raise ValueError("a window of one vertex holds no pair")
+        if self.budget is not None and self.budget < 2:
+            raise ValueError("a budget is two visits or more: a root edge has two ends")
         if self.max_levels < 1 or not 1 <= self.max_rounds <= MOST_ROUNDS:
             raise ValueError(f"max_levels must be 1 or more and max_rounds from 1 to {MOST_ROUNDS}")
 
@@ -100,8 +102,22 @@ def aug_target(batch_size: int, batches: int) -> int:
 
 def _steps(g: Graph, r: DataFrame, c: SampleConfig, stop: str, length: int | None = None) -> DataFrame:
     if c.engine == "block":
-        return walk_block(g, r, length or c.length, stop, c.seed, c.backend)
-    return walk_join(neighbor_index(g, c.index_chunk), r, length or c.length, stop, seed=c.seed, backend=c.backend)
+        steps = walk_block(g, r, length or c.length, stop, c.seed, c.backend)
+    else:
+        steps = walk_join(neighbor_index(g, c.index_chunk), r, length or c.length, stop, seed=c.seed, backend=c.backend)
+    return steps if c.budget is None else within_budget(steps, g.parts, c.budget)
+
+
+def within_budget(steps: DataFrame, parts: int, budget: int) -> DataFrame:
+    """Steps of calls (a walk of each part) that end at the step where the visits of all its walkers reach `budget`.
+
+    A root edge visits two vertices, every further step one; what the last step visits beyond the budget is kept.
+    """
+    call = F.expr(f"walk_id div {parts}")
+    visits = steps.groupBy(call.alias("_call"), "step").agg(F.sum(F.when(F.col("step") == 0, 2).otherwise(1)).alias("_n"))
+    before = F.sum("_n").over(Window.partitionBy("_call").orderBy("step").rowsBetween(Window.unboundedPreceding, 0)) - F.col("_n")  # a row for each step of a call
+    open_ = visits.withColumn("_before", before).where(F.col("_before") < budget).select("_call", "step")
+    return steps.withColumn("_call", call).join(open_, ["_call", "step"]).select(steps.columns)
 
 
 def _calls(g: Graph, c: SampleConfig, batches: int, rounds: int, stop: str, ranges: DataFrame) -> tuple[DataFrame, DataFrame, int]:

@@ -14,8 +14,8 @@ from pyspark.sql import functions as F
 
 from proxembed.functions.rng import STEP, draw, draw_numpy
 from proxembed.operators.graph import Graph
-from proxembed.operators.sampling import prefix
-from proxembed.operators.storage import store
+from proxembed.operators.sampling import neighbor_prefix, prefix
+from proxembed.operators.storage import Buckets, store
 
 STEPS = "walk_id long, part0 int, step int, src long, dst long, src_part int, dst_part int"
 
@@ -88,14 +88,17 @@ def _walk_part(edges: pd.DataFrame, walkers: pd.DataFrame, length: int, stop: st
 
 def walk_block(g: Graph, roots: DataFrame, length: int = 100, stop: str = "length", seed: int = 7, backend: str = "xx", unit_weights: bool = False) -> DataFrame:
     """The steps of walk_join, from as many supersteps as the most crossed walk has crossings. A part's edges fit a task."""
-    edges = g.edges.withColumn("w", F.lit(1).cast("long")) if unit_weights else g.edges
-    ranges = prefix(edges, ["src"], ["dst"], "w").select(F.col("src_part").alias("part"), "src", "hi", "dst", F.col("dst_part").cast("long").alias("dst_part"))
-    held = store(ranges.repartition("part"), "adjacency")
+    spark = g.edges.sparkSession
+    ranges = neighbor_prefix(g, unit_weights).select(F.col("src_part").alias("part"), "src", "hi", "dst", F.col("dst_part").cast("long").alias("dst_part"))
+    # Edges lie in buckets of their part for all supersteps: only the walkers that left are exchanged.
+    tables = Buckets(spark, max(1, min(g.parts, int(spark.conf.get("spark.sql.shuffle.partitions")))))
+    held = tables.keep(ranges, "adjacency")
     first = _first_steps(roots)
     if stop == "boundary":
         first = first.where("dst_part = src_part")
     levels = [store(first, "steps")]
     if length < 2:
+        tables.forget()
         return levels[0]
     front = levels[0].select("walk_id", "part0", F.lit(1).alias("step"), F.col("dst").alias("at"), F.col("dst_part").alias("part"))
 
@@ -108,6 +111,7 @@ def walk_block(g: Graph, roots: DataFrame, length: int = 100, stop: str = "lengt
         front = took.where((F.col("dst_part") != F.col("src_part")) & (F.col("step") + 1 < length)).select("walk_id", "part0", (F.col("step") + 1).alias("step"), F.col("dst").alias("at"), F.col("dst_part").alias("part"))
         if stop == "boundary" or front.isEmpty():
             break
+    tables.forget()
     out = levels[0]
     for x in levels[1:]:
         out = out.unionByName(x)
@@ -126,7 +130,7 @@ class LongWalk:
         blocks = max(1, -(-g.edges.count() // block_edges))
         block = lambda c: F.lit(0) if blocks == 1 else F.expr(f"cast({c} * {blocks} div {max(1, g.n)} as int)")
         self.block = block
-        ranges = prefix(g.edges, ["src"], ["dst"], "w").select(block("src").alias("part"), "src", "hi", "dst", block("dst").cast("long").alias("dst_part"))
+        ranges = neighbor_prefix(g).select(block("src").alias("part"), "src", "hi", "dst", block("dst").cast("long").alias("dst_part"))
         self.held = store(ranges.repartition("part"), "adjacency")
         self.owner = g.vertices.select("vid", "part")
         self.levels = [store(_first_steps(root), "steps")]
