@@ -1,17 +1,19 @@
-"""The experiments, re-expressed on the given tables. `python -m proxembed.plans.workloads NAME SF_DIR` prints one.
+"""The experiments, re-expressed on the given tables. `python -m proxembed.plans.workloads NAME SF_DIR [FILE]` prints one.
 
-Every experiment is a loop over configurations on the driver; each configuration is one `measured` run whose rows come back
-as a DataFrame. Calls, handed-over steps and exchanged contexts don't depend on the machine; seconds do, and only their
-ratios compare.
+Every experiment yields a row for each configuration, one after another: a driver loop over `measured` and `baseline` runs. With
+FILE, each row is appended there as a line of JSON once it is known. Calls, handed-over steps and exchanged contexts don't
+depend on the machine; seconds do, and only their ratios compare.
 """
 
 from __future__ import annotations
 
+import json
 import sys
-from collections.abc import Callable
+from collections.abc import Callable, Iterable, Iterator
 from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from proxembed.operators import baselines, evaluate, measure, partition
 from proxembed.operators.graph import Graph
@@ -19,31 +21,34 @@ from proxembed.operators.sampling import negatives
 from proxembed.operators.storage import store
 from proxembed.operators.train import TrainConfig, embedding, signed, train
 from proxembed.operators.variants import GRID, SampleConfig, Variant, sample
+from proxembed.plans.exact import graph
 from proxembed.sources import builders
 
 RESULT = "method string, graph string, parts int, setting string, sampling_s double, training_s double, calls long, handed long, contexts long, least long, most long, zero_parts long, false_share double, remote_share double, micro double, macro double"
 FIELDS = [c.split()[0] for c in RESULT.split(", ")]
-S = SampleConfig(batch_size=512, batches=4, length=40, rounds=8, max_levels=60)
-T = TrainConfig(dim=16, lr=0.1, mini_size=64, sync_every=4)
-EXPERIMENTS: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+S = SampleConfig(batch_size=256, batches=4, length=10, rounds=64)
+T = TrainConfig(dim=16, lr=0.1)
+Rows = Iterator[dict]
+EXPERIMENTS: dict[str, Callable[[SparkSession, str], Rows]] = {}
 
 
-def experiment(f: Callable[[SparkSession, str], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
+def experiment(f: Callable[[SparkSession, str], Rows]) -> Callable[[SparkSession, str], Rows]:
     EXPERIMENTS[f.__name__] = f
     return f
 
 
-def rows(spark: SparkSession, found: list[dict]) -> DataFrame:
+def frame(spark: SparkSession, found: Iterable[dict]) -> DataFrame:
+    """Rows of an experiment as RESULT."""
     return spark.createDataFrame([tuple(r.get(k) for k in FIELDS) for r in found], RESULT)
 
 
 def embed(g: Graph, variant: Variant, s: SampleConfig = S, t: TrainConfig = T, k: int = 1, epochs: int = 1, scope: str = "global") -> tuple[DataFrame, dict]:
     """Sample, draw negatives, train: (vid, part, u, c), and what the run cost."""
     took: dict[str, float] = {}
-    with measure.timed(took, "sampling"):
+    with measure.timed(took, "sampling", g.edges.sparkSession):
         drawn = sample(g, variant, s)
         signs = store(signed(drawn.pairs, negatives(drawn.pairs, g, k, seed=s.seed, scope=scope)), "signed")
-    with measure.timed(took, "training"):
+    with measure.timed(took, "training", g.edges.sparkSession):
         state = None
         for _ in range(epochs):
             state = train(g, signs, t, s.batches, state=state)
@@ -68,173 +73,201 @@ def measured(g: Graph, labels: DataFrame | None, variant: Variant, name: str, s:
     return cost | {"graph": name, "setting": setting} | quality(vectors, labels)
 
 
-def baseline(g: Graph, labels: DataFrame | None, method: str, name: str, t: TrainConfig = T, samples: int = 4 * 512 * 4, setting: str = "") -> dict:
+def baseline(g: Graph, labels: DataFrame | None, method: str, name: str, t: TrainConfig = T, samples: int = 4 * 256 * 4, setting: str = "", buckets: int = 2) -> dict:
+    """A single-owner method, or the edge buckets, on about as many positives as the variants get."""
     took: dict[str, float] = {}
-    walks = max(1, samples // 40)
-    fits = {"edge_sgd": lambda: baselines.fit_edge_sgd(g, t, samples), "biased_walk": lambda: baselines.fit_biased_walk(g, t, walks, 8, 3), "uniform_walk": lambda: baselines.fit_uniform_walk(g, t, walks, 40, 2),
-            "pooled": lambda: baselines.fit_pooled(g, t, walks, 40, 2), "bucketed": lambda: baselines.fit_bucketed(g, t, samples, max(2, g.parts // 2))}
+    fits = {"edge_sgd": lambda: baselines.fit_edge_sgd(g, t, samples), "biased_walk": lambda: baselines.fit_biased_walk(g, t, max(1, samples // 18), 8, 3), "uniform_walk": lambda: baselines.fit_uniform_walk(g, t, max(1, samples // 19), 10, 2),
+            "pooled": lambda: baselines.fit_pooled(g, t, max(1, samples // 10), 10, 2), "bucketed": lambda: baselines.fit_bucketed(g, t, samples, buckets), "untrained": lambda: baselines.initial(g, t)}
     with measure.timed(took, "all"):
         vectors = store(fits[method](), "embedding")
-    return {"method": method, "graph": name, "parts": 1, "setting": setting, "training_s": took["all"]} | quality(vectors, labels)
+    return {"method": method, "graph": name, "parts": buckets if method == "bucketed" else 1, "setting": setting, "training_s": took["all"]} | quality(vectors, labels)
 
 
 def load(spark: SparkSession, d: str, name: str, parts: int = 4) -> tuple[Graph, DataFrame | None]:
     """A graph and its labels. Parts are by hash: keys of a kind are consecutive ids, and two-sided graphs cut by ranges have no inner edges."""
-    g = partition.stored(partition.cut_by_hash(builders.graph(spark, d, name), parts))
-    try:
-        return g, store(builders.labelled(g, builders.labels(spark, d, name)), "labels")
-    except ValueError:
+    labelled = {"doc_quality": ("doc_term", "doc_quality")}.get(name, (name, name))
+    g = partition.stored(partition.cut_by_hash(graph(spark, d, labelled[0]), parts))
+    if labelled[1] not in LABELLED:
         return g, None
+    return g, store(builders.labelled(g, builders.labels(spark, d, labelled[1])), "labels")
 
 
-LOCAL, PAIR = Variant("any", "local"), Variant("all", "pair")
+LABELLED = ("geography", "doc_term", "near_doc", "doc_quality", "vector_knn", "copurchase")
+LOCAL, PAIR, FRESH, REUSE, REFRESH = Variant("any", "local"), Variant("all", "pair"), Variant("all", "fresh"), Variant("all", "reuse"), Variant("any", "refresh")
 
 
 @experiment
-def x01_single_node(spark: SparkSession, d: str) -> DataFrame:
-    """End to end against single-owner baselines."""
-    found = []
-    for name in ("doc_term", "copurchase"):
+def x01_single_node(spark: SparkSession, d: str) -> Rows:
+    """End to end against single-owner baselines on as many positives."""
+    for name in ("doc_term", "copurchase", "customer_part"):
         g, _ = load(spark, d, name)
-        found += [measured(g, None, v, name) for v in (LOCAL, PAIR)] + [baseline(g, None, m, name) for m in ("edge_sgd", "biased_walk")]
-    return rows(spark, found)
+        for v in (LOCAL, PAIR):
+            yield measured(g, None, v, name)
+        for m in ("edge_sgd", "biased_walk"):
+            yield baseline(g, None, m, name)
 
 
 @experiment
-def x02_edge_buckets(spark: SparkSession, d: str) -> DataFrame:
-    """Against the edge-bucket baseline, recommended and many buckets."""
-    g, _ = load(spark, d, "customer_part")
-    many = Graph(g.vertices, g.edges, g.n, 16)
-    return rows(spark, [measured(g, None, v, "customer_part") for v in (LOCAL, PAIR)] + [baseline(g, None, "bucketed", "customer_part", setting="2 buckets"), baseline(many, None, "bucketed", "customer_part", setting="8 buckets")])
+def x02_edge_buckets(spark: SparkSession, d: str) -> Rows:
+    """Against the edge-bucket baseline: twice as many buckets as workers, and many."""
+    for name in ("customer_part", "doc_term"):
+        g, _ = load(spark, d, name)
+        for v in (LOCAL, PAIR):
+            yield measured(g, None, v, name)
+        for buckets in (2 * g.parts, 8 * g.parts):
+            yield baseline(g, None, "bucketed", name, setting=f"{buckets} buckets", buckets=buckets)
 
 
 @experiment
-def x03_quality(spark: SparkSession, d: str) -> DataFrame:
+def x03_quality(spark: SparkSession, d: str) -> Rows:
     """Micro- and Macro-F1 of methods, with structure and without (the control graphs stay at chance)."""
-    found = []
-    for name in ("doc_term", "geography", "copurchase", "vector_knn"):
+    for name, size, epochs in (("geography", 1024, 8), ("doc_term", 8192, 4), ("doc_quality", 8192, 4), ("copurchase", 2048, 4), ("vector_knn", 1024, 4)):
         g, y = load(spark, d, name)
-        big = replace(S, batch_size=4096)
-        found += [measured(g, y, v, name, big, epochs=3) for v in (LOCAL, PAIR, Variant("all", "fresh"))] + [baseline(g, y, m, name, samples=4 * 4096 * 4 * 3) for m in ("edge_sgd", "uniform_walk", "pooled")]
-    return rows(spark, found)
+        big = replace(S, batch_size=size, rounds=size // 8)
+        for m in ("untrained", "edge_sgd", "biased_walk", "uniform_walk", "pooled"):
+            yield baseline(g, y, m, name, samples=4 * size * 4 * epochs)
+        for v in (LOCAL, PAIR, FRESH):
+            yield measured(g, y, v, name, big, epochs=epochs)
 
 
 @experiment
-def x04_parts(spark: SparkSession, d: str) -> DataFrame:
-    """Quality against the number of parts."""
-    found = []
-    for p in (1, 4, 16, 64):
-        g, y = load(spark, d, "doc_term", p)
-        found += [measured(g, y, v, "doc_term", replace(S, batch_size=max(16, 16384 // p)), epochs=2) for v in (LOCAL, PAIR)]
-    return rows(spark, found)
+def x04_parts(spark: SparkSession, d: str) -> Rows:
+    """Quality against the number of parts, the same number of positives in all."""
+    for p in (1, 2, 4, 8, 16, 32):
+        g, y = load(spark, d, "geography", p)
+        size = max(16, 8192 // p)
+        for v in (LOCAL, PAIR, FRESH):
+            yield measured(g, y, v, "geography", replace(S, batch_size=size, rounds=max(8, size // 4)), epochs=4)
 
 
 @experiment
-def x05_epochs(spark: SparkSession, d: str) -> DataFrame:
-    g, y = load(spark, d, "doc_term")
-    return rows(spark, [measured(g, y, LOCAL, "doc_term", replace(S, batch_size=2048), epochs=e, setting=f"{e} epochs") for e in (1, 4, 10)])
+def x05_epochs(spark: SparkSession, d: str) -> Rows:
+    """More epochs lift sparse labels."""
+    g, y = load(spark, d, "geography")
+    for epochs in (1, 10, 100):
+        yield measured(g, y, FRESH, "geography", replace(S, batch_size=512, batches=1, rounds=128), epochs=epochs, setting=f"{epochs} epochs")
 
 
 @experiment
-def x06_ablation(spark: SparkSession, d: str) -> DataFrame:
+def x06_ablation(spark: SparkSession, d: str) -> Rows:
     """All ten legal configurations."""
     g, _ = load(spark, d, "copurchase")
-    return rows(spark, [measured(g, None, v, "copurchase") for v in GRID])
+    for v in GRID:
+        yield measured(g, None, v, "copurchase")
 
 
 @experiment
-def x07_scaling(spark: SparkSession, d: str) -> DataFrame:
-    """Walk calls and exchanged rows against parts, under both rules."""
-    found = []
-    for name in ("copurchase", "part_supplier"):
+def x07_scaling(spark: SparkSession, d: str) -> Rows:
+    """Walk calls and exchanged rows against parts, under both rules, on all graphs."""
+    for name in builders.BUILDERS:
         for p in (2, 8, 32):
             g, _ = load(spark, d, name, p)
-            found += [measured(g, None, v, name) for v in (LOCAL, Variant("all", "local"), Variant("all", "fresh"), Variant("all", "reuse"), PAIR)]
-    return rows(spark, found)
+            for v in (LOCAL, Variant("any", "fresh"), FRESH, Variant("any", "reuse"), REUSE, PAIR):
+                yield measured(g, None, v, name, replace(S, batch_size=64, batches=2, rounds=16))
 
 
 @experiment
-def x08_positives(spark: SparkSession, d: str) -> DataFrame:
+def x08_positives(spark: SparkSession, d: str) -> Rows:
     """Positives by part: `any` leaves parts short, `all` doesn't."""
-    found = []
-    for p in (4, 16):
-        g, _ = load(spark, d, "copurchase", p)
-        found += [measured(g, None, Variant(rule, kind), "copurchase") for rule in ("any", "all") for kind in ("local", "reuse")]
-    return rows(spark, found)
+    for name in ("copurchase", "part_supplier", "doc_term"):
+        for p in (4, 16):
+            g, _ = load(spark, d, name, p)
+            for v in (Variant(rule, kind) for rule in ("any", "all") for kind in ("local", "reuse")):
+                yield measured(g, None, v, name, replace(S, batch_size=64, batches=2, rounds=32))
 
 
 @experiment
-def x09_time_split(spark: SparkSession, d: str) -> DataFrame:
+def x09_time_split(spark: SparkSession, d: str) -> Rows:
     """Sampling and training seconds, Local against Augmented-Pair."""
-    found = []
-    for name in ("copurchase", "customer_part"):
+    for name in ("copurchase", "customer_part", "part_supplier", "doc_term", "geography", "user_key"):
         for p in (2, 8, 32):
             g, _ = load(spark, d, name, p)
-            found += [measured(g, None, v, name) for v in (LOCAL, PAIR)]
-    return rows(spark, found)
+            for v in (LOCAL, PAIR):
+                yield measured(g, None, v, name, replace(S, batch_size=64, batches=2, rounds=16))
 
 
 @experiment
-def x10_communication(spark: SparkSession, d: str) -> DataFrame:
-    found = []
-    for p in (4, 16):
-        g, _ = load(spark, d, "copurchase", p)
-        found += [measured(g, None, v, "copurchase") for v in (LOCAL, Variant("any", "refresh"))]
-    return rows(spark, found)
+def x10_communication(spark: SparkSession, d: str) -> Rows:
+    """Where task time goes, and how unevenly, from the tasks of each run: a row for each phase and routine."""
+    g, _ = load(spark, d, "doc_term", 8)
+    for v in (LOCAL, REFRESH):
+        before = measure.last_stage(spark)
+        row = measured(g, None, v, "doc_term")
+        yield row
+        tasks = store(measure.task_profile(spark, before).where(F.col("phase").isin("sampling", "training")), "tasks")
+        for r in measure.routine_profile(tasks).orderBy("phase", F.desc("seconds")).collect():
+            yield {"method": str(v), "graph": "doc_term", "parts": 8, "setting": f"{r['phase']}, {r['routine']}: {r['share_percent']} % of task time, imbalance {r['imbalance_percent']} %", "training_s": r["seconds"]}
+        for r in measure.traffic(tasks).collect():
+            yield {"method": str(v), "graph": "doc_term", "parts": 8, "setting": f"{r['phase']}: {r['exchanged_rows']} rows, {r['exchanged_bytes']} bytes exchanged"}
+        for r in measure.process_memory(spark).collect():
+            yield {"method": str(v), "graph": "doc_term", "parts": 8, "setting": f"{r['executor']}: peak heap {r['peak_heap']}, execution {r['peak_execution']} bytes"}
 
 
 @experiment
-def x11_arrow_batches(spark: SparkSession, d: str) -> DataFrame:
+def x11_arrow_batches(spark: SparkSession, d: str) -> Rows:
     """Stand-in for the memory-page study, which has no counterpart here: rows of an Arrow batch."""
     g, _ = load(spark, d, "copurchase")
-    found, before = [], spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
     try:
         for n in (1_000, 10_000, 100_000):
             spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(n))
-            found.append(measured(g, None, PAIR, "copurchase", setting=f"{n} rows"))
+            yield measured(g, None, PAIR, "copurchase", setting=f"{n} rows")
     finally:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", before)
-    return rows(spark, found)
 
 
 @experiment
-def x12_one_sided(spark: SparkSession, d: str) -> DataFrame:
-    g, y = load(spark, d, "doc_term")
-    return rows(spark, [measured(g, y, PAIR, "doc_term", replace(S, batch_size=4096), replace(T, exchange=e), setting=e) for e in ("collective", "onesided_get", "onesided_atomic")])
+def x12_one_sided(spark: SparkSession, d: str) -> Rows:
+    g, y = load(spark, d, "geography")
+    for v in (PAIR, REFRESH):
+        for e in ("collective", "onesided_get", "onesided_atomic"):
+            yield measured(g, y, v, "geography", replace(S, batch_size=1024, rounds=128), replace(T, exchange=e), setting=e, epochs=2)
 
 
 @experiment
-def x13_adjacent_negatives(spark: SparkSession, d: str) -> DataFrame:
-    g, y = load(spark, d, "doc_term", 16)
-    return rows(spark, [measured(g, y, PAIR, "doc_term", replace(S, batch_size=2048), setting=scope, scope=scope) for scope in ("global", "adjacent", "local")])
+def x13_adjacent_negatives(spark: SparkSession, d: str) -> Rows:
+    """Scopes of negatives; the exchange between neighbours alone where scopes allow it."""
+    g, y = load(spark, d, "geography", 8)
+    big = replace(S, batch_size=1024, rounds=128)
+    for scope in ("global", "adjacent", "local"):
+        yield measured(g, y, FRESH, "geography", big, setting=scope, scope=scope, epochs=2)
+    yield measured(g, y, FRESH, "geography", big, replace(T, exchange="neighbors"), setting="adjacent, neighbours only", scope="adjacent", epochs=2)
 
 
 @experiment
-def x14_sync(spark: SparkSession, d: str) -> DataFrame:
-    g, y = load(spark, d, "doc_term")
-    return rows(spark, [measured(g, y, PAIR, "doc_term", replace(S, batch_size=2048, batches=8), replace(T, sync_every=s), setting=f"every {s}") for s in (1, 4, 8)])
+def x14_sync(spark: SparkSession, d: str) -> Rows:
+    g, y = load(spark, d, "geography")
+    for s in (1, 4, 16):
+        yield measured(g, y, FRESH, "geography", replace(S, batch_size=256, batches=16, rounds=64), replace(T, sync_every=s), setting=f"every {s}")
 
 
 @experiment
-def x15_batch_size(spark: SparkSession, d: str) -> DataFrame:
+def x15_batch_size(spark: SparkSession, d: str) -> Rows:
     g, _ = load(spark, d, "copurchase")
-    return rows(spark, [measured(g, None, Variant("all", "fresh"), "copurchase", replace(S, batch_size=b), setting=f"B={b}") for b in (100, 1_000, 10_000)])
+    for b in (100, 1_000, 10_000):
+        yield measured(g, None, FRESH, "copurchase", replace(S, batch_size=b, batches=1, rounds=max(16, b // 4)), setting=f"B={b}")
 
 
 @experiment
-def x16_cuts(spark: SparkSession, d: str) -> DataFrame:
-    raw = builders.graph(spark, d, "part_supplier")
+def x16_cuts(spark: SparkSession, d: str) -> Rows:
+    raw = graph(spark, d, "part_supplier")
     by_edges, balanced = partition.cut_by_edges(raw, 8)
-    cuts = {"vertex": partition.cut_by_vertex(raw, 8), f"edges, balanced {balanced}": by_edges, "hash": partition.cut_by_hash(raw, 8)}
-    return rows(spark, [measured(partition.stored(g), None, Variant("all", "fresh"), "part_supplier", setting=name) for name, g in cuts.items()])
+    for name, g in {"vertex": partition.cut_by_vertex(raw, 8), f"edges, balanced {balanced}": by_edges, "hash": partition.cut_by_hash(raw, 8)}.items():
+        yield measured(partition.stored(g), None, FRESH, "part_supplier", replace(S, batch_size=64, batches=2, rounds=16), setting=name)
 
 
-def main(name: str, sf_dir: str) -> None:
+def main(names: str, sf_dir: str, file: str | None = None) -> None:
     from proxembed.plans.session import session
 
     spark = session("local[*]")
-    EXPERIMENTS[name](spark, sf_dir).show(200, truncate=False)
+    for name in names.split(","):
+        for row in EXPERIMENTS[name](spark, sf_dir):
+            line = json.dumps({"experiment": name, "sf": sf_dir.rstrip("/").rsplit("/", 1)[-1]} | {k: round(v, 4) if isinstance(v, float) else v for k, v in row.items() if v not in (None, "")})
+            print(line, flush=True)
+            if file:
+                with open(file, "a") as out:
+                    out.write(line + "\n")
 
 
 if __name__ == "__main__":
-    main(sys.argv[1], sys.argv[2])
+    main(*sys.argv[1:])
