@@ -39,7 +39,7 @@ def neighbor_prefix(g: Graph, unit_weights: bool = False, chunk: int = 4096) ->
     """Edges with [lo, hi) of their weight in the list of their first end, in blocks of about `chunk` neighbours of a hub."""
     edges = g.edges.withColumn("w", F.lit(1).cast("long")) if unit_weights else g.edges
     sized = edges.join(g.vertices.select(F.col("vid").alias("src"), F.col("deg").alias("_deg")), "src")
-    block = F.expr(f"dst div greatest(1, {max(g.n, 1)} * {chunk} div greatest(1, _deg))")
+    block = F.expr(f"dst div greatest(1L, {max(g.n, 1)}L * {chunk} div greatest(1L, _deg))")
     return block_prefix(sized, ["src"], block, ["dst"], "w").drop("_deg")
 
 

@@ -6,11 +6,11 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from proxembed.plans import exact, runs
+from proxembed.plans import exact, runs, surface  # noqa: F401 (surface registers its queries)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Local sampling and training on the geography graph: (vid, part, u, c)."""
+    """Sampling until all parts are full, and training, on the geography graph: (vid, part, u, c)."""
     return runs.train_blocked(spark, sf_dir)
 
 
