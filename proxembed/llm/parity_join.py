@@ -333,6 +333,16 @@ def op4_parity_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component stays: the one with the smallest id. Rows without id stay."""
-    stays = jaccard_components(docs).where("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(stays, "doc_id", "left_semi").unionByName(docs.where("doc_id is null")).select(docs.columns)
+    """One document of each component stays: the one with the smallest id. Rows without id stay.
+
+    Of rows equal in id and text one stays; rows that share an id but not the text are told apart by their text, and all of
+    those stay whose id is the smallest of their component.
+    """
+    names = docs.columns
+    row = F.struct(*[F.col(f"`{c}`") for c in names]).alias("row")
+    keyed = docs.select(F.col("doc_id").cast("long").alias("id"), row)
+    stays = jaccard_components(docs).where("doc_id = component_id").groupBy(F.col("doc_id").alias("id")).agg(F.count("*").alias("n"))
+    kept = keyed.join(stays, "id")
+    once = kept.where("n = 1").select("row")
+    again = kept.where("n > 1").withColumn("h", F.xxhash64("row.text")).groupBy("id", "h").agg(F.first("row").alias("row")).select("row")
+    return once.unionByName(again).unionByName(keyed.where("id is null").select("row")).select("row.*")

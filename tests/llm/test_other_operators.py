@@ -271,3 +271,30 @@ def test_pipeline(spark):
     assert pieces.select("doc_id").distinct().count() == held.count()
     full = corpus_pipeline.run(spark, SF)
     assert sorted((r["doc_id"], r["piece"], r["length"]) for r in full.collect()) == sorted((r["doc_id"], r["piece"], r["length"]) for r in pieces.collect())
+
+
+def test_pipeline_on_odd_rows_and_none(spark):
+    """All stages in one go: nulls, empties, copies, repeated rows, a very long text, columns of the operators' own names; and an empty table."""
+    import random
+
+    import corpus_pipeline
+
+    g = random.Random(1)
+    prose = lambda n: " ".join("".join(g.choice("abcdefghij") for _ in range(g.randint(2, 7))) for _ in range(n))
+    a, long = prose(120), prose(50_000)
+    rows = [(1, None), (2, ""), (3, " \n "), (None, a), (4, a), (4, a), (5, a + " tail"), (6, "token=abcdefgh1 " + prose(60)), (7, "two words"), (9, long), (None, None)]
+    schema = "doc_id long, text string, lang string, source string, n_chars long, row string, spans string, hit int, doc int, runs int, key int, id int"
+    docs = spark.createDataFrame([(i, t, "en", "s", None if t is None else len(t), "r", "x", 1, 2, 3, 4, 5) for i, t in rows], schema)
+    for table in (docs, docs.limit(0)):
+        held = table
+        for name, stage in corpus_pipeline.STAGES[:-1]:
+            out = stage(spark, held, SF)
+            assert out.columns == docs.columns, name
+            held = spark.createDataFrame(out.collect(), docs.schema)
+        pieces = corpus_pipeline.STAGES[-1][1](spark, held, SF)
+        if table is docs:
+            kept = {r["doc_id"]: r["text"] for r in held.collect()}
+            assert set(kept) >= {1, 2, 3, 7, 9} and "[secret]" in kept[6] and kept[9] == long
+            assert pieces.where("doc_id = 9").count() > 1
+        else:
+            assert pieces.count() == 0

@@ -302,7 +302,23 @@ def test_one_of_each_group_stays(spark, odd):
     out = parity_join.near_duplicate_stage(spark, docs, SF)
     assert out.columns == docs.columns
     ids = sorted(r["doc_id"] for r in out.collect() if r["doc_id"] is not None)
-    assert ids == [1, 2, 3, 4, 4, 6, 7, 9] and out.where("doc_id is null").count() == 2
+    assert ids == [1, 2, 3, 4, 6, 7, 9] and out.where("doc_id is null").count() == 2
+    named = docs.withColumn("row", F.lit(1)).withColumn("id", F.lit(2)).withColumn("n", F.lit(3)).withColumn("h", F.lit(4))
+    again = parity_join.near_duplicate_stage(spark, named, SF)
+    assert again.columns == named.columns and again.count() == out.count()
+    assert parity_join.jaccard_components(docs.limit(0)).count() == 0 and parity_join.near_duplicate_stage(spark, docs.limit(0), SF).count() == 0
+
+
+def test_empty_tables_and_long_texts(spark, odd):
+    none = frame(spark, odd).limit(0)
+    assert subword.encode_texts(none, subword.model_path()).count() == 0 and subword.decode_texts(subword.encode_texts(none, subword.model_path()), subword.model_path()).count() == 0
+    labels = spark.createDataFrame([(9, 1, 1), (4, 1, 0)], "doc_id long, quality int, toxic int")
+    assert toxicity.score_toxicity(none, toxicity.fit_toxicity(none, labels)).count() == 0
+    model = toxicity.fit_toxicity(frame(spark, odd), labels)
+    long = toxicity.score_toxicity(spark.createDataFrame([(1, prose(3, 400_000))], "doc_id long, text string"), model).first()
+    assert 0 <= long["severity"] <= 3
+    found = secret_scan.scan_versions(none.select(F.col("doc_id").alias("path"), "text"), secret_scan.BlobLedger(spark))
+    assert found.count() == 0
 
 
 # Line dedup
