@@ -147,15 +147,16 @@ def fit_spectral_small(g: Graph, dim: int) -> DataFrame:
     """Eigenvectors of the normalised adjacency, for tests of at most 2,000 vertices, in one task."""
     if g.n > 2000:
         raise ValueError("the spectral reference takes at most 2000 vertices")
+    n = g.n
 
     def run(x: pd.DataFrame) -> pd.DataFrame:
-        a = np.zeros((g.n, g.n))
+        a = np.zeros((n, n))
         a[x["src"], x["dst"]] = x["w"]
         d = np.maximum(a.sum(1), 1e-12)
         values, vectors = np.linalg.eigh(a / np.sqrt(d[:, None] * d[None, :]))
         top = np.argsort(-np.abs(values))[:dim]
         e = (vectors[:, top] * np.abs(values[top]) ** 0.5).astype(np.float32)
-        return pd.DataFrame({"vid": np.arange(g.n), "part": 0, "u": list(e), "c": list(e)})
+        return pd.DataFrame({"vid": np.arange(n), "part": 0, "u": list(e), "c": list(e)})
 
     return g.edges.select("src", "dst", "w").withColumn("_one", F.lit(1)).groupBy("_one").applyInPandas(run, "vid long, part int, u array<float>, c array<float>")
 

@@ -319,6 +319,7 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int) -> DataFrame:
     unit = lambda c: F.transform(c, lambda x: x / F.sqrt(F.aggregate(c, F.lit(0.0), lambda s, y: s + y * y)))
     base = vectors.select("vid", unit(F.col("u").cast("array<double>")).alias("x"))
     asked = queries.select(F.col("vid").alias("q"), unit(F.col("u").cast("array<double>")).alias("y"))
-    scored = base.join(F.broadcast(asked), F.col("vid") != F.col("q"))  # MOST_QUERIES rows at most.withColumn("score", F.round(vec_dot(F.col("x"), F.col("y")), 6))
+    met = base.join(F.broadcast(asked), F.col("vid") != F.col("q"))  # MOST_QUERIES rows at most
+    scored = met.withColumn("score", F.round(vec_dot(F.col("x"), F.col("y")), 6))
     w = Window.partitionBy("q").orderBy(F.desc("score"), "vid")
     return scored.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("q", "rank", "vid", "score")

@@ -166,3 +166,18 @@ def process_memory(spark: SparkSession, d: str) -> DataFrame:
     g = hashed(spark, d, "geography")
     state = measure.memory_report(g, CONFIG.dim).agg(F.max("bytes").alias("largest_block"))
     return measure.process_memory(spark).crossJoin(F.broadcast(state))  # one row
+
+
+def _embed_10k(kind: str) -> None:
+    def f(spark: SparkSession, d: str) -> DataFrame:
+        """Two batches of 10,000 pairs a part from walks of 100 steps, with negatives, trained on the co-purchase graph cut by hash."""
+        g = hashed(spark, d, "copurchase")
+        s = sample(g, Variant("any", kind), SampleConfig(batch_size=10_000, batches=2, length=100, rounds=25_000 if kind == "local" else 128))
+        rows = store(signed(s.pairs, sampling.negatives(s.pairs, g, 1)), "signed")
+        return embedding(train(g, rows, CONFIG, 2), CONFIG.dim)
+
+    QUERIES[f"embed_{kind}_10k"] = f
+
+
+for _kind in ("local", "fresh"):
+    _embed_10k(_kind)

@@ -351,6 +351,27 @@ def test_regions_are_learned(spark):
     assert r["micro"] >= 0.8
 
 
+def test_spectral_vectors_part_the_communities(five, spark):
+    """Two triangles joined by an edge: the second eigenvector has one sign on each."""
+    from proxembed.operators import graph
+
+    g = graph.build(spark.createDataFrame([("a", "b", 1), ("b", "c", 1), ("a", "c", 1), ("c", "d", 1), ("d", "e", 1), ("e", "f", 1), ("d", "f", 1)], "a string, b string, w long"))
+    side = {r["vid"]: r["u"][1] > 0 for r in baselines.fit_spectral_small(g, 2).collect()}
+    key = {r["vid"]: r["key"] for r in g.vertices.collect()}
+    left = {side[v] for v in side if key[v] in "abc"}
+    assert len(left) == 1 and left != {side[v] for v in side if key[v] in "def"}
+
+
+def test_nearest_asks_a_bounded_set(spark, monkeypatch):
+    from proxembed.operators import train as training
+
+    v = spark.createDataFrame([(0, [1.0, 0.0]), (1, [1.0, 0.1]), (2, [0.0, 1.0])], "vid long, u array<double>")
+    assert [(r["q"], r["vid"]) for r in training.nearest(v, v.where("vid = 0"), 1).collect()] == [(0, 1)]
+    monkeypatch.setattr(training, "MOST_QUERIES", 2)
+    with pytest.raises(ValueError, match="at most 2"):
+        training.nearest(v, v, 1)
+
+
 def test_configs_are_checked():
     for bad in ({"batch_size": 0}, {"engine": "x"}):
         with pytest.raises(ValueError):
