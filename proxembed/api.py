@@ -20,7 +20,7 @@ CUTS = ("edges", "vertex", "hash")
 
 @dataclass(frozen=True)
 class Config:
-    """All settings of a run. `budget` ends a call's walks by the visits of all its walkers instead of each by its length."""
+    """All settings of a run. An epoch is `batches` batches with pairs of their own. `budget` ends a call's walks by the visits of all its walkers instead of each by its length."""
 
     dim: int = 64
     lr: float = 0.025
@@ -57,7 +57,7 @@ class Config:
         self.training()
 
     def sampling(self) -> SampleConfig:
-        return SampleConfig(batch_size=self.batch_size, batches=self.batches, length=self.length, window=self.window, unit=self.unit, seed=self.seed, backend=self.rng, engine=self.engine, budget=self.budget)
+        return SampleConfig(batch_size=self.batch_size, batches=self.batches * self.epochs, length=self.length, window=self.window, unit=self.unit, seed=self.seed, backend=self.rng, engine=self.engine, budget=self.budget)
 
     def training(self) -> TrainConfig:
         return TrainConfig(dim=self.dim, lr=self.lr, neg_weight=self.neg_weight, decay=self.decay, kernel=self.kernel, sync_every=self.sync_every, fetch=self.fetch, exchange=self.exchange, seed=self.seed)
@@ -88,17 +88,12 @@ def sample(g: Graph, variant: str | Variant, c: Config = Config()) -> Sample:
 
 
 def fit(g: Graph, pairs: DataFrame, c: Config = Config()) -> DataFrame:
-    """(vid, part, u, c) trained on pairs for all epochs; negatives are drawn once and serve every epoch."""
+    """(vid, part, u, c) trained on the batches of all epochs in turn."""
     rows = store(signed(pairs, negatives(pairs, g, c.k, c.alpha, c.negative_scope, c.reject_edges, c.seed, c.rng)), "signed")
     if c.trainer == "dataflow":
-        now = initial_frame(g, c.training())
-        for _ in range(c.epochs):
-            now = train_dataflow(now, rows, c.training(), c.batches)
+        now = train_dataflow(initial_frame(g, c.training()), rows, c.training(), c.batches * c.epochs)
         return now.join(g.vertices.select("vid", "part"), "vid").select("vid", "part", "u", "c")
-    state = None
-    for _ in range(c.epochs):
-        state = train(g, rows, c.training(), c.batches, state=state)
-    return embedding(state, c.dim)
+    return embedding(train(g, rows, c.training(), c.batches * c.epochs), c.dim)
 
 
 def embed(g: Graph, variant: str | Variant = "AR-Local", c: Config = Config()) -> Result:
@@ -109,7 +104,7 @@ def embed(g: Graph, variant: str | Variant = "AR-Local", c: Config = Config()) -
         drawn = sample(g, variant, c)
     with measure.timed(took, "training", spark):
         vectors = store(fit(g, drawn.pairs, c), "embedding")
-    spread = measure.sample_spread(drawn.pairs, g.parts, c.batches).first().asDict()
+    spread = measure.sample_spread(drawn.pairs, g.parts, c.batches * c.epochs).first().asDict()
     return Result(vectors, drawn, {f"{k}_s": v for k, v in took.items()} | {"calls": drawn.calls, "handed": drawn.handed, "idle": drawn.idle} | spread)
 
 

@@ -43,16 +43,14 @@ def frame(spark: SparkSession, found: Iterable[dict]) -> DataFrame:
 
 
 def embed(g: Graph, variant: Variant, s: SampleConfig = S, t: TrainConfig = T, k: int = 1, epochs: int = 1, scope: str = "global") -> tuple[DataFrame, dict]:
-    """Sample, draw negatives, train: (vid, part, u, c), and what the run cost."""
+    """Sample, draw negatives, train: (vid, part, u, c), and what the run cost. Every epoch has batches of its own, drawn in one dataflow."""
     took: dict[str, float] = {}
+    s = replace(s, batches=s.batches * epochs)
     with measure.timed(took, "sampling", g.edges.sparkSession):
         drawn = sample(g, variant, s)
         signs = store(signed(drawn.pairs, negatives(drawn.pairs, g, k, seed=s.seed, scope=scope)), "signed")
     with measure.timed(took, "training", g.edges.sparkSession):
-        state = None
-        for _ in range(epochs):
-            state = train(g, signs, t, s.batches, state=state)
-        vectors = store(embedding(state, t.dim), "embedding")
+        vectors = store(embedding(train(g, signs, t, s.batches), t.dim), "embedding")
     spread = measure.sample_spread(drawn.pairs, g.parts, s.batches).first()
     remote = {r["sign"]: r["share"] for r in measure.remote_share(signs).collect()}
     cost = {"method": str(variant), "parts": g.parts, "sampling_s": took["sampling"], "training_s": took["training"], "calls": drawn.calls, "handed": drawn.handed,
